@@ -9,7 +9,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from overlapsolve.llm import packing, quality_rules, secret_scan, simhash, topk_search, warc
+from overlapsolve.llm import langid, packing, piece_codec, quality_model, quality_rules, secret_scan, simhash, topk_search, toxicity, warc
 from overlapsolve.llm.common import table
 from overlapsolve.llm.oracles import ORACLES
 from overlapsolve.session import shared_dir
@@ -20,11 +20,30 @@ def op1_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.scan(docs, secret_scan.train(docs))
 
 
+def op2_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return piece_codec.encode_documents(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
+
+
 def op3_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(table(spark, sf_dir, "documents"))
     return found.select("doc_id", simhash.hex_digits().alias("fingerprint"), "component_id")
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
+
+
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents and pages; doc_id is null for pages, page_id for documents."""
+    docs = table(spark, sf_dir, "documents")
+    model = langid.train(docs)
+    none = F.lit(None).cast("long")
+    plain = langid.of_documents(docs, model).select(F.col("id").alias("doc_id"), none.alias("page_id"), "lang", "probability")
+    pages = langid.of_pages(table(spark, sf_dir, "pages"), model).select(none.alias("doc_id"), F.col("id").alias("page_id"), "lang", "probability")
+    return plain.union(pages)
+
+
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
@@ -46,6 +65,10 @@ def op9_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
+def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_model.resample(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f)}
 
