@@ -12,7 +12,10 @@ row without doc_id keeps a null id in its pieces.
 
 from __future__ import annotations
 
+import os
+import re
 import zlib
+from array import array
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
@@ -33,39 +36,65 @@ class WordTokenizer:
     """Ids of a text as little-endian unsigned 32-bit bytes, equal to those of the library for the whole text.
 
     The normaliser and the splitting pattern of this vocabulary never join what white space parts, so words between ASCII
-    white space are encoded alone and kept; `words` bounds how many are kept. A text that may hold a special token's string
-    is encoded whole.
+    white space are encoded alone and kept, up to `words` of them and from their second sight on. A text that may hold a
+    special token's string is encoded whole.
     """
 
-    def __init__(self, path: str, words: int = 400_000):
+    def __init__(self, path: str, words: int = 1_000_000):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # Spark's tasks are the parallelism
         from tokenizers import Tokenizer
 
         self.inner, self.words, self.known = Tokenizer.from_file(path), words, {}
+        self.seen = bytearray(1 << 23)
 
     def _encoded(self, texts: list[bytes]) -> list[bytes]:
-        found = self.inner.encode_batch([t.decode() for t in texts], add_special_tokens=False)
-        return [np.asarray(x.ids, "<u4").tobytes() for x in found]
-
-    def _learn(self, words: set[bytes]) -> None:
-        # A comma or full stop after an ASCII letter or digit is a part of its own in the splitting pattern.
-        split = {w: (w[:-1], w[-1:]) for w in words if len(w) > 1 and w[-1] in b".," and w[-2:-1].isalnum()}
-        need = [w for w in {p for w in words for p in split.get(w, (w,))} if w not in self.known]
-        self.known.update(zip(need, self._encoded(need), strict=True))
-        self.known.update((w, self.known[a] + self.known[b]) for w, (a, b) in split.items())
+        found = self.inner.encode_batch_fast([t.decode() for t in texts], add_special_tokens=False)
+        return [array("I", x.ids).tobytes() for x in found]
+
+    def _new(self, words: set[bytes]) -> dict[bytes, bytes]:
+        # Signs after a letter or digit are a part of their own in the splitting pattern.
+        split = {w: (m[1].encode(), m[2].encode()) for w in words if (m := _SIGNS.fullmatch(w.decode()))}
+        parts = {p for w in words for p in split.get(w, (w,))}
+        known = self.known
+        need = [p for p in parts if p not in known]
+        new = dict(zip(need, self._encoded(need), strict=True))
+        of = lambda p: new[p] if p in new else known[p]
+        new.update([(w, of(a) + of(b)) for w, (a, b) in split.items()])
+        return new
+
+    def _keep(self, new: dict[bytes, bytes]) -> None:
+        if len(self.known) + len(new) > self.words:
+            self.known.clear()
+        seen, last = self.seen, len(self.seen) - 1
+        for w, ids in new.items():
+            place = hash(w) & last
+            if seen[place]:
+                self.known[w] = ids
+            else:
+                seen[place] = 1
 
     def ids(self, text: bytes) -> bytes:
         if b"<|" in text:
             return self._encoded([text])[0]
-        words = text.lower().split()
+        words, known = text.lower().split(), self.known
         try:
-            return b"".join(map(self.known.__getitem__, words))
+            return b"".join(map(known.__getitem__, words))
         except KeyError:
-            missing = {w for w in words if w not in self.known}
-            if len(self.known) + 2 * len(missing) > self.words:
-                self.known.clear()
-                missing = set(words)
-            self._learn(missing)
-            return b"".join(map(self.known.__getitem__, words))
+            new = self._new({w for w in words if w not in known})
+            out = b"".join([new[w] if w in new else known[w] for w in words])
+            self._keep(new)
+            return out
+
+
+_SIGNS = re.compile(r"(.*[^\W_])([^\w\s']+)", re.DOTALL)
+_KEPT: dict[str, WordTokenizer] = {}
+
+
+def tokenizer_for(path: str) -> WordTokenizer:
+    """One a process: Spark's Python workers serve many tasks, and the words they have seen stay."""
+    if path not in _KEPT:
+        _KEPT[path] = WordTokenizer(path)
+    return _KEPT[path]
 
 
 @dataclass
@@ -179,7 +208,7 @@ def pack(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end: in
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, types, strict=True)], names=names + ["ids"] * with_ids)
 
     def packed(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tokenizer, packer = WordTokenizer(tokenizer_path), SumOfSquares(capacity)
+        tokenizer, packer = tokenizer_for(tokenizer_path), SumOfSquares(capacity)
         last = np.asarray([end], "<u4").tobytes()
         sequence, done = TaskContext.get().partitionId() << 33, []
         for b in batches:
