@@ -1 +1 @@
-"""See the modules of this package."""
+"""Structured Streaming forms of the event problem and of the solver."""
