@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from overlapsolve.functions.solvers import factor, kept
 from overlapsolve.operators.coarse import CoarseProblem
-from overlapsolve.operators.local import Block, pack_blocks
+from overlapsolve.operators.local import Block, pack_blocks, residual_global
 from overlapsolve.operators.overlap import decompose
 from overlapsolve.session import checkpoint
 from overlapsolve.system import Config, Sys
@@ -125,11 +125,12 @@ class Supersteps:
     def norm(self, messages: DataFrame) -> float:
         return float(np.sqrt(sum(r[0] for r in sorted(messages.where("kind = 0").select("resid").collect()))))
 
-    def solution(self, messages: DataFrame) -> DataFrame:
-        """(i, x): owned values. Masked iterates are the restrictions of the solution, so nothing is added up."""
+    def solution(self, messages: DataFrame, every: bool = False) -> DataFrame:
+        """(i, x): owned values, or those of every node. Masked iterates are the restrictions of the solution, so nothing is added up."""
         w = messages.where("kind = 0").select(F.col("dst").alias("p"), "vals")
         both = w.join(self.blocks.select("p", "ids", "owned"), "p")
-        return both.select(F.explode(F.arrays_zip("ids", "owned", "vals")).alias("z")).where("z.owned").select(F.col("z.ids").alias("i"), F.col("z.vals").alias("x"))
+        each = both.select(F.explode(F.arrays_zip("ids", "owned", "vals")).alias("z"))
+        return each.where(F.lit(every) | F.col("z.owned")).select(F.col("z.ids").alias("i"), F.col("z.vals").alias("x"))
 
     def close(self) -> None:
         self.blocks.unpersist()
@@ -388,3 +389,18 @@ def cg_global(entries: DataFrame, f: DataFrame, tol: float = 1e-10, most: int =
         nn = new.agg(F.sum(F.col("r") * F.col("r"))).first()[0]
         x, rr = new.select("i", "u", "r", (F.col("r") + nn / rr * F.col("p")).alias("p")), nn
     return x.select("i", F.col("u").alias("x"))
+
+
+def block_jacobi(sys: Sys, k: int, cfg: Config = Config()) -> DataFrame:
+    """(i, x) after k steps without overlap: owned nodes lie on surfaces, so the residual is taken from the whole matrix."""
+    sys.member = checkpoint(decompose(sys.owner, sys.entries, 0))
+    run = Supersteps(sys, cfg)
+    solve = run.solver()
+    u = sys.rhs.select("i", F.lit(0.0).alias("x"))
+    for _ in range(k):
+        r = residual_global(sys.entries, u, sys.rhs)
+        rows = sys.member.join(r, "i").groupBy("p").agg(F.transform(F.array_sort(F.collect_list(F.struct("slot", "x"))), lambda t: t["x"]).alias("vals"))
+        sent = rows.select(F.col("p").alias("dst"), F.col("p").alias("src"), F.lit(0).alias("kind"), "vals", F.lit(None).cast("array<int>").alias("at"), F.lit(0.0).alias("resid"))
+        v = run.solution(run.step(sent, lambda b, m: [own(b.p, solve(b).solve(m["w"]))]), every=True)
+        u = checkpoint(u.join(v.withColumnRenamed("x", "v"), "i").select("i", (F.col("x") + F.col("v")).alias("x")))
+    return u
