@@ -6,8 +6,8 @@ together can't lift a vector over the current threshold are non-essential: essen
 below the threshold even with all remaining gains are dropped, and the others are probed in the remaining lists while they
 can still compete. Shards' best are merged by a rank that Spark limits before it shuffles.
 
-Queries travel in blocks of bounded size, each matched with every shard. Scores are exact 64-bit integers; ties go to the
-smaller id. A vector that is null, empty of numbers, or holds a null or a non-finite component takes no part; vectors of
+Queries travel in blocks of bounded size, each matched with every shard. Scores are exact 64-bit integers (beyond that they
+are clipped); ties go to the smaller id. A vector that is null, empty of numbers, or holds a null or a non-finite component takes no part; vectors of
 unequal lengths are padded with zeros; of repeated rows of an id each is a candidate, and one of them is the query; an empty
 table gives an empty result.
 """
@@ -108,6 +108,9 @@ class Shard:
         q = np.zeros(len(self.lists), np.int64)
         n = min(len(q), len(query))
         q[:n] = query[:n]
+        peak = max((int(max(-int(lo), int(hi))) for lo, hi in zip(self.low, self.high, strict=True)), default=0)
+        if len(q) * int(np.abs(q).max(initial=0)) * peak >= 1 << 62:
+            return self._wide(q, own, k)
         ends = np.stack([q * self.low, q * self.high])
         least, gain = ends.min(axis=0), np.abs(ends[1] - ends[0])
         terms = np.argsort(-gain, kind="stable")
@@ -136,6 +139,14 @@ class Shard:
         return self.ids[alive[order]], partial[order]
 
 
+    def _wide(self, q: np.ndarray, own: int, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """The same in integers of any length, for components so large that 64 bits might not hold a bound."""
+        scores = (q.astype(object)[:, None] * self.lists.astype(object)).sum(axis=0)
+        order = sorted((-s, int(i)) for i, s in zip(self.ids, scores, strict=True) if i != own)[:k]
+        clip = lambda s: min(max(s, -(2**63)), 2**63 - 1)
+        return np.array([i for _, i in order], np.int64), np.array([clip(-s) for s, _ in order], np.int64)
+
+
 def search(vectors: DataFrame, every: int = 100, k: int = 10, scale: int = 1024, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
     """(query_id, rank, vec_id, score): the k best other rows of each row whose id is divisible by `every`."""
     rows = quantised(vectors, scale, key, vector)
