@@ -18,6 +18,7 @@ from __future__ import annotations
 import heapq
 import re
 import zlib
+from array import array
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -58,68 +59,84 @@ class Pieces:
         return b"".join(map(self.bytes.__getitem__, ids))
 
 
+_WORD = (1 << 64) - 1
+
+
 def segment(chunk: str, pieces: Pieces, dropout: float = 0.0, key: int = 0) -> list[int]:
     """Ids of one chunk; spaces are marks."""
-    symbols = [MARK if c == " " else c for c in chunk]
-    literal = {i for i, c in enumerate(chunk) if c == MARK}
+    symbols = list(chunk.replace(" ", MARK))
+    literal = {i for i, c in enumerate(chunk) if c == MARK} if MARK in chunk else ()
     n = len(symbols)
     left, right, size = list(range(-1, n - 1)), list(range(1, n + 1)), [1] * n
-    agenda: list[tuple[float, int, int, int]] = []
-    scores = pieces.scores
-
-    def offer(a: int) -> None:
-        b = right[a]
-        if b < n and a not in literal and b not in literal:
-            score = scores.get(symbols[a] + symbols[b])
-            if score is not None:
-                heapq.heappush(agenda, (-score, a, size[a], size[b]))
-
-    for i in range(n - 1):
-        offer(i)
+    score_of, push, pop = pieces.scores.get, heapq.heappush, heapq.heappop
+    agenda = []
+    for a in range(n - 1):
+        if literal and (a in literal or a + 1 in literal):
+            continue
+        score = score_of(symbols[a] + symbols[a + 1])
+        if score is not None:
+            agenda.append((-score, a, 1, 1))
+    heapq.heapify(agenda)
     limit = int(dropout * 2**64)
+    mixed = xxhash.xxh64_intdigest(chunk, key) if limit else 0
     while agenda:
-        _, a, first, second = heapq.heappop(agenda)
-        b = right[a] if size[a] else n
-        if b >= n or size[a] != first or size[b] != second:
-            continue  # one of the two has grown or gone since
-        if limit and xxhash.xxh64_intdigest(f"{a},{first},{second},{chunk}", key) < limit:
+        _, a, first, second = pop(agenda)
+        if size[a] != first:
             continue
-        symbols[a] += symbols[b]
+        b = right[a]
+        if b >= n or size[b] != second:
+            continue  # one of the two has grown or gone since
+        if limit:
+            h = (mixed ^ (a << 40 | first << 20 | second)) * 0x9E3779B97F4A7C15 & _WORD
+            if (h ^ h >> 32) * 0xC2B2AE3D27D4EB4F & _WORD < limit:
+                continue
+        symbols[a] = whole = symbols[a] + symbols[b]
         size[a], size[b] = first + second, 0
-        right[a] = right[b]
-        if right[b] < n:
-            left[right[b]] = a
-        offer(a)
-        if left[a] >= 0:
-            offer(left[a])
+        right[a] = b = right[b]
+        if b < n:
+            left[b] = a
+            if not literal or b not in literal:
+                score = score_of(whole + symbols[b])
+                if score is not None:
+                    push(agenda, (-score, a, first + second, size[b]))
+        c = left[a]
+        if c >= 0 and (not literal or c not in literal):
+            score = score_of(symbols[c] + whole)
+            if score is not None:
+                push(agenda, (-score, c, size[c], first + second))
     out: list[int] = []
-    for i in range(n):
-        if size[i]:
-            found = None if i in literal else pieces.ids.get(symbols[i])
-            if found is not None:
-                out.append(found)
-            else:
-                out += [pieces.byte_ids[b] for b in (" " if symbols[i] == MARK and i not in literal else symbols[i]).encode()]
+    i = 0
+    while i < n:
+        found = None if literal and i in literal else pieces.ids.get(symbols[i])
+        if found is not None:
+            out.append(found)
+        else:
+            out += [pieces.byte_ids[b] for b in (" " if symbols[i] == MARK and i not in literal else symbols[i]).encode()]
+        i += size[i]
     return out
 
 
 class Encoder:
     """Keeps up to `words` segmentations; a chunk is kept from its second sight on."""
 
-    def __init__(self, pieces: Pieces, dropout: float = 0.1, seed: int = 0, variants: int = 4, words: int = 800_000):
+    def __init__(self, pieces: Pieces, dropout: float = 0.1, seed: int = 0, variants: int = 4, words: int = 1_200_000):
         self.pieces, self.dropout, self.seed, self.variants, self.words = pieces, dropout, seed, variants, words
+        self.keys = [xxhash.xxh64_intdigest(str(v), seed) for v in range(variants)]
+        self.count = 0
         self.known: list[dict[str, bytes]] = [{} for _ in range(variants)]
-        self.seen = bytearray(1 << 22)
+        self.seen = bytearray(1 << 24)
 
     def _new(self, chunk: str, variant: int) -> bytes:
-        key = xxhash.xxh64_intdigest(str(variant), self.seed)
-        ids = np.asarray(segment(chunk, self.pieces, self.dropout, key), "<u4").tobytes()
-        place = hash((chunk, variant)) & ((1 << 22) - 1)
+        key = self.keys[variant]
+        ids = array("I", segment(chunk, self.pieces, self.dropout, key)).tobytes()
+        place = hash((chunk, variant)) & ((1 << 24) - 1)
         if self.seen[place] and len(chunk) <= 64:
-            if sum(map(len, self.known)) >= self.words:
+            if self.count >= self.words:
+                self.count = 0
                 for k in self.known:
                     k.clear()
             self.known[variant][chunk] = ids
+            self.count += 1
         self.seen[place] = 1
         return ids
 
@@ -136,6 +153,18 @@ class Encoder:
         return np.frombuffer(b"".join(parts), "<u4")
 
 
+_KEPT: dict[tuple, Encoder] = {}
+
+
+def encoder_for(path: str, dropout: float, seed: int, variants: int) -> Encoder:
+    """The last one a process used: Spark's Python workers serve many tasks, and the chunks they have seen stay."""
+    key = (path, dropout, seed, variants)
+    if key not in _KEPT:
+        _KEPT.clear()
+        _KEPT[key] = Encoder(Pieces(path), dropout, seed, variants)
+    return _KEPT[key]
+
+
 SCHEMA = "doc_id long, n_ids long, ids_crc32 long, n_bytes long, restored boolean"
 
 
@@ -145,7 +174,7 @@ def encode_documents(docs: DataFrame, path: str, dropout: float = 0.1, seed: int
     types = [pa.int64()] * 4 + [pa.bool_()] + [pa.list_(pa.int64())] * with_ids
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(Pieces(path), dropout, seed, variants)
+        encoder = encoder_for(path, dropout, seed, variants)
         for b in batches:
             rows = []
             for doc_id, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):

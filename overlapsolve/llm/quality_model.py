@@ -33,8 +33,9 @@ def target_ids(labels: DataFrame, sample: int = 20_000, key: str = "doc_id") ->
     return [r[0] for r in good.orderBy(F.xxhash64(key), key).limit(sample).collect()]
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, bits: int = BITS, smoothing: float = 1.0, key: str = "doc_id", text: str = "text") -> np.ndarray:
-    """Log ratio of target and raw probability of each bucket; zeros without target text."""
+def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, bits: int = BITS, smoothing: float = 1.0, error: float = 3.0, key: str = "doc_id", text: str = "text") -> np.ndarray:
+    """Log ratio of target and raw probability of each bucket, plus `error` times buckets over target grams: what words that the
+    labelled sample happens to lack cost a document of the same kind. Zeros without target text."""
     shared = docs.sparkSession.sparkContext.broadcast(np.array(sorted(target_ids(labels, sample, key)), np.int64))  # `sample` ids at most
 
     def counts(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -55,7 +56,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, bits: int = BI
         target[bucket] += t
     if target.sum() <= smoothing * (1 << bits):
         return np.zeros(1 << bits)
-    return np.log(target / target.sum()) - np.log(raw / raw.sum())
+    return np.log(target / target.sum()) - np.log(raw / raw.sum()) + error * (1 << bits) / target.sum()
 
 
 def weighed(docs: DataFrame, ratio: np.ndarray, slack: float = 8.0, per_gram: float = 0.05, key: str = "doc_id", text: str = "text") -> DataFrame:

@@ -127,8 +127,9 @@ def _sketches(docs: DataFrame, prints: int, key: str, text: str) -> DataFrame:
         for b in batches:
             digests, fps = [], []
             for t in b.column(1).cast(pa.binary()):
-                w = [x.strip(b".,;:!?") for x in t.as_py().lower().split()]
+                w = t.as_py().lower().split()
                 digests.append(xxhash.xxh3_128_intdigest(b" ".join(w)).to_bytes(16, "big"))
+                w = [x.strip(b".,;:!?") for x in w]
                 plain = [x for x in w if x not in stop] or w
                 fps.append([_majority(np.fromiter(map(partial(xxhash.xxh64_intdigest, seed=s), plain), np.uint64)) for s in range(prints)])
             signed = np.array(fps, np.uint64).reshape(len(fps), prints).view(np.int64).tolist()
