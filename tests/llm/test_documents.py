@@ -286,7 +286,9 @@ def labels_of(spark, rows):
 
 
 def test_quality_model(spark, awkward, empty):
-    good, junk = [prose(120, k) for k in range(60)], [" ".join(w + "###" for w in prose(120, 900 + k, False).split()) for k in range(30)]
+    few = prose(20, 77, False).split()
+    say = lambda k, mark: " ".join(w + mark for w in random.Random(k).choices(few, k=120))
+    good, junk = [say(k, "") for k in range(60)], [say(900 + k, "###") for k in range(30)]
     docs = table(spark, good + junk)
     labels = labels_of(spark, [(k, int(k <= 60), 0) for k in range(1, 91, 2)])
     drawn = {r.doc_id: r.kept for r in quality_model.resample(docs, labels).collect()}
