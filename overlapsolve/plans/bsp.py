@@ -370,7 +370,8 @@ def chaotic_relaxation(entries: DataFrame, f: DataFrame, sweeps: int, updated: C
         new = base.join(pull, "i", "left").select("i", ((F.col("f") - F.coalesce("y", F.lit(0.0))) / F.col("d")).alias("x"))
         if updated is not None:
             new = new.join(u.withColumnRenamed("x", "old"), "i").select("i", F.when(updated(n), F.col("x")).otherwise(F.col("old")).alias("x"))
-        u = checkpoint(new) if n % checkpoint_every == 0 else new
+        # With a condition, a sweep reads the one before it twice, so plans may not be chained.
+        u = checkpoint(new) if updated is not None or n % checkpoint_every == 0 else new
     return u
 
 
