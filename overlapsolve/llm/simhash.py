@@ -18,15 +18,15 @@ from __future__ import annotations
 from collections.abc import Iterable, Iterator
 from functools import partial
 from itertools import combinations
+from math import ceil
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from overlapsolve.llm.common import id_and_text
-from overlapsolve.llm.quality_rules import STOP_WORDS
+from overlapsolve.llm.common import id_and_text, sliced
 from overlapsolve.operators.components import connected_components
 from overlapsolve.session import checkpoint
 
@@ -119,63 +119,94 @@ def hex_digits(fp: str = "fp") -> Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def _sketches(docs: DataFrame, prints: int, key: str, text: str) -> DataFrame:
-    """(doc_id, same, fps): a digest of the words, and `prints` fingerprints of the words other than stop words, by seed."""
-    stop = {w.encode() for w in STOP_WORDS}
+def _digests(docs: DataFrame, key: str, text: str) -> DataFrame:
+    """(doc_id, same): a digest of the words."""
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            digests, fps = [], []
-            for t in b.column(1).cast(pa.binary()):
-                w = t.as_py().lower().split()
-                digests.append(xxhash.xxh3_128_intdigest(b" ".join(w)).to_bytes(16, "big"))
-                w = [x.strip(b".,;:!?") for x in w]
-                plain = [x for x in w if x not in stop] or w
-                fps.append([_majority(np.fromiter(map(partial(xxhash.xxh64_intdigest, seed=s), plain), np.uint64)) for s in range(prints)])
-            signed = np.array(fps, np.uint64).reshape(len(fps), prints).view(np.int64).tolist()
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(digests, pa.binary()), pa.array(signed, pa.list_(pa.int64()))], names=[key, "same", "fps"])
+            same = [xxhash.xxh3_128_intdigest(b" ".join(t.as_py().lower().split())).to_bytes(16, "big") for t in b.column(1).cast(pa.binary())]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(same, pa.binary())], names=[key, "same"])
 
-    return id_and_text(docs, key, text).mapInArrow(of, f"{key} long, same binary, fps array<long>")
+    return id_and_text(docs, key, text).mapInArrow(of, f"{key} long, same binary")
 
 
 def _word_windows(docs: DataFrame, words: int, key: str, text: str) -> DataFrame:
     """(doc_id, grams): the distinct hashes of word windows, A-Z in lower case; of a shorter text its whole."""
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches, 1 << 22, text):
             grams = [np.unique(shingle_hashes(t.as_py(), words)).view(np.int64) for t in b.column(1).cast(pa.binary())]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(grams, pa.list_(pa.int64()))], names=[key, "grams"])
 
     return id_and_text(docs, key, text).mapInArrow(of, f"{key} long, grams array<long>")
 
 
-def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, prints: int = 6, radius: int = 2, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, component_id) of documents that have an equal or a similar one; component_id is the smallest id of the group.
+def _common_windows(docs: DataFrame, words: int, key: str, text: str, rows: int = 5000, share: int = 10, most: int = 200_000) -> np.ndarray:
+    """Hashes of the windows that recur in a sample, commonest last; which ones are in it only decides how much is compared."""
+    every = max(1, min(share, docs.count() // rows))
+    sample = docs.where(F.pmod(F.xxhash64(F.col(key), F.lit(SEED)), F.lit(every)) == 0)
+    counted = _word_windows(sample, words, key, text).select(F.explode("grams").alias("gram")).groupBy("gram").agg(F.count("*").alias("n")).where("n > 2")
+    top = counted.orderBy(F.desc("n"), "gram").limit(most).toArrow()  # `most` rows
+    return top.column("gram").to_numpy()[::-1].copy()
+
 
-    Similar is a Jaccard index of at least `similarity` between sets of word windows, which is computed exactly. Pairs to
-    compare come from the covering tables of several fingerprints of single words, which stay close where windows of five
-    already differ: each member of a bucket is compared with the bucket's smallest and largest id, so no bucket makes
-    pairs of all its members. On the test tables 6 fingerprints found over 95 % of all pairs with an index of 0.8.
+def _prefixes(docs: DataFrame, common: np.ndarray, similarity: float, words: int, key: str, text: str) -> DataFrame:
+    """(doc_id, n, grams): the number of distinct windows, and the first of them in an order that all texts share.
+
+    Of n windows, one of the first n - ceil(similarity n) + 1 is also among the first ones of any text that is similar: if
+    none were, over n (1 - similarity) would be missing there. This holds in any order; here the common windows come last.
     """
-    sketch = checkpoint(_sketches(docs, prints, key, text).where(F.col(key).isNotNull()))
-    same = checkpoint(sketch.groupBy("same").agg(F.min(key).alias("rep"), F.min(F.struct(key, "fps")).alias("row"), F.count("*").alias("n")))
-    masks = _longs(table_masks(radius))
-    seeded = same.select("rep", F.posexplode("row.fps").alias("seed", "fp"))
-    tables = seeded.select("rep", "seed", "fp", F.posexplode(masks).alias("tab", "mask")).select("rep", (F.col("seed") * 64 + F.col("tab")).alias("tab"), F.col("fp").bitwiseAND(F.col("mask")).alias("at"))
-    buckets = checkpoint(tables.groupBy("tab", "at").agg(F.min("rep").alias("low"), F.max("rep").alias("high")).where("low < high"))
-    met = tables.join(buckets, ["tab", "at"]).select("rep", F.explode(F.array("low", "high")).alias("other")).where("rep <> other")
-    pairs = checkpoint(met.select(F.least("rep", "other").alias("a"), F.greatest("rep", "other").alias("b")).distinct())
+    order = np.argsort(common)
+    shared = docs.sparkSession.sparkContext.broadcast((common[order], order))
+
+    def first(h: np.ndarray) -> np.ndarray:
+        known, rank = shared.value
+        if len(known):
+            at = np.minimum(np.searchsorted(known, h), len(known) - 1)
+            often = known[at] == h
+            h = np.concatenate([h[~often], h[often][np.argsort(rank[at[often]])]])
+        return h[: len(h) - ceil(similarity * len(h) - 1e-9) + 1]
+
+    def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in sliced(batches, 1 << 22, text):
+            grams = [np.unique(shingle_hashes(t.as_py(), words)).view(np.int64) for t in b.column(1).cast(pa.binary())]
+            n = pa.array([len(h) for h in grams], pa.int32())
+            yield pa.RecordBatch.from_arrays([b.column(0), n, pa.array([first(h) for h in grams], pa.list_(pa.int64()))], names=[key, "n", "grams"])
+
+    return id_and_text(docs, key, text).mapInArrow(of, f"{key} long, n int, grams array<long>")
+
+
+def _alike(docs: DataFrame, pairs: DataFrame, similarity: float, words: int, key: str, text: str) -> DataFrame:
+    """Of the pairs (a, b), those with a Jaccard index of at least `similarity`, as edges (u, v)."""
     wanted = checkpoint(pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct())
     grams = checkpoint(_word_windows(docs.join(wanted, docs[key] == F.col("_id"), "left_semi"), words, key, text))
     one = grams.select(F.col(key).alias("a"), F.col("grams").alias("ga"))
     two = grams.select(F.col(key).alias("b"), F.col("grams").alias("gb"))
     shared = F.size(F.array_intersect("ga", "gb"))
     alike = shared >= F.lit(similarity) * (F.size("ga") + F.size("gb") - shared)
-    near = F.least(F.size("ga"), F.size("gb")) >= F.lit(similarity) * F.greatest(F.size("ga"), F.size("gb"))
-    edges = pairs.join(one, "a").join(two, "b").where(near).where(alike).select(F.col("a").alias("u"), F.col("b").alias("v"))
-    found = connected_components(edges)
+    return pairs.select("a", "b").join(one, "a").join(two, "b").where(alike).select(F.col("a").alias("u"), F.col("b").alias("v"))
+
+
+def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, component_id) of documents that have an equal or a similar one; component_id is the smallest id of the group.
+
+    Similar is a Jaccard index of at least `similarity` between sets of word windows, which is computed exactly. Every such
+    pair shares one of both texts' first windows (see _prefixes), so texts are gathered by these. Members of a gathering are
+    compared with its smallest id only; pairs that never meet through it are missed.
+    """
+    digests = checkpoint(_digests(docs, key, text).where(F.col(key).isNotNull()))
+    same = checkpoint(digests.groupBy("same").agg(F.min(key).alias("rep"), F.count("*").alias("n")))
+    reps = _prefixes(docs, _common_windows(docs, words, key, text), similarity, words, key, text).join(same, F.col(key) == same.rep, "left_semi").dropDuplicates([key])
+    rows = reps.select(F.col(key).alias("id"), "n", F.posexplode("grams").alias("pos", "gram"))
+    here = Window.partitionBy("gram")
+    met = checkpoint(rows.withColumn("low", F.min("id").over(here)).withColumn("high", F.max("id").over(here)).where("low < high").drop("high"))
+
+    stars = checkpoint(met.where("id > low").select(F.col("low").alias("a"), F.col("id").alias("b")).distinct())
+    edges = checkpoint(_alike(docs, stars, similarity, words, key, text))
+    found = checkpoint(connected_components(edges))
+
     classes = checkpoint(same.join(found, same.rep == found.node, "left").where("n > 1 or component is not null").select("same", F.coalesce("component", "rep").alias("component_id")))
-    return sketch.join(classes, "same").select(key, "component_id")
+    return digests.join(classes, "same").select(key, "component_id")
 
 
 def first_of_each_group(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:

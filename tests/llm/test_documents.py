@@ -141,6 +141,22 @@ def test_similar_copies_are_found_and_others_kept(spark):
     assert ids == set(range(1, 24, 2))
 
 
+def test_cut_and_appended_copies_equal_brute_force(spark):
+    texts = []
+    for k in range(15):
+        w, other = prose(150 + 20 * k, 300 + k).split(), prose(150, 400 + k).split()
+        texts += [" ".join(x) for x in (w, w[: -len(w) // 10], w[len(w) * 18 // 100 :], w + other[: len(w) * 18 // 100], other[: len(w) // 3] + w)]
+    sets = {k: set(simhash.shingle_hashes(t.encode(), 5).tolist()) for k, t in enumerate(texts, 1)}
+    root = {k: k for k in sets}
+    for b in sets:
+        for a in range(1, b):
+            if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]) and root[a] != root[b]:
+                x, y = sorted((root[a], root[b]))
+                root = {k: x if v == y else v for k, v in root.items()}
+    kept = {r.doc_id for r in simhash.first_of_each_group(table(spark, texts)).collect()}
+    assert kept == {k for k, v in root.items() if k == v} and len(kept) < 45
+
+
 def brute_base(t):
     any_case = lambda w: "".join(f"[{c}{c.upper()}]" if c.isalpha() else c for c in w)
     names = "|".join([*map(any_case, ("password", "passwd", "secret", "token")), any_case("api") + "_?" + any_case("key")])
