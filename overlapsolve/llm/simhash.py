@@ -192,7 +192,8 @@ def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, key
 
     Similar is a Jaccard index of at least `similarity` between sets of word windows, which is computed exactly. Every such
     pair shares one of both texts' first windows (see _prefixes), so texts are gathered by these. Members of a gathering are
-    compared with its smallest id only; pairs that never meet through it are missed.
+    first compared with its smallest id. Where that leaves more than one component in it, all its pairs across components
+    are compared that aren't excluded by the numbers of windows: nothing is left out, and large groups of copies make few pairs.
     """
     digests = checkpoint(_digests(docs, key, text).where(F.col(key).isNotNull()))
     same = checkpoint(digests.groupBy("same").agg(F.min(key).alias("rep"), F.count("*").alias("n")))
@@ -205,6 +206,18 @@ def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, key
     edges = checkpoint(_alike(docs, stars, similarity, words, key, text))
     found = checkpoint(connected_components(edges))
 
+    of = met.join(found, met.id == found.node, "left").select("gram", "id", "n", "pos", F.coalesce("component", "id").alias("part"))
+    apart = checkpoint(of.withColumn("low", F.min("part").over(here)).withColumn("high", F.max("part").over(here)).where("low < high").drop("low", "high"))
+    x, y = apart.alias("x"), apart.alias("y")
+    across = x.join(y, "gram").where("x.id < y.id and x.part <> y.part").where(F.least("x.n", "y.n") >= F.lit(similarity - 1e-9) * F.greatest("x.n", "y.n"))
+    # Windows up to the last one met at are counted, and at most the fewer of what either text has after it can be shared too.
+    counted = across.groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(F.count("*").alias("c"), F.max("x.n").alias("na"), F.max("y.n").alias("nb"), F.max("x.pos").alias("pa"), F.max("y.pos").alias("pb"))
+    most = F.col("c") + F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) - 1
+    able = most >= F.lit(similarity - 1e-9) * (F.col("na") + F.col("nb") - most)
+    rest = checkpoint(counted.where(able).select("a", "b").join(stars, ["a", "b"], "left_anti"))
+    if not rest.isEmpty():
+        found = checkpoint(connected_components(edges.union(_alike(docs, rest, similarity, words, key, text))))
+
     classes = checkpoint(same.join(found, same.rep == found.node, "left").where("n > 1 or component is not null").select("same", F.coalesce("component", "rep").alias("component_id")))
     return digests.join(classes, "same").select(key, "component_id")
 

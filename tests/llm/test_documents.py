@@ -157,6 +157,13 @@ def test_cut_and_appended_copies_equal_brute_force(spark):
     assert kept == {k for k, v in root.items() if k == v} and len(kept) < 45
 
 
+def test_copies_that_only_meet_beside_a_smaller_id(spark):
+    w = prose(300, 500).split()
+    thirds = [w[:200], w[100:], w[200:] + w[:100]]  # each window is in two of them or more, and none of them is a near copy
+    texts = [" ".join(x) for x in [*thirds, w + prose(15, 501).split(), w + prose(15, 502).split()]]
+    assert {r.doc_id for r in simhash.first_of_each_group(table(spark, texts)).collect()} == {1, 2, 3, 4}
+
+
 def brute_base(t):
     any_case = lambda w: "".join(f"[{c}{c.upper()}]" if c.isalpha() else c for c in w)
     names = "|".join([*map(any_case, ("password", "passwd", "secret", "token")), any_case("api") + "_?" + any_case("key")])
