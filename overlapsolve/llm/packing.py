@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import os
 import re
+import unicodedata
 import zlib
 from array import array
 from collections.abc import Iterable, Iterator
@@ -52,8 +53,8 @@ class WordTokenizer:
         return [array("I", x.ids).tobytes() for x in found]
 
     def _new(self, words: set[bytes]) -> dict[bytes, bytes]:
-        # Signs after a letter or digit are a part of their own in the splitting pattern.
-        split = {w: (m[1].encode(), m[2].encode()) for w in words if (m := _SIGNS.fullmatch(w.decode()))}
+        # Signs after a letter or digit are a part of their own in the splitting pattern, unless there are marks, which the normaliser may join.
+        split = {w: (m[1].encode(), m[2].encode()) for w in words if (m := _SIGNS.fullmatch(w.decode())) and not _marked(m[1][-1].lower() + m[2])}
         parts = {p for w in words for p in split.get(w, (w,))}
         known = self.known
         need = [p for p in parts if p not in known]
@@ -86,6 +87,10 @@ class WordTokenizer:
             return out
 
 
+def _marked(part: str) -> bool:
+    return not part.isascii() and any(unicodedata.category(c)[0] == "M" for c in part)
+
+
 _SIGNS = re.compile(r"(.*[^\W_])([^\w\s']+)", re.DOTALL)
 _KEPT: dict[str, WordTokenizer] = {}
 

@@ -248,7 +248,7 @@ def test_decoding_by_stretches_equals_whole():
 
 def test_packing(spark, awkward, empty):
     inner = Tokenizer.from_file(BPE)
-    texts = AWKWARD + ["Don't. x!!### ½. foo_. NAÏVE, A.B.C é. ²³. ΟΔΟΣ.", "a b　c   d", "K" * 300]
+    texts = AWKWARD + ["Don't. x!!### ½. foo_. NAÏVE, A.B.C é. ²³. ΟΔΟΣ.", "a b　c   d", "K" * 300, "cafe\u0301 resume\u0301, nin\u0303. e\u0301, x=\u0338 \u0130, a\u0327\u0301! ok."]
     pieces = packing.pack(table(spark, texts), BPE, with_ids=True).collect()
     want = {k: [*inner.encode(t or "", add_special_tokens=False).ids, 2] for k, t in enumerate(texts, 1)}
     seen = defaultdict(dict)
