@@ -2,12 +2,14 @@
 
 The raw model counts every document; the target model counts those that labels call good (at most `sample` of them, the
 ones with the smallest hashed ids). Counts are summed in each task and merged by bucket, so the driver gets one row a bucket
-whatever the data. A document's log weight is the log ratio of both models over its words and word pairs, plus an allowance
-for what chance does to a sum of so many terms. The k documents with the largest log weight plus Gumbel noise are kept,
+whatever the data. A document's log weight is the log ratio of both models over its words and word pairs, plus a margin a gram
+that is the same at every size. The target count of a bucket is smoothed towards what the raw model expects there, so a sample
+that says little about a bucket changes little; and a document is left out of the models that judge it, so labelled rows are
+judged like others. The k documents with the largest log weight plus Gumbel noise are kept,
 where k is the number of documents with a weight of 1 or more; the noise comes from a keyed hash of the id, so a rerun keeps
 the same. The k-th draw is found exactly by counting in ever finer intervals.
 
-Edge cases: a null or empty text has the log weight `slack`, so it counts as explained; ties go to the smaller id, a row without id is drawn
+Edge cases: a null or empty text has the log weight 0, so it counts as explained; ties go to the smaller id, a row without id is drawn
 like any other and comes first among ties; with no labelled rows, no weight is below 1 and all rows are kept; repeated rows are
 each drawn (with equal keys); an empty table gives an empty result.
 """
@@ -15,6 +17,7 @@ each drawn (with equal keys); an empty table gives an empty result.
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -33,16 +36,25 @@ def target_ids(labels: DataFrame, sample: int = 20_000, key: str = "doc_id") ->
     return [r[0] for r in good.orderBy(F.xxhash64(key), key).limit(sample).collect()]
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, bits: int = BITS, smoothing: float = 1.0, error: float = 3.0, key: str = "doc_id", text: str = "text") -> np.ndarray:
-    """Log ratio of target and raw probability of each bucket, plus `error` times buckets over target grams: what words that the
-    labelled sample happens to lack cost a document of the same kind. Zeros without target text."""
-    shared = docs.sparkSession.sparkContext.broadcast(np.array(sorted(target_ids(labels, sample, key)), np.int64))  # `sample` ids at most
+@dataclass
+class Counts:
+    """Counts of each bucket in all and in the target's documents, and the ids of these."""
+
+    raw: np.ndarray
+    target: np.ndarray
+    ids: np.ndarray
+
+
+def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, bits: int = BITS, key: str = "doc_id", text: str = "text") -> Counts:
+    """Summed over all documents."""
+    ids = np.array(sorted(target_ids(labels, sample, key)), np.int64)  # `sample` at most
+    shared = docs.sparkSession.sparkContext.broadcast(ids)
 
     def counts(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         raw, target = np.zeros(1 << bits, np.int64), np.zeros(1 << bits, np.int64)
         for b in sliced(batches, 1 << 21, text):
             doc, bucket = ngram_buckets(b.column(1).cast(pa.binary()).to_pylist(), bits)
-            chosen = np.isin(b.column(0).fill_null(-(2**63)).to_numpy(zero_copy_only=False), shared.value)
+            chosen = _among(b.column(0), shared.value)
             raw += np.bincount(bucket, minlength=1 << bits)
             target += np.bincount(bucket[chosen[doc]], minlength=1 << bits)
         some = np.flatnonzero(raw)
@@ -50,25 +62,37 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, bits: int = BI
 
     parts = id_and_text(docs, key, text).mapInArrow(counts, "bucket long, raw long, target long")
     total = parts.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect()  # 2^bits rows
-    raw, target = np.full(1 << bits, smoothing), np.full(1 << bits, smoothing)
+    raw, target = np.zeros(1 << bits), np.zeros(1 << bits)
     for bucket, r, t in total:
-        raw[bucket] += r
-        target[bucket] += t
-    if target.sum() <= smoothing * (1 << bits):
-        return np.zeros(1 << bits)
-    return np.log(target / target.sum()) - np.log(raw / raw.sum()) + error * (1 << bits) / target.sum()
+        raw[bucket], target[bucket] = r, t
+    return Counts(raw, target, ids)
+
+
+def _among(column: pa.Array, ids: np.ndarray) -> np.ndarray:
+    return np.isin(column.fill_null(-(2**63)).to_numpy(zero_copy_only=False), ids)
 
 
-def weighed(docs: DataFrame, ratio: np.ndarray, slack: float = 8.0, per_gram: float = 0.05, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, log_weight) of each row; the allowance is `slack` and `per_gram` for each word or pair."""
-    shared = docs.sparkSession.sparkContext.broadcast(ratio)
-    bits = len(ratio).bit_length() - 1
+def weighed(docs: DataFrame, model: Counts, strength: float = 10.0, per_gram: float = 0.05, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, log_weight) of each row: `strength` is the expected count at which a bucket's own count and the raw model weigh
+    the same; `per_gram` is the margin for each word or pair."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    size = len(model.raw)
+    bits = size.bit_length() - 1
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        raw, target = shared.value.raw, shared.value.target
+        all_raw, all_target = raw.sum(), target.sum()
         for b in sliced(batches, 1 << 21, text):
             doc, bucket = ngram_buckets(b.column(1).cast(pa.binary()).to_pylist(), bits)
-            weight = np.bincount(doc, weights=shared.value[bucket] + per_gram, minlength=b.num_rows) + slack
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(weight)], names=[key, "log_weight"])
+            place, own = np.unique(doc * size + bucket, return_counts=True)
+            doc, bucket = place >> bits, place & (size - 1)
+            grams = np.bincount(doc, weights=own, minlength=b.num_rows)
+            chosen = _among(b.column(0), shared.value.ids)
+            others = (raw[bucket] - own + 1) / (all_raw - grams + size)[doc]
+            expected = (all_target - np.where(chosen, grams, 0))[doc] * others
+            log_ratio = np.log((strength + target[bucket] - np.where(chosen[doc], own, 0)) / (strength + expected))
+            weight = np.bincount(doc, weights=own * (log_ratio + per_gram), minlength=b.num_rows)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(weight, pa.float64())], names=[key, "log_weight"])
 
     return id_and_text(docs, key, text).mapInArrow(of, f"{key} long, log_weight double")
 

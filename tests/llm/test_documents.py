@@ -327,6 +327,16 @@ def test_quality_model(spark, awkward, empty):
     assert quality_model.resample(empty, labels).count() == 0
 
 
+def test_short_poor_texts_are_not_kept_at_two_sizes(spark):
+    few, odd = prose(20, 77, False).split(), prose(20, 78, False).split()
+    say = lambda k, of, n=60: " ".join(random.Random(k).choices(of, k=n))
+    for size in (200, 600):
+        good, poor = [say(k, few) for k in range(size)], [say(k, odd, 6) for k in range(size // 2)]
+        labels = labels_of(spark, [(k, int(k <= size), 0) for k in range(1, size + size // 2, 2)])
+        drawn = quality_model.resample(table(spark, good + poor), labels).collect()
+        assert all((r.log_weight >= 0) == (r.doc_id <= size) for r in drawn)
+
+
 def test_kth_largest(spark):
     r = random.Random(1)
     xs = [r.choice([r.random(), 0.5, 1e9 * r.random(), -3.0]) for _ in range(500)]
