@@ -11,24 +11,22 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from overlapsolve.session import checkpoint
+from overlapsolve.session import checkpoint, discard
 
 
-def _tied(edges: DataFrame, minima: DataFrame, key: str) -> DataFrame:
-    return edges.join(checkpoint(minima), key)
-
-
-def _large_star(edges: DataFrame) -> DataFrame:
+def _large_star(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
     both = edges.select(F.col("parent").alias("hub"), F.col("child").alias("other")).union(edges.select(F.col("child").alias("hub"), F.col("parent").alias("other")))
-    minima = both.groupBy("hub").agg(F.min("other").alias("least")).select(F.col("hub").alias("parent"), F.least("hub", "least").alias("least"))
-    return _tied(edges, minima, "parent").select("child", F.col("least").alias("parent")).distinct()
+    minima = checkpoint(both.groupBy("hub").agg(F.min("other").alias("least")).select(F.col("hub").alias("parent"), F.least("hub", "least").alias("least")))
+    return edges.join(minima, "parent").select("child", F.col("least").alias("parent")).distinct(), minima
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
-    minima = edges.groupBy("child").agg(F.min("parent").alias("least"))
-    tied = _tied(edges, minima, "child")
-    up = tied.where("parent > least").select(F.col("parent").alias("child"), F.col("least").alias("parent"))
-    return up.union(tied.select("child", F.col("least").alias("parent"))).distinct()
+def _small_star(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
+    minima = checkpoint(edges.groupBy("child").agg(F.min("parent").alias("least")))
+    up = F.struct(F.col("parent").alias("child"), F.col("least").alias("parent"))
+    own = F.struct("child", F.col("least").alias("parent"))
+    # An edge to the smallest parent needs no second one; arrays keep the join from being run once a side of a union.
+    tied = edges.join(minima, "child").select(F.explode(F.when(F.col("parent") > F.col("least"), F.array(up, own)).otherwise(F.array(own))).alias("e"))
+    return tied.select("e.child", "e.parent").distinct(), minima
 
 
 def _settled(edges: DataFrame) -> bool:
@@ -46,5 +44,10 @@ def connected_components(edges: DataFrame, left: str = "u", right: str = "v") ->
     e = edges.select(F.greatest(left, right).alias("child"), F.least(left, right).alias("parent")).where(F.col(left).isNotNull() & F.col(right).isNotNull() & (F.col(left) != F.col(right))).distinct()
     e = checkpoint(e)
     while not _settled(e):
-        e = checkpoint(_small_star(checkpoint(_large_star(e))))
+        large, least = _large_star(e)
+        half = checkpoint(large)
+        discard(e, least)
+        small, least = _small_star(half)
+        e = checkpoint(small)
+        discard(half, least)
     return e.select(F.col("child").alias("node"), F.col("parent").alias("component")).union(e.select("parent", "parent").distinct())

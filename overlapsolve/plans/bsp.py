@@ -20,7 +20,7 @@ from overlapsolve.functions.solvers import factor, kept
 from overlapsolve.operators.coarse import CoarseProblem
 from overlapsolve.operators.local import Block, pack_blocks, residual_global
 from overlapsolve.operators.overlap import decompose
-from overlapsolve.session import checkpoint
+from overlapsolve.session import checkpoint, discard
 from overlapsolve.system import Config, Sys
 
 #: kind: 0 own iterate, 1 slab, 2 own correction, 3 a peer's masked correction, 4 share of the coarse right-hand side, 5 a kept vector.
@@ -159,12 +159,14 @@ def one_level_step(solve, sweeps: int = 1) -> Step:
 
 def _loop(run: Supersteps, messages: DataFrame, advance: Callable[[DataFrame], DataFrame], cfg: Config, exact: int | None) -> Result:
     """Iterate to the tolerance, or `exact` times. A norm belongs to the iterate before the superstep that reports it."""
-    history, done = [], 0
+    history, done, latest = [], 0, messages
     most = cfg.max_iter if exact is None else exact
     while done < most:
         for _ in range(min(cfg.checkpoint_every, most - done)):
             messages, done = advance(messages), done + 1
-        messages = checkpoint(messages)
+        before, messages = latest, checkpoint(messages)
+        latest = messages
+        discard(before)
         norm = run.norm(messages)
         history.append((done - 1, norm))
         if exact is None and norm < cfg.tol:
@@ -216,7 +218,9 @@ def ras2_sync(sys: Sys, cfg: Config = Config(), exact: int | None = None) -> Res
             w = m["w"] + wl * solve(b).solve(r) + wc * b.from_coarse(v0)
             return [own(b.p, w, _masked_square(b, r)), *slabs(b, b.slab(w), True)]
 
-        return checkpoint(run.step(messages, f))
+        new = checkpoint(run.step(messages, f))
+        discard(messages)
+        return new
 
     return _loop(run, run.begin(coarse=True), advance, cfg, exact)
 
@@ -238,7 +242,9 @@ def ras2_mult_sync(sys: Sys, cfg: Config = Config(), exact: int | None = None) -
             w = m["w"] + solve(b).solve(r)
             return [own(b.p, w, _masked_square(b, r)), *slabs(b, b.slab(w), True)]
 
-        return checkpoint(run.step(run.step(messages, lift), local))
+        new = checkpoint(run.step(run.step(messages, lift), local))
+        discard(messages)
+        return new
 
     return _loop(run, run.begin(coarse=True), advance, cfg, exact)
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -22,17 +23,52 @@ def local_session(cores: int | str = "*", shuffle_partitions: int = 8) -> SparkS
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; a temporary one is set only if the session names none."""
+    """The folder in spark.checkpoint.dir. A local session without one gets a temporary folder; on a cluster it has to be named."""
     sc = spark.sparkContext
     path = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if path is None:
+        if not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         path = tempfile.mkdtemp(prefix="overlapsolve-ckpt-")
     if sc.getCheckpointDir() is None:
         sc.setCheckpointDir(path)
     return path
 
 
+def scratch(spark: SparkSession) -> str:
+    """Where this application writes its intermediate tables, within the shared folder."""
+    return f"{shared_dir(spark)}/overlapsolve-{spark.sparkContext.applicationId}"
+
+
 def checkpoint(df: DataFrame) -> DataFrame:
-    """Cut lineage in the shared folder, so a lost executor costs a reread and not a recomputation."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """df written to the shared folder as Parquet and read back: lineage is cut, and a lost executor costs a reread.
+
+    Sizes are then those of the files. Spark's own checkpoint keeps the estimate of the plan that made it, which grows
+    with the square of itself in a loop that joins its iterate with itself.
+    """
+    if "_written" in df.__dict__:
+        return df
+    spark = df.sparkSession
+    path = f"{scratch(spark)}/{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    back = spark.read.schema(df.schema).parquet(path)
+    back._written = path
+    return back
+
+
+def discard(*frames: DataFrame) -> None:
+    """Delete the files of checkpoints that nothing refers to any more. A frame that is no checkpoint is left alone."""
+    for df in frames:
+        path = df.__dict__.pop("_written", None)
+        if path:
+            remove(df.sparkSession, path)
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def clean(spark: SparkSession) -> None:
+    """Delete all that this application has written to the shared folder; results that haven't been read yet go too."""
+    remove(spark, scratch(spark))
