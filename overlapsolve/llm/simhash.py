@@ -27,8 +27,9 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from overlapsolve.llm.common import id_and_text, sliced
+from overlapsolve.llm.hashing import word_hashes
 from overlapsolve.operators.components import connected_components
-from overlapsolve.session import checkpoint
+from overlapsolve.session import checkpoint, discard
 
 SEED = 42
 BITS = 64
@@ -119,45 +120,80 @@ def hex_digits(fp: str = "fp") -> Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def _digests(docs: DataFrame, key: str, text: str) -> DataFrame:
-    """(doc_id, same): a digest of the words."""
+#: Bits of a set's signature, in longs: |x and y| is at most |x| less the number of bits that x sets and y doesn't.
+SIGNATURE = 16
+_ODD = np.array([pow(0x9E3779B97F4A7C15, 2 * k + 1, 1 << 64) for k in range(64)], np.uint64)
+
+
+def _windows(texts: list[bytes], words: int) -> list[np.ndarray]:
+    """64-bit hashes of each text's word windows, A-Z in lower case, repeats included; of a shorter text its whole."""
+    doc, h = word_hashes(texts)
+    first = np.searchsorted(doc, np.arange(len(texts) + 1))
+    with np.errstate(over="ignore"):
+        rolled = sum((h[k : max(0, len(h) - words + 1 + k)] * _ODD[k] for k in range(words)), np.uint64(0))
+        rolled = (rolled ^ rolled >> np.uint64(31)) * _ODD[words]
+        rolled = rolled ^ rolled >> np.uint64(29)
+        out = []
+        for a, b in zip(first[:-1], first[1:], strict=True):
+            if b - a >= words or b == a:
+                out.append(rolled[a : max(a, b - words + 1)] if b > a else np.zeros(0, np.uint64))
+            else:
+                out.append(np.atleast_1d((h[a:b] * _ODD[: b - a]).sum() * _ODD[words + int(b - a)]))
+    return out
+
+
+def _texts(docs: DataFrame, key: str, text: str) -> DataFrame:
+    """(id, text) of the rows with an id, whatever else docs holds."""
+    return docs.select(F.col(key).cast("long").alias("id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text")).where("id is not null")
+
+
+def _sketches(texts: DataFrame, words: int) -> DataFrame:
+    """(id, same, n, fp, s0, ...): a digest of the words; of the distinct windows the number, SimHash fingerprint and signature."""
+    names = ["id", "same", "n", "fp", *[f"s{k}" for k in range(SIGNATURE)]]
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            same = [xxhash.xxh3_128_intdigest(b" ".join(t.as_py().lower().split())).to_bytes(16, "big") for t in b.column(1).cast(pa.binary())]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(same, pa.binary())], names=[key, "same"])
+        for b in sliced(batches, 1 << 21):
+            raw = b.column(1).cast(pa.binary()).to_pylist()
+            same = [xxhash.xxh3_128_intdigest(b" ".join(t.lower().split())).to_bytes(16, "big") for t in raw]
+            n, fp, signs = np.zeros(len(raw), np.int32), np.zeros(len(raw), np.uint64), np.zeros((len(raw), 64 * SIGNATURE), np.uint8)
+            for i, h in enumerate(_windows(raw, words)):
+                h = np.unique(h)
+                n[i], fp[i] = len(h), _majority(h)
+                signs[i, (h % np.uint64(64 * SIGNATURE)).astype(np.int64)] = 1
+            longs = np.packbits(signs, axis=1, bitorder="little").view("<i8")
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(same, pa.binary()), pa.array(n), pa.array(fp.view(np.int64)), *[pa.array(np.ascontiguousarray(longs[:, k])) for k in range(SIGNATURE)]], names=names)
 
-    return id_and_text(docs, key, text).mapInArrow(of, f"{key} long, same binary")
+    return texts.mapInArrow(of, "id long, same binary, n int, fp long, " + ", ".join(f"s{k} long" for k in range(SIGNATURE)))
 
 
-def _word_windows(docs: DataFrame, words: int, key: str, text: str) -> DataFrame:
-    """(doc_id, grams): the distinct hashes of word windows, A-Z in lower case; of a shorter text its whole."""
+def _grams(texts: DataFrame, words: int, pick=None) -> DataFrame:
+    """(id, grams): the distinct window hashes, or those that pick(hashes) leaves."""
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in sliced(batches, 1 << 22, text):
-            grams = [np.unique(shingle_hashes(t.as_py(), words)).view(np.int64) for t in b.column(1).cast(pa.binary())]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(grams, pa.list_(pa.int64()))], names=[key, "grams"])
+        for b in sliced(batches, 1 << 21):
+            grams = [np.unique(h) for h in _windows(b.column(1).cast(pa.binary()).to_pylist(), words)]
+            grams = [(h if pick is None else pick(h)).view(np.int64) for h in grams]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(grams, pa.list_(pa.int64()))], names=["id", "grams"])
 
-    return id_and_text(docs, key, text).mapInArrow(of, f"{key} long, grams array<long>")
+    return texts.mapInArrow(of, "id long, grams array<long>")
 
 
-def _common_windows(docs: DataFrame, words: int, key: str, text: str, rows: int = 5000, share: int = 10, most: int = 200_000) -> np.ndarray:
-    """Hashes of the windows that recur in a sample, commonest last; which ones are in it only decides how much is compared."""
-    every = max(1, min(share, docs.count() // rows))
-    sample = docs.where(F.pmod(F.xxhash64(F.col(key), F.lit(SEED)), F.lit(every)) == 0)
-    counted = _word_windows(sample, words, key, text).select(F.explode("grams").alias("gram")).groupBy("gram").agg(F.count("*").alias("n")).where("n > 2")
-    top = counted.orderBy(F.desc("n"), "gram").limit(most).toArrow()  # `most` rows
-    return top.column("gram").to_numpy()[::-1].copy()
+def _common_windows(texts: DataFrame, words: int, share: int = 10, most: int = 200_000) -> np.ndarray:
+    """Hashes of the windows that recur in a sample of one in `share` ids, commonest last; which these are only decides how much is compared."""
+    sample = texts.where(F.pmod(F.xxhash64("id", F.lit(SEED)), F.lit(share)) == 0)
+    counted = _grams(sample, words).select(F.explode("grams").alias("gram")).groupBy("gram").agg(F.count("*").alias("n")).where("n > 2")
+    top = counted.orderBy(F.desc("n"), "gram").limit(most).select("gram").toArrow()  # `most` numbers
+    return top.column("gram").to_numpy()[::-1].view(np.uint64).copy()
 
 
-def _prefixes(docs: DataFrame, common: np.ndarray, similarity: float, words: int, key: str, text: str) -> DataFrame:
-    """(doc_id, n, grams): the number of distinct windows, and the first of them in an order that all texts share.
+def _prefixes(texts: DataFrame, common: np.ndarray, similarity: float, words: int) -> DataFrame:
+    """(id, grams): the first of the distinct windows in an order that all texts share.
 
     Of n windows, one of the first n - ceil(similarity n) + 1 is also among the first ones of any text that is similar: if
     none were, over n (1 - similarity) would be missing there. This holds in any order; here the common windows come last.
     """
     order = np.argsort(common)
-    shared = docs.sparkSession.sparkContext.broadcast((common[order], order))
+    shared = texts.sparkSession.sparkContext.broadcast((common[order], order))
 
     def first(h: np.ndarray) -> np.ndarray:
         known, rank = shared.value
@@ -167,62 +203,79 @@ def _prefixes(docs: DataFrame, common: np.ndarray, similarity: float, words: int
             h = np.concatenate([h[~often], h[often][np.argsort(rank[at[often]])]])
         return h[: len(h) - ceil(similarity * len(h) - 1e-9) + 1]
 
-    def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in sliced(batches, 1 << 22, text):
-            grams = [np.unique(shingle_hashes(t.as_py(), words)).view(np.int64) for t in b.column(1).cast(pa.binary())]
-            n = pa.array([len(h) for h in grams], pa.int32())
-            yield pa.RecordBatch.from_arrays([b.column(0), n, pa.array([first(h) for h in grams], pa.list_(pa.int64()))], names=[key, "n", "grams"])
+    return _grams(texts, words, first)
+
+
+def _enough(similarity: float, x: str, y: str) -> Column:
+    """Whether the sets x and y can be similar, by their sizes and signatures: never false for two that are."""
+    part = lambda t, c: F.col(f"{t}.{c}") if t else F.col(c)
+    missing = lambda u, v: sum((F.bit_count(part(u, f"s{k}").bitwiseAND(F.bitwise_not(part(v, f"s{k}")))) for k in range(SIGNATURE)), F.lit(0))
+    nx, ny = part(x, "n"), part(y, "n")
+    common = F.least(nx - missing(x, y), ny - missing(y, x))
+    return (F.least(nx, ny) >= F.lit(similarity - 1e-9) * F.greatest(nx, ny)) & (common >= F.lit(similarity - 1e-9) * (nx + ny - common))
+
 
-    return id_and_text(docs, key, text).mapInArrow(of, f"{key} long, n int, grams array<long>")
+def _possible(pairs: DataFrame, reps: DataFrame, similarity: float) -> DataFrame:
+    """Of distinct pairs (a, b), those that sizes and signatures allow."""
+    x, y = reps.drop("fp").alias("x"), reps.drop("fp").alias("y")
+    both = pairs.alias("p").join(x, F.col("p.a") == F.col("x.id")).join(y, F.col("p.b") == F.col("y.id"))
+    return checkpoint(both.where(_enough(similarity, "x", "y")).select("p.a", "p.b"))
 
 
-def _alike(docs: DataFrame, pairs: DataFrame, similarity: float, words: int, key: str, text: str) -> DataFrame:
-    """Of the pairs (a, b), those with a Jaccard index of at least `similarity`, as edges (u, v)."""
-    wanted = checkpoint(pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct())
-    grams = checkpoint(_word_windows(docs.join(wanted, docs[key] == F.col("_id"), "left_semi"), words, key, text))
-    one = grams.select(F.col(key).alias("a"), F.col("grams").alias("ga"))
-    two = grams.select(F.col(key).alias("b"), F.col("grams").alias("gb"))
+def _alike(texts: DataFrame, pairs: DataFrame, similarity: float, words: int) -> DataFrame:
+    """Of the pairs (a, b), those with a Jaccard index of at least `similarity`, as edges (u, v). Window sets are made for these texts only."""
+    ends = pairs.select(F.explode(F.array(F.struct(F.col("a").alias("id"), F.lit(True).alias("left")), F.struct(F.col("b").alias("id"), F.lit(False).alias("left")))).alias("e")).select("e.*")
+    wanted = checkpoint(ends.groupBy("id").agg(F.max("left").alias("left"), F.min("left").alias("only")))
+    sets = checkpoint(_grams(texts.join(wanted, "id", "left_semi"), words))
+    one = sets.join(wanted.where("left").select("id"), "id", "left_semi").select(F.col("id").alias("a"), F.col("grams").alias("ga"))
+    two = sets.join(wanted.where("not only").select("id"), "id", "left_semi").select(F.col("id").alias("b"), F.col("grams").alias("gb"))
     shared = F.size(F.array_intersect("ga", "gb"))
-    alike = shared >= F.lit(similarity) * (F.size("ga") + F.size("gb") - shared)
-    return pairs.select("a", "b").join(one, "a").join(two, "b").where(alike).select(F.col("a").alias("u"), F.col("b").alias("v"))
+    alike = shared >= F.lit(similarity - 1e-9) * (F.size("ga") + F.size("gb") - shared)
+    found = checkpoint(pairs.join(two, "b").join(one, "a").where(alike).select(F.col("a").alias("u"), F.col("b").alias("v")).distinct())
+    discard(wanted, sets)
+    return found
 
 
-def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, key: str = "doc_id", text: str = "text") -> DataFrame:
+def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, radius: int = 2, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, component_id) of documents that have an equal or a similar one; component_id is the smallest id of the group.
 
-    Similar is a Jaccard index of at least `similarity` between sets of word windows, which is computed exactly. Every such
-    pair shares one of both texts' first windows (see _prefixes), so texts are gathered by these. Members of a gathering are
-    first compared with its smallest id. Where that leaves more than one component in it, all its pairs across components
-    are compared that aren't excluded by the numbers of windows: nothing is left out, and large groups of copies make few pairs.
+    Similar is a Jaccard index of at least `similarity` between sets of word windows, which is computed exactly. Candidates
+    are pairs whose SimHash fingerprints of these windows lie within `radius`, by the covering tables. An index of
+    `similarity` bounds no number of differing bits, so texts are also gathered by their first windows (see _prefixes),
+    which every similar pair shares. Members of a gathering are first compared with its smallest id. Where that leaves more
+    than one component in it, all its pairs across components are compared: nothing is left out, and large groups of copies
+    make few pairs. Pairs that sizes and signatures exclude are dropped before any set of windows is moved.
     """
-    digests = checkpoint(_digests(docs, key, text).where(F.col(key).isNotNull()))
-    same = checkpoint(digests.groupBy("same").agg(F.min(key).alias("rep"), F.count("*").alias("n")))
-    reps = _prefixes(docs, _common_windows(docs, words, key, text), similarity, words, key, text).join(same, F.col(key) == same.rep, "left_semi").dropDuplicates([key])
-    rows = reps.select(F.col(key).alias("id"), "n", F.posexplode("grams").alias("pos", "gram"))
+    texts = _texts(docs, key, text)
+    sketches = checkpoint(_sketches(texts, words))
+    firsts = [F.first(c).alias(c) for c in sketches.columns[2:]]
+    same = checkpoint(sketches.groupBy("same").agg(F.min("id").alias("id"), F.count("*").alias("copies"), *firsts))
+    reps = same.drop("same", "copies")
+    rows = _prefixes(texts, _common_windows(texts, words), similarity, words).join(reps.select("id"), "id", "left_semi").select("id", F.explode("grams").alias("gram"))
     here = Window.partitionBy("gram")
     met = checkpoint(rows.withColumn("low", F.min("id").over(here)).withColumn("high", F.max("id").over(here)).where("low < high").drop("high"))
 
-    stars = checkpoint(met.where("id > low").select(F.col("low").alias("a"), F.col("id").alias("b")).distinct())
-    edges = checkpoint(_alike(docs, stars, similarity, words, key, text))
+    points = checkpoint(reps.where("n > 0").groupBy("fp").agg(F.min("id").alias("rep")))
+    printed = reps.join(points, "fp").where("id <> rep").select(F.col("rep").alias("u"), F.col("id").alias("v")).union(links(points, radius))
+    stars = met.where("id > low").select(F.col("low").alias("a"), F.col("id").alias("b")).union(printed.select(F.least("u", "v"), F.greatest("u", "v"))).distinct()
+    able = _possible(stars, reps, similarity)
+    edges = _alike(texts, able, similarity, words)
     found = checkpoint(connected_components(edges))
 
-    of = met.join(found, met.id == found.node, "left").select("gram", "id", "n", "pos", F.coalesce("component", "id").alias("part"))
-    apart = checkpoint(of.withColumn("low", F.min("part").over(here)).withColumn("high", F.max("part").over(here)).where("low < high").drop("low", "high"))
-    x, y = apart.alias("x"), apart.alias("y")
-    across = x.join(y, "gram").where("x.id < y.id and x.part <> y.part").where(F.least("x.n", "y.n") >= F.lit(similarity - 1e-9) * F.greatest("x.n", "y.n"))
-    # Windows up to the last one met at are counted, and at most the fewer of what either text has after it can be shared too.
-    counted = across.groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(F.count("*").alias("c"), F.max("x.n").alias("na"), F.max("y.n").alias("nb"), F.max("x.pos").alias("pa"), F.max("y.pos").alias("pb"))
-    most = F.col("c") + F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) - 1
-    able = most >= F.lit(similarity - 1e-9) * (F.col("na") + F.col("nb") - most)
-    rest = checkpoint(counted.where(able).select("a", "b").join(stars, ["a", "b"], "left_anti"))
+    of = met.join(found, met.id == found.node, "left").select("gram", "id", F.coalesce("component", "id").alias("part"))
+    apart = checkpoint(of.withColumn("low", F.min("part").over(here)).withColumn("high", F.max("part").over(here)).where("low < high").drop("low", "high").join(reps.drop("fp"), "id"))
+    across = apart.alias("x").join(apart.alias("y"), "gram").where("x.id < y.id and x.part <> y.part").where(_enough(similarity, "x", "y"))
+    rest = checkpoint(across.select(F.col("x.id").alias("a"), F.col("y.id").alias("b")).distinct().join(able, ["a", "b"], "left_anti"))
+    discard(met, apart)
     if not rest.isEmpty():
-        found = checkpoint(connected_components(edges.union(_alike(docs, rest, similarity, words, key, text))))
+        found = checkpoint(connected_components(edges.union(_alike(texts, rest, similarity, words))))
 
-    classes = checkpoint(same.join(found, same.rep == found.node, "left").where("n > 1 or component is not null").select("same", F.coalesce("component", "rep").alias("component_id")))
-    return digests.join(classes, "same").select(key, "component_id")
+    tied = same.join(found, same.id == found.node, "left").where("copies > 1 or component is not null")
+    classes = checkpoint(tied.select("same", F.coalesce("component", "id").alias("component_id")))
+    return sketches.join(classes, "same").select(F.col("id").alias(key), "component_id")
 
 
 def first_of_each_group(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
-    """The rows of docs, all columns, but for those that similar_copies ties to a smaller doc_id. A row without an id stays."""
-    copies = checkpoint(similar_copies(docs, key=key, text=text, **options).where(F.col(key) != F.col("component_id")).select(F.col(key).alias("_copy")))
-    return docs.join(copies, docs[key] == F.col("_copy"), "left_anti")
+    """The rows of docs, all columns, but for those that similar_copies ties to a smaller doc_id. A row without an id stays, and so do rows that repeat an id."""
+    copies = checkpoint(similar_copies(docs, key=key, text=text, **options).where(F.col(key) != F.col("component_id")).select(key).distinct())
+    return docs.join(copies, key, "left_anti")
