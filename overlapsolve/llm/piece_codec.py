@@ -1,13 +1,14 @@
 """Encoding with the pieces of a merge-type SentencePiece vocabulary, with seeded merge-dropout, and decoding.
 
 A chunk starts as single characters; an agenda holds the adjacent pairs that form a piece, best score first. A pair that
-is taken from the agenda is merged unless a keyed hash of the seed, the variant, the chunk and the pair's place says to skip it
-(with probability `dropout`); a skipped pair stays apart. Segmentations thus vary, but a rerun gives the same. Characters
+is taken from the agenda is merged unless a keyed hash says to skip it (with probability `dropout`); a skipped pair stays
+apart. The hash is keyed by the seed, the document's id, the chunk's place in it, and how many pairs of the chunk were
+considered before. So each occurrence of a word is drawn anew, but a rerun gives the same. Characters
 without a piece become byte pieces, so decoding is lossless: spaces are written as the vocabulary's mark, and a mark in the
 text itself goes into bytes.
 
-Texts are cut before runs of spaces, which no piece spans, so chunks can be encoded alone and kept. Each occurrence of a
-chunk takes one of `variants` segmentations, by a keyed hash of the document's id and the place in it.
+Texts are cut before runs of spaces, which no piece spans, so chunks can be encoded alone. The decisions determine the
+segmentation, so it is kept by chunk and decisions: what is kept changes no result, only how soon it is found.
 
 Edge cases: a null or empty text has no pieces; very long texts are encoded whole, chunk by chunk; repeated rows get the same
 pieces; a row without doc_id is keyed like id 0; an empty table gives an empty result.
@@ -42,7 +43,9 @@ class Pieces:
         names = [model.id_to_piece(i) for i in range(n)]
         plain = [i for i in range(n) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i) or model.is_unused(i))]
         self.ids = {names[i]: i for i in plain}
-        self.scores = {names[i]: model.get_score(i) for i in plain}
+        #: By piece: 0 for the best score, and so on; equal scores have equal ranks.
+        rank = {x: k for k, x in enumerate(sorted({model.get_score(i) for i in plain}, reverse=True))}
+        self.ranks = {names[i]: rank[model.get_score(i)] for i in plain}
         self.byte_ids = {int(names[i][3:-1], 16): i for i in range(n) if model.is_byte(i)}
         if len(self.byte_ids) != 256:
             raise ValueError("the vocabulary has no byte pieces")
@@ -60,50 +63,90 @@ class Pieces:
 
 
 _WORD = (1 << 64) - 1
+_STEP, _MIX = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F
+DECIDED = 24
 
 
-def segment(chunk: str, pieces: Pieces, dropout: float = 0.0, key: int = 0) -> list[int]:
-    """Ids of one chunk; spaces are marks."""
+def _mixed(h: int) -> int:
+    h = (h ^ h >> 32) * _MIX & _WORD
+    h = (h ^ h >> 29) * _STEP & _WORD
+    return h ^ h >> 32
+
+
+def skipped(key: int, n: int, limit: int) -> bool:
+    """Whether the n-th pair considered in the chunk with this key is skipped: 32 bits of a hash, below the limit."""
+    return (_mixed(key + (n // 2 + 1) * _STEP & _WORD) >> (32 * (n % 2)) & 0xFFFFFFFF) < limit
+
+
+def decisions(keys: np.ndarray, limit: int) -> list[int]:
+    """The first DECIDED decisions of each chunk as bits, as skipped() makes them."""
+    out: list[int] = []
+    with np.errstate(over="ignore"):
+        for block in np.array_split(keys, len(keys) // 8192 + 1):
+            h = block[:, None] + np.arange(1, DECIDED // 2 + 1, dtype=np.uint64) * np.uint64(_STEP)
+            h = (h ^ h >> np.uint64(32)) * np.uint64(_MIX)
+            h = (h ^ h >> np.uint64(29)) * np.uint64(_STEP)
+            h ^= h >> np.uint64(32)
+            bits = h.astype("<u8").view("<u4").reshape(len(block), DECIDED) < limit
+            out += (np.packbits(bits, axis=1, bitorder="little") @ np.array([1, 1 << 8, 1 << 16])).tolist()
+    return out
+
+
+def chunk_keys(doc_id: int, seed: int, n: int) -> np.ndarray:
+    """A key for each chunk of a document, by its place."""
+    start = np.uint64(xxhash.xxh64_intdigest(str(doc_id), seed))
+    with np.errstate(over="ignore"):
+        return (start + np.arange(n, dtype=np.uint64)) * np.uint64(_MIX)
+
+
+def segment(chunk: str, pieces: Pieces, limit: int = 0, key: int = 0, mask: int = 0) -> tuple[list[int], int]:
+    """Ids of one chunk, spaces being marks, and the number of pairs considered. mask: the first decisions; later ones come from the key."""
     symbols = list(chunk.replace(" ", MARK))
     literal = {i for i, c in enumerate(chunk) if c == MARK} if MARK in chunk else ()
     n = len(symbols)
     left, right, size = list(range(-1, n - 1)), list(range(1, n + 1)), [1] * n
-    score_of, push, pop = pieces.scores.get, heapq.heappush, heapq.heappop
+    rank_of, push, pop = pieces.ranks.get, heapq.heappush, heapq.heappop
+    # An entry is one number: the rank, the left symbol's place, and the sizes of both symbols.
+    w = n.bit_length()
+    most = (1 << w) - 1
+    ones = 1 << w | 1
     agenda = []
-    for a in range(n - 1):
-        if literal and (a in literal or a + 1 in literal):
-            continue
-        score = score_of(symbols[a] + symbols[a + 1])
-        if score is not None:
-            agenda.append((-score, a, 1, 1))
+    before = symbols[0] if n else ""
+    for b in range(1, n):
+        here = symbols[b]
+        rank = rank_of(before + here)
+        if rank is not None and not (literal and (b in literal or b - 1 in literal)):
+            agenda.append((rank << w | b - 1) << 2 * w | ones)
+        before = here
     heapq.heapify(agenda)
-    limit = int(dropout * 2**64)
-    mixed = xxhash.xxh64_intdigest(chunk, key) if limit else 0
+    considered = 0
     while agenda:
-        _, a, first, second = pop(agenda)
-        if size[a] != first:
-            continue
+        entry = pop(agenda)
+        a, first, second = entry >> 2 * w & most, entry >> w & most, entry & most
         b = right[a]
-        if b >= n or size[b] != second:
+        if size[a] != first or b >= n or size[b] != second:
             continue  # one of the two has grown or gone since
-        if limit:
-            h = (mixed ^ (a << 40 | first << 20 | second)) * 0x9E3779B97F4A7C15 & _WORD
-            if (h ^ h >> 32) * 0xC2B2AE3D27D4EB4F & _WORD < limit:
+        considered += 1
+        if considered > DECIDED:
+            if limit and skipped(key, considered - 1, limit):
                 continue
+        elif mask >> (considered - 1) & 1:
+            continue
         symbols[a] = whole = symbols[a] + symbols[b]
-        size[a], size[b] = first + second, 0
+        both = first + second
+        size[a], size[b] = both, 0
         right[a] = b = right[b]
         if b < n:
             left[b] = a
             if not literal or b not in literal:
-                score = score_of(whole + symbols[b])
-                if score is not None:
-                    push(agenda, (-score, a, first + second, size[b]))
+                rank = rank_of(whole + symbols[b])
+                if rank is not None:
+                    push(agenda, ((rank << w | a) << w | both) << w | size[b])
         c = left[a]
         if c >= 0 and (not literal or c not in literal):
-            score = score_of(symbols[c] + whole)
-            if score is not None:
-                push(agenda, (-score, c, size[c], first + second))
+            rank = rank_of(symbols[c] + whole)
+            if rank is not None:
+                push(agenda, ((rank << w | c) << w | size[c]) << w | both)
     out: list[int] = []
     i = 0
     while i < n:
@@ -113,29 +156,34 @@ def segment(chunk: str, pieces: Pieces, dropout: float = 0.0, key: int = 0) -> l
         else:
             out += [pieces.byte_ids[b] for b in (" " if symbols[i] == MARK and i not in literal else symbols[i]).encode()]
         i += size[i]
-    return out
+    return out, considered
 
 
 class Encoder:
-    """Keeps up to `words` segmentations; a chunk is kept from its second sight on."""
+    """Keeps up to `words` segmentations by chunk and decisions; a chunk's are kept from its second sight on."""
 
-    def __init__(self, pieces: Pieces, dropout: float = 0.1, seed: int = 0, variants: int = 4, words: int = 1_200_000):
-        self.pieces, self.dropout, self.seed, self.variants, self.words = pieces, dropout, seed, variants, words
-        self.keys = [xxhash.xxh64_intdigest(str(v), seed) for v in range(variants)]
+    def __init__(self, pieces: Pieces, dropout: float = 0.1, seed: int = 0, words: int = 2_000_000):
+        self.pieces, self.seed, self.words = pieces, seed, words
+        self.limit = int(dropout * 2**32)
         self.count = 0
-        self.known: list[dict[str, bytes]] = [{} for _ in range(variants)]
+        #: By chunk: for each number of pairs considered, a mask of so many bits, and the ids by the decisions within it.
+        self.known: dict[str, list[tuple[int, dict[int, bytes]]]] = {}
         self.seen = bytearray(1 << 24)
 
-    def _new(self, chunk: str, variant: int) -> bytes:
-        key = self.keys[variant]
-        ids = array("I", segment(chunk, self.pieces, self.dropout, key)).tobytes()
-        place = hash((chunk, variant)) & ((1 << 24) - 1)
-        if self.seen[place] and len(chunk) <= 64:
+    def _new(self, chunk: str, key: int, mask: int) -> bytes:
+        found, considered = segment(chunk, self.pieces, self.limit, key, mask)
+        ids = array("I", found).tobytes()
+        place = hash(chunk) & ((1 << 24) - 1)
+        if (self.seen[place] or len(chunk) <= 6) and len(chunk) <= 64 and considered <= DECIDED:
             if self.count >= self.words:
                 self.count = 0
-                for k in self.known:
-                    k.clear()
-            self.known[variant][chunk] = ids
+                self.known.clear()
+            low = (1 << considered) - 1
+            tables = self.known.setdefault(chunk, [])
+            table = next((t for bits, t in tables if bits == low), None)
+            if table is None:
+                tables.append((low, table := {}))
+            table[mask & low] = ids
             self.count += 1
         self.seen[place] = 1
         return ids
@@ -144,37 +192,42 @@ class Encoder:
         chunks = self.pieces.chunks.findall(text)
         if not chunks:
             return np.zeros(0, np.uint32)
-        start = np.uint64(xxhash.xxh64_intdigest(str(doc_id), self.seed))
-        with np.errstate(over="ignore"):
-            turns = ((start + np.arange(len(chunks), dtype=np.uint64)) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)
-        turns = (turns % np.uint64(self.variants)).tolist()
-        known = self.known
-        parts = [known[v].get(c) or self._new(c, v) for c, v in zip(chunks, turns, strict=True)]
+        keys = chunk_keys(doc_id, self.seed, len(chunks))
+        masks = decisions(keys, self.limit) if self.limit else [0] * len(chunks)
+        get, parts = self.known.get, []
+        for i, (chunk, mask) in enumerate(zip(chunks, masks, strict=True)):
+            for low, table in get(chunk, ()):
+                ids = table.get(mask & low)
+                if ids is not None:
+                    break
+            else:
+                ids = self._new(chunk, int(keys[i]), mask)
+            parts.append(ids)
         return np.frombuffer(b"".join(parts), "<u4")
 
 
 _KEPT: dict[tuple, Encoder] = {}
 
 
-def encoder_for(path: str, dropout: float, seed: int, variants: int) -> Encoder:
+def encoder_for(path: str, dropout: float, seed: int) -> Encoder:
     """The last one a process used: Spark's Python workers serve many tasks, and the chunks they have seen stay."""
-    key = (path, dropout, seed, variants)
+    key = (path, dropout, seed)
     if key not in _KEPT:
         _KEPT.clear()
-        _KEPT[key] = Encoder(Pieces(path), dropout, seed, variants)
+        _KEPT[key] = Encoder(Pieces(path), dropout, seed)
     return _KEPT[key]
 
 
 SCHEMA = "doc_id long, n_ids long, ids_crc32 long, n_bytes long, restored boolean"
 
 
-def encode_documents(docs: DataFrame, path: str, dropout: float = 0.1, seed: int = 0, variants: int = 4, with_ids: bool = False) -> DataFrame:
+def encode_documents(docs: DataFrame, path: str, dropout: float = 0.1, seed: int = 0, with_ids: bool = False) -> DataFrame:
     """One row a document, as in SCHEMA, and its ids if asked for; restored tells whether decoding gave the text back."""
     names = [x.split()[0] for x in SCHEMA.split(", ")] + ["ids"] * with_ids
     types = [pa.int64()] * 4 + [pa.bool_()] + [pa.list_(pa.int64())] * with_ids
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = encoder_for(path, dropout, seed, variants)
+        encoder = encoder_for(path, dropout, seed)
         for b in batches:
             rows = []
             for doc_id, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
