@@ -1,9 +1,10 @@
 """Toxicity severity by cumulative-link ordinal regression over sparse hashed words.
 
 P(grade <= g) = sigmoid(cut_g - w.x): one weight vector serves all ordered cuts, and the expected grade is the sum over g of
-P(grade > g). Features are the distinct words of a text, hashed; only those whose document frequency among toxic rows lies
+P(grade > g). A row of grade g contributes the likelihood P(grade <= g) - P(grade <= g - 1). Features are the distinct words of a text, hashed; only those whose document frequency among toxic rows lies
 clearly above that among the others are kept, so ordinary words don't add up over long texts. Labels say toxic or not; the
-grade of a toxic row is taken from how much of such evidence it holds, cut at the given quantiles. The model is fitted on a
+grade of a toxic row is taken from how much of such evidence it holds, cut at the given quantiles, and of a toxic row without
+any it is only known that it is not 0, so its likelihood is 1 - P(grade <= 0). The model is fitted on a
 bounded sample: at most `sample` toxic and `sample` other labelled rows, those with the smallest hashed ids.
 
 Edge cases: a null or empty text has no features and so the grade of a text without evidence; without labelled toxic rows
@@ -83,22 +84,25 @@ def fit(texts: list[bytes], toxic: np.ndarray, grades: int = 4, rounds: int = 40
     doc, bucket = doc[used], bucket[used]
     amount = np.bincount(doc, weights=evidence[bucket], minlength=len(texts))
     steps = np.quantile(amount[toxic & (amount > 0)], np.arange(1, grades - 1) / (grades - 1))
-    y = np.where(toxic & (amount > 0), 1 + np.searchsorted(steps, amount, side="right"), 0)
+    # A row lies between two cuts, numbered from 0 for no lower one to `grades` for no upper one.
+    lower = np.where(toxic, 1 + np.where(amount > 0, np.searchsorted(steps, amount, side="right"), 0), 0)
+    upper = np.where(toxic & (amount == 0), grades, lower + 1)
     columns, col = np.unique(bucket, return_inverse=True)
     w = evidence[columns] / 2
     raw = np.concatenate([[1.0], np.full(grades - 2, 0.5)])  # the first cut, and logs of the gaps to the next
     state = [np.zeros(len(w) + len(raw)), np.zeros(len(w) + len(raw))]
-    above = y[:, None] > np.arange(grades - 1)[None, :]
     for t in range(1, rounds + 1):
         gaps = np.exp(raw[1:])
         cuts = np.concatenate([raw[:1], raw[0] + np.cumsum(gaps)])
         score = np.bincount(doc, weights=w[col], minlength=len(texts))
-        tail = Ordinal(w, cuts).tails(score)
-        # Each cut is a logistic question with the shared weights; their losses are summed.
-        wrong = (tail - above) / len(texts)
-        dscore = wrong.sum(axis=1)
+        below = np.concatenate([np.zeros((len(texts), 1)), 1 - Ordinal(w, cuts).tails(score), np.ones((len(texts), 1))], axis=1)
+        row = np.arange(len(texts))
+        up, low = below[row, upper], below[row, lower]
+        mass = np.maximum(up - low, 1e-12)
+        dscore = (1 - up - low) / len(texts)
         dw = np.bincount(col, weights=dscore[doc], minlength=len(w)) + ridge * w / len(texts)
-        dcut = -wrong.sum(axis=0)
+        slopes = np.bincount(upper, weights=up * (1 - up) / mass, minlength=grades + 1) - np.bincount(lower, weights=low * (1 - low) / mass, minlength=grades + 1)
+        dcut = -slopes[1:grades] / len(texts)
         draw = np.concatenate([[dcut.sum()], gaps * np.cumsum(dcut[::-1])[::-1][1:]])
         g = np.concatenate([dw, draw])
         state[0] = 0.9 * state[0] + 0.1 * g
@@ -110,14 +114,14 @@ def fit(texts: list[bytes], toxic: np.ndarray, grades: int = 4, rounds: int = 40
     return Ordinal(full, np.concatenate([raw[:1], raw[0] + np.cumsum(np.exp(raw[1:]))]))
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = 3000, key: str = "doc_id", text: str = "text", **fitting) -> Ordinal:
-    """Fit on up to `sample` labelled rows of each kind; longer texts than 20,000 characters are no training rows."""
+def train(docs: DataFrame, labels: DataFrame, sample: int = 3000, longest: int = 20_000, key: str = "doc_id", text: str = "text", **fitting) -> Ordinal:
+    """Fit on up to `sample` labelled rows of each kind; texts of over `longest` characters are no training rows."""
     known = labels.where(F.col("toxic").isNotNull()).groupBy(F.col(key).cast("long").alias("_id")).agg(F.max("toxic").alias("toxic"))
     ids = []
     for kind in (1, 0):
         ids += known.where(F.col("toxic") == kind).orderBy(F.xxhash64("_id", F.lit(5)), "_id").limit(sample).collect()
     chosen = docs.sparkSession.createDataFrame([(r[0], int(r[1])) for r in ids], "_id long, toxic int")  # 2 * sample rows at most
-    rows = id_and_text(docs, key, text).where(F.length(text) <= 20_000).join(F.broadcast(chosen), F.col(key) == F.col("_id")).select(F.col(text).alias("t"), "toxic").collect()
+    rows = id_and_text(docs, key, text).where(F.length(text) <= longest).join(F.broadcast(chosen), F.col(key) == F.col("_id")).select(F.col(text).alias("t"), "toxic").collect()
     rows.sort(key=lambda r: (r.toxic, r.t))
     return fit([r.t.encode() for r in rows], np.array([r.toxic == 1 for r in rows], bool), **fitting)
 
