@@ -4,8 +4,8 @@ The posterior of a language is proportional to its prior at the host, times the
 markup language, and of the address suffix. The text model counts hashed byte triples of a bounded sample of documents with a
 known language. Priors are counts of first guesses by host, smoothed by those of the host's site, which are smoothed by
 those of all rows; the tables of declared language and suffix given the language are counted alike. All counts are
-grouped sums over the whole table, joined back by key; only tables of the size languages x values (suffixes are hashed to
-256 values) reach the driver.
+grouped sums over the whole table, joined back by key; only tables of the size languages x languages reach the driver. A
+host or suffix that holds much of the table is summed partially first; its rows are split by Spark where they are joined.
 
 Edge cases: a null or empty text leaves its language to the other evidence; a null or odd address has the host "" and the suffix
 ""; without training rows the result is empty of languages (null); repeated rows get the same answer; an empty table gives
@@ -21,14 +21,13 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from overlapsolve.llm.common import sliced
 from overlapsolve.session import checkpoint
 
 BITS = 16
-SUFFIXES = 256
 _LOWER = np.arange(256, dtype=np.uint32)
 _LOWER[65:91] += 32
 
@@ -57,14 +56,21 @@ class TextModel:
         return np.stack([np.bincount(doc, weights=self.logs[bucket, k], minlength=len(texts)) for k in range(len(self.languages))], axis=1) * temper if self.languages else np.zeros((len(texts), 0))
 
 
-def train(docs: DataFrame, rows: int = 800, key: str = "doc_id", text: str = "text", lang: str = "lang", smoothing: float = 0.5) -> TextModel:
-    """From up to `rows` documents of each language, those with the smallest hashed ids, of at most 20,000 characters."""
-    known = docs.select(F.col(key).alias("_id"), F.col(text).alias("_t"), F.col(lang).alias("_l")).where("_t is not null and _l is not null").where(F.length("_t") <= 20_000)
-    languages = sorted(r[0] for r in known.select("_l").distinct().collect())
+def train(docs: DataFrame, rows: int = 800, longest: int = 20_000, key: str = "doc_id", text: str = "text", lang: str = "lang", smoothing: float = 0.5) -> TextModel:
+    """From up to `rows` documents of each language, those with the smallest hashed ids, of at most `longest` characters.
+
+    Ids are chosen first, so only the chosen texts reach the driver.
+    """
+    known = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"), F.col(lang).alias("lang")).where("id is not null and text is not null and lang is not null").where(F.length("text") <= longest)
+    place = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("id", F.lit(9)), "id"))
+    ids = [r[0] for r in known.select("id", "lang").withColumn("place", place).where(F.col("place") <= rows).select("id").collect()]  # `rows` a language
+    texts: dict[str, list[bytes]] = {}
+    for _, t, language in sorted(map(tuple, known.where(F.col("id").isin(ids)).collect())) if ids else ():
+        texts.setdefault(language, []).append(t.encode())
+    languages = sorted(texts)
     logs = np.zeros((1 << BITS, len(languages)))
     for k, language in enumerate(languages):
-        texts = [r[0].encode() for r in known.where(F.col("_l") == language).orderBy(F.xxhash64("_id", F.lit(9)), "_id").limit(rows).select("_t").collect()]
-        _, bucket = triples(texts)
+        _, bucket = triples(texts[language])
         n = np.bincount(bucket, minlength=1 << BITS) + smoothing
         logs[:, k] = np.log(n / n.sum())
     return TextModel(languages, logs)
@@ -94,7 +100,7 @@ def evidence(rows: DataFrame, model: TextModel, markup: bool, temper: float = 0.
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, 1 << 21):
             texts = b.column(b.schema.get_field_index("text")).cast(pa.binary()).to_pylist()
-            found = [_DECLARED.search(t[:4096]) if markup else None for t in texts]
+            found = [_DECLARED.search(t) if markup else None for t in texts]
             ll = shared.value.likelihoods([visible(t) for t in texts] if markup else texts, temper)
             ll = ll - ll.max(axis=1, keepdims=True) if ll.size else ll
             columns = [b.column(i) for i in range(4)] + [pa.array([m[1].decode().lower() if m else "" for m in found], pa.string()), pa.array(list(ll), pa.list_(pa.float64()))]
@@ -113,7 +119,7 @@ def fused(rows: DataFrame, model: TextModel, kappa: float = 5.0) -> DataFrame:
     k = len(model.languages)
     if not k:
         return rows.select("id", F.lit(None).cast("string").alias("lang"), F.lit(None).cast("double").alias("probability"))
-    first = checkpoint(rows.withColumn("guess", F.array_position("ll", F.array_max("ll")).cast("int") - 1).withColumn("slot", F.pmod(F.xxhash64("suffix"), F.lit(SUFFIXES)).cast("int")))
+    first = checkpoint(rows.withColumn("guess", F.array_position("ll", F.array_max("ll")).cast("int") - 1))
     whole = first.agg(*[F.sum((F.col("guess") == i).cast("double")) for i in range(k)]).first()
     whole = np.array([x or 0.0 for x in whole]) + 1
     top = (whole / whole.sum()).tolist()
@@ -125,21 +131,22 @@ def fused(rows: DataFrame, model: TextModel, kappa: float = 5.0) -> DataFrame:
     smooth = lambda n, p: F.zip_with(n, p, lambda x, y: (x + F.lit(kappa) * y) / (total(n) + F.lit(kappa)))
     priors = hosts.join(sites, "site").select("host", "site", smooth(F.col("nh"), smooth(F.col("ns"), literal(top))).alias("prior"))
     priors = checkpoint(priors)
-    values = {"declared": [*model.languages, "", "other"], "slot": list(range(SUFFIXES))}
-    said = F.when(F.col("declared").isin([*model.languages, ""]), F.col("declared")).otherwise("other")
+    # A suffix not seen with a language counts half; there may be as many suffixes as rows.
+    suffixes = _counts(first, ["suffix"], "nx", k)
+    many = max(1, suffixes.count())
+    per = literal(1 / (x - 1 + 0.5 * many) for x in whole)
+    suffixes = suffixes.select("suffix", F.zip_with("nx", per, lambda n, p: F.log((n + 0.5) * p)).alias("ends"))
+    domain = [*model.languages, "", "other"]
+    said = F.when(F.col("declared").isin(domain[:-1]), F.col("declared")).otherwise("other")
     marked = first.withColumn("declared", said)
-    tables = {}
-    for column, domain in values.items():
-        n = np.ones((len(domain), k)) * (0.1 if column == "declared" else 0.5)
-        place = {v: i for i, v in enumerate(domain)}
-        for value, guess, count in marked.groupBy(column, "guess").count().collect():  # values x languages
-            n[place[value], guess] += count
-        tables[column] = np.log(n / n.sum(axis=0))
-    lookup = lambda t, i: F.get(F.array(*[literal(r) for r in t]), i)
-    declared_at = F.array_position(F.array(*[F.lit(v) for v in values["declared"]]), F.col("declared")).cast("int") - 1
-    joined = marked.join(priors, ["host", "site"])
+    n = np.full((len(domain), k), 0.1)
+    for value, guess, count in marked.groupBy("declared", "guess").count().collect():  # languages x languages
+        n[domain.index(value), guess] += count
+    table = np.log(n / n.sum(axis=0))
+    declared_at = F.array_position(F.array(*[F.lit(v) for v in domain]), F.col("declared")).cast("int") - 1
+    joined = marked.join(priors, ["host", "site"]).join(suffixes, "suffix")
     add = lambda a, b: F.zip_with(a, b, lambda x, y: x + y)
-    logs = add(add(F.col("ll"), F.transform("prior", lambda p: F.log(p))), add(lookup(tables["declared"], declared_at), lookup(tables["slot"], F.col("slot"))))
+    logs = add(add(F.col("ll"), F.transform("prior", lambda p: F.log(p))), add(F.get(F.array(*[literal(r) for r in table]), declared_at), F.col("ends")))
     best = joined.select("id", logs.alias("s")).withColumn("m", F.array_max("s"))
     mass = F.aggregate("s", F.lit(0.0), lambda a, x: a + F.exp(x - F.col("m")))
     return best.select("id", F.get(F.array(*[F.lit(v) for v in model.languages]), F.array_position("s", F.col("m")).cast("int") - 1).alias("lang"), F.round(1 / mass, 6).alias("probability"))
