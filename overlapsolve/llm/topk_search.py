@@ -6,9 +6,10 @@ together can't lift a vector over the current threshold are non-essential: essen
 below the threshold even with all remaining gains are dropped, and the others are probed in the remaining lists while they
 can still compete. Shards' best are merged by a rank that Spark limits before it shuffles.
 
-Queries travel in blocks of bounded size, each matched with every shard. Scores are exact 64-bit integers (beyond that they
-are clipped); ties go to the smaller id. A vector that is null, empty of numbers, or holds a null or a non-finite component takes no part; vectors of
-unequal lengths are padded with zeros; of repeated rows of an id each is a candidate, and one of them is the query; an empty
+Queries travel in blocks of bounded size to groups of shards; a shard is moved once. Within a task, what a block's queries have
+found in one shard is their threshold in the next. Scores are exact 64-bit integers (beyond that they
+are clipped); ties go to the smaller id. A vector that is null or holds a null or a non-finite component takes no part; vectors of
+unequal lengths, empty ones too, are padded with zeros; of repeated rows of an id each is a candidate, and one of them is the query; an empty
 table gives an empty result.
 """
 
@@ -24,7 +25,8 @@ from pyspark.sql import functions as F
 
 SHARD_ROWS = 4096
 BLOCK_ROWS = 512
-SALTS = 32
+GROUP = 8
+LEAST = int(np.iinfo(np.int64).min)
 
 
 def quantised(vectors: DataFrame, scale: int = 1024, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
@@ -103,8 +105,8 @@ class Shard:
         self.low = self.lists.min(axis=1) if len(ids) else np.zeros(len(self.lists), np.int64)
         self.high = self.lists.max(axis=1) if len(ids) else self.low
 
-    def best(self, query: np.ndarray, own: int, k: int) -> tuple[np.ndarray, np.ndarray]:
-        """(ids, scores) of the k best by score and then id, without the query's own row."""
+    def best(self, query: np.ndarray, own: int, k: int, least_score: int = LEAST) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, scores) of the k best by score and then id, without the query's own row; those below `least_score` may be left out."""
         q = np.zeros(len(self.lists), np.int64)
         n = min(len(q), len(query))
         q[:n] = query[:n]
@@ -125,7 +127,8 @@ class Shard:
             signed = q[terms[0]] * self.lists[terms[0], other]
             lead = other[np.argpartition(-signed, 4 * k)[: 4 * k]]
         known = q @ self.lists[:, lead]
-        threshold = int(np.partition(known, len(known) - k)[len(known) - k]) if len(known) >= k else np.iinfo(np.int64).min
+        threshold = int(np.partition(known, len(known) - k)[len(known) - k]) if len(known) >= k else LEAST
+        threshold = max(threshold, least_score)
         essential = int(np.argmax(floor + rest < threshold)) if (floor + rest < threshold).any() else len(terms)
         alive, partial = other, np.full(len(other), floor, np.int64)
         for i, t in enumerate(terms):
@@ -152,23 +155,31 @@ def search(vectors: DataFrame, every: int = 100, k: int = 10, scale: int = 1024,
     rows = quantised(vectors, scale, key, vector)
     asked = rows.where(F.pmod(F.col("vec_id"), F.lit(every)) == 0).groupBy("vec_id").agg(F.min("v").alias("v"))
     number = -(-asked.count() // BLOCK_ROWS) or 1
-    return top(_shards(rows), _blocks(asked, number), number, k)
+    groups = max(32, rows.count() // (GROUP * SHARD_ROWS))
+    return top(_shards(rows), _blocks(asked, number), groups, k)
 
 
-def top(shards: DataFrame, blocks: DataFrame, number: int, k: int) -> DataFrame:
-    """Match each of `number` blocks of queries with each shard, and merge. Pairs are dealt out by block and salt."""
+def top(shards: DataFrame, blocks: DataFrame, groups: int, k: int) -> DataFrame:
+    """Match each block of queries with each shard, and merge. Shards are dealt to groups; every group gets all blocks."""
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, shard, reached = None, None, {}
         for b in batches:
             for r in b.to_pylist():
-                shard = Shard(*_unpacked(r["ids"], r["width"], r["kind"], r["data"]))
-                queries = zip(*_unpacked(r["qids"], r["qwidth"], r["qkind"], r["qdata"]), strict=True)
-                found = [(np.full(len(x), q), x, s) for q, v in queries for x, s in [shard.best(v, int(q), k)]]
+                if r["shard"] != last:
+                    last, shard = r["shard"], Shard(*_unpacked(r["ids"], r["width"], r["kind"], r["data"]))
+                own, queries = _unpacked(r["qids"], r["qwidth"], r["qkind"], r["qdata"])
+                least = reached.setdefault(r["block"], np.full(len(own), LEAST))
+                found = []
+                for n, (q, v) in enumerate(zip(own, queries, strict=True)):
+                    x, s = shard.best(v, int(q), k, int(least[n]))
+                    if len(s) == k:
+                        least[n] = max(least[n], s.min())
+                    found.append((np.full(len(x), q), x, s))
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c).astype(np.int64)) for c in zip(*found, strict=True)], names=["query_id", "vec_id", "score"])
 
-    upto = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))
-    left = shards.select("*", F.pmod(F.xxhash64("shard"), F.lit(SALTS)).alias("salt"), upto(number).alias("block"))
-    right = blocks.select("*", upto(SALTS).alias("salt"))
-    found = left.join(right, ["block", "salt"]).mapInArrow(of, "query_id long, vec_id long, score long")
+    left = shards.withColumn("group", F.pmod(F.xxhash64("shard"), F.lit(groups)))
+    right = blocks.withColumn("group", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))))
+    found = left.join(right, "group").mapInArrow(of, "query_id long, vec_id long, score long")
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
