@@ -10,7 +10,7 @@ where k is the number of documents with a weight of 1 or more; the noise comes f
 the same. The k-th draw is found exactly by counting in ever finer intervals.
 
 Edge cases: a null or empty text has the log weight 0, so it counts as explained; ties go to the smaller id, a row without id is drawn
-like any other and comes first among ties; with no labelled rows, no weight is below 1 and all rows are kept; repeated rows are
+like any other and comes first among ties, also in kept_documents; with no labelled rows, no weight is below 1 and all rows are kept; repeated rows are
 each drawn (with equal keys); an empty table gives an empty result.
 """
 
@@ -23,10 +23,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
 from overlapsolve.llm.common import id_and_text, sliced
 from overlapsolve.llm.hashing import ngram_buckets
-from overlapsolve.session import checkpoint
+from overlapsolve.session import checkpoint, discard
 
 BITS = 14
 
@@ -72,34 +73,49 @@ def _among(column: pa.Array, ids: np.ndarray) -> np.ndarray:
     return np.isin(column.fill_null(-(2**63)).to_numpy(zero_copy_only=False), ids)
 
 
-def weighed(docs: DataFrame, model: Counts, strength: float = 10.0, per_gram: float = 0.05, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, log_weight) of each row: `strength` is the expected count at which a bucket's own count and the raw model weigh
-    the same; `per_gram` is the margin for each word or pair."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
-    size = len(model.raw)
+def weigher(model: Counts, strength: float = 30.0, per_gram: float = 0.05):
+    """A function from (ids, texts) to log weights: `strength` is the expected count at which a bucket's own count and the raw
+    model weigh the same; `per_gram` is the margin for each word or pair."""
+    raw, target = model.raw, model.target
+    all_raw, all_target, size = raw.sum(), target.sum(), len(model.raw)
     bits = size.bit_length() - 1
 
+    def of(ids: pa.Array, texts: list[bytes]) -> np.ndarray:
+        doc, bucket = ngram_buckets(texts, bits)
+        place, own = np.unique(doc * size + bucket, return_counts=True)
+        doc, bucket = place >> bits, place & (size - 1)
+        grams = np.bincount(doc, weights=own, minlength=len(texts))
+        chosen = _among(ids, model.ids)
+        others = (raw[bucket] - own + 1) / (all_raw - grams + size)[doc]
+        expected = (all_target - np.where(chosen, grams, 0))[doc] * others
+        log_ratio = np.log((strength + target[bucket] - np.where(chosen[doc], own, 0)) / (strength + expected))
+        return np.bincount(doc, weights=own * (log_ratio + per_gram), minlength=len(texts))
+
+    return of
+
+
+def weighed(docs: DataFrame, model: Counts, strength: float = 30.0, per_gram: float = 0.05, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, log_weight) of each row."""
+    return with_weights(id_and_text(docs, key, text), model, "log_weight", strength, per_gram, key, text).drop(text)
+
+
+def with_weights(docs: DataFrame, model: Counts, name: str, strength: float = 30.0, per_gram: float = 0.05, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """docs, all columns, and the log weight of each row under a name that docs doesn't have. No shuffle."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # 2^bits numbers and `sample` ids, whatever the data
+
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        raw, target = shared.value.raw, shared.value.target
-        all_raw, all_target = raw.sum(), target.sum()
+        weigh = weigher(shared.value, strength, per_gram)
         for b in sliced(batches, 1 << 21, text):
-            doc, bucket = ngram_buckets(b.column(1).cast(pa.binary()).to_pylist(), bits)
-            place, own = np.unique(doc * size + bucket, return_counts=True)
-            doc, bucket = place >> bits, place & (size - 1)
-            grams = np.bincount(doc, weights=own, minlength=b.num_rows)
-            chosen = _among(b.column(0), shared.value.ids)
-            others = (raw[bucket] - own + 1) / (all_raw - grams + size)[doc]
-            expected = (all_target - np.where(chosen, grams, 0))[doc] * others
-            log_ratio = np.log((strength + target[bucket] - np.where(chosen[doc], own, 0)) / (strength + expected))
-            weight = np.bincount(doc, weights=own * (log_ratio + per_gram), minlength=b.num_rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(weight, pa.float64())], names=[key, "log_weight"])
+            ids, texts = (b.column(b.schema.get_field_index(c)) for c in (key, text))
+            weight = weigh(ids.cast(pa.int64()), [t or b"" for t in texts.cast(pa.binary()).to_pylist()])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(weight, pa.float64())], names=[*b.schema.names, name])
 
-    return id_and_text(docs, key, text).mapInArrow(of, f"{key} long, log_weight double")
+    return docs.mapInArrow(of, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
 
 
 def gumbel(key: str, seed: int) -> Column:
     """Standard Gumbel noise from a keyed hash."""
-    u = (F.shiftrightunsigned(F.xxhash64(F.col(key), F.lit(seed)), 11) + F.lit(0.5)) / F.lit(float(1 << 53))
+    u = (F.shiftrightunsigned(F.xxhash64(F.col(key).cast("long"), F.lit(seed)), 11) + F.lit(0.5)) / F.lit(float(1 << 53))
     return -F.log(-F.log(u))
 
 
@@ -122,24 +138,36 @@ def kth_largest(keys: DataFrame, k: int, column: str, bins: int = 1024, few: int
     return low
 
 
-def resample(docs: DataFrame, labels: DataFrame, k: int | None = None, seed: int = 11, key: str = "doc_id", text: str = "text", **fitting) -> DataFrame:
-    """(doc_id, log_weight, draw, kept): kept marks the k largest draws."""
-    scored = checkpoint(weighed(docs, fit(docs, labels, key=key, text=text, **fitting), key=key, text=text).withColumn("draw", F.col("log_weight") + gumbel(key, seed)))
-    rows, explained = scored.agg(F.count("*"), F.count_if(F.col("log_weight") >= 0)).first()
+def decision(scored: DataFrame, k: int | None, key: str, draw: str = "draw", weight: str = "log_weight") -> Column:
+    """The condition on a row's draw and id under which it is among the k largest draws of the scored rows."""
+    rows, explained = scored.agg(F.count("*"), F.count_if(F.col(weight) >= 0)).first()
     k = min(rows, explained if k is None else k)
     if k <= 0 or k == rows:
-        return scored.withColumn("kept", F.lit(k > 0))
-    cut = kth_largest(scored, k, "draw")
-    over = scored.where(F.col("draw") > cut).count()
-    tied = scored.where(F.col("draw") == cut)
-    chosen = F.col("draw") > cut
+        return F.lit(k > 0)
+    cut = kth_largest(scored, k, draw)
+    over = scored.where(F.col(draw) > cut).count()
+    tied = scored.where(F.col(draw) == cut)
     if over + tied.count() > k:  # repeated rows have equal draws
         last = tied.orderBy(F.asc_nulls_first(key)).limit(k - over).agg(F.max(key)).first()[0]
-        return scored.withColumn("kept", chosen | ((F.col("draw") == cut) & (F.col(key).isNull() | (F.col(key) <= F.lit(last)))))
-    return scored.withColumn("kept", F.col("draw") >= cut)
+        return (F.col(draw) > cut) | ((F.col(draw) == cut) & (F.col(key).isNull() | (F.col(key) <= F.lit(last))))
+    return F.col(draw) >= cut
 
 
-def kept_documents(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
-    """The rows of docs, all columns, that the draw keeps."""
-    gone = resample(docs, labels, key=key, text=text, **options).where(~F.col("kept")).select(F.col(key).alias("_gone"))
-    return docs.join(gone, F.col(key) == F.col("_gone"), "left_anti")
+def resample(docs: DataFrame, labels: DataFrame, k: int | None = None, seed: int = 11, key: str = "doc_id", text: str = "text", **fitting) -> DataFrame:
+    """(doc_id, log_weight, draw, kept): kept marks the k largest draws."""
+    weights = weighed(docs, fit(docs, labels, key=key, text=text, **fitting), key=key, text=text)
+    scored = checkpoint(weights.withColumn("draw", F.col("log_weight") + gumbel(key, seed)))
+    return scored.withColumn("kept", decision(scored, k, key))
+
+
+def kept_documents(docs: DataFrame, labels: DataFrame, k: int | None = None, seed: int = 11, key: str = "doc_id", text: str = "text", **fitting) -> DataFrame:
+    """The rows of docs, all columns, that the draw keeps. Rows are weighed again as they pass, so nothing is joined back by id."""
+    model = fit(docs, labels, key=key, text=text, **fitting)
+    names = {c.lower() for c in docs.columns}
+    weight = next(f"weight{n}" for n in range(len(names) + 1) if f"weight{n}" not in names)
+    draw = next(f"draw{n}" for n in range(len(names) + 1) if f"draw{n}" not in names)
+    drawn = lambda df: df.withColumn(draw, F.col(weight) + gumbel(key, seed))
+    scored = checkpoint(drawn(with_weights(id_and_text(docs, key, text), model, weight, key=key, text=text).drop(text)))
+    chosen = decision(scored, k, key, draw, weight)
+    discard(scored)
+    return drawn(with_weights(docs, model, weight, key=key, text=text)).where(chosen).drop(draw, weight)
