@@ -169,3 +169,13 @@ def test_simulated_clock_favours_async_at_scale():
     gain = lambda parts, **c: (lambda k: simulate.simulate(k, parts, "sync")[0] / simulate.simulate(k, parts, "async")[0])(simulate.Costs(**{**costs.__dict__, "local": 0.26 / parts, **c}))
     assert gain(64) > gain(4) > 0.9
     assert gain(16, imbalance=1.5) > 1
+
+
+def test_components_of_a_long_shuffled_path(spark):
+    from overlapsolve.operators.components import connected_components
+
+    place = lambda c: F.pmod(c * F.lit(7919), F.lit(20011))
+    edges = spark.range(19_999).select(place(F.col("id")).alias("u"), place(F.col("id") + 1).alias("v"))
+    found = connected_components(edges)
+    assert found.count() == 20_000
+    assert [r[0] for r in found.select("component").distinct().collect()] == [0]
