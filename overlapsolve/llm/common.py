@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 #: The six ASCII white-space characters that separate words.
 SPACES = " \t\n\x0b\f\r"
 SPACE_CLASS = r"[ \t\n\x0B\f\r]"
+#: Bytes of text that array operators take at once: their arrays need some hundred times as much.
+SLICE = 1 << 18
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from overlapsolve.llm.common import sliced
+from overlapsolve.llm.common import SLICE, sliced
 from overlapsolve.session import checkpoint
 
 BITS = 16
@@ -98,7 +98,7 @@ def evidence(rows: DataFrame, model: TextModel, markup: bool, temper: float = 0.
     shared = rows.sparkSession.sparkContext.broadcast(model)
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in sliced(batches, 1 << 21):
+        for b in sliced(batches, SLICE):
             texts = b.column(b.schema.get_field_index("text")).cast(pa.binary()).to_pylist()
             found = [_DECLARED.search(t) if markup else None for t in texts]
             ll = shared.value.likelihoods([visible(t) for t in texts] if markup else texts, temper)

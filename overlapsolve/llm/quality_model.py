@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from overlapsolve.llm.common import id_and_text, sliced
+from overlapsolve.llm.common import SLICE, id_and_text, sliced
 from overlapsolve.llm.hashing import ngram_buckets
 from overlapsolve.session import checkpoint, discard
 
@@ -53,7 +53,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 20_000, bits: int = BI
 
     def counts(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         raw, target = np.zeros(1 << bits, np.int64), np.zeros(1 << bits, np.int64)
-        for b in sliced(batches, 1 << 21, text):
+        for b in sliced(batches, SLICE, text):
             doc, bucket = ngram_buckets(b.column(1).cast(pa.binary()).to_pylist(), bits)
             chosen = _among(b.column(0), shared.value)
             raw += np.bincount(bucket, minlength=1 << bits)
@@ -105,7 +105,7 @@ def with_weights(docs: DataFrame, model: Counts, name: str, strength: float = 30
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weigh = weigher(shared.value, strength, per_gram)
-        for b in sliced(batches, 1 << 21, text):
+        for b in sliced(batches, SLICE, text):
             ids, texts = (b.column(b.schema.get_field_index(c)) for c in (key, text))
             weight = weigh(ids.cast(pa.int64()), [t or b"" for t in texts.cast(pa.binary()).to_pylist()])
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(weight, pa.float64())], names=[*b.schema.names, name])

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from overlapsolve.llm.common import id_and_text, sliced
+from overlapsolve.llm.common import SLICE, id_and_text, sliced
 from overlapsolve.session import checkpoint, discard
 
 #: The base patterns, the least length of what each must match, and the order of kinds.
@@ -404,7 +404,7 @@ def scan(docs: DataFrame, field: Field, key: str = "doc_id", text: str = "text")
     names = [x.split()[0] for x in SCHEMA.split(", ")]
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in sliced(batches, 1 << 20, text):
+        for b in sliced(batches, SLICE, text):
             both = spans_and_marks(b.column(1).to_pylist(), shared.value)
             found = [s for s, _ in both]
             base = [[s for s in x if s[2] != "crf"] for x in found]
@@ -433,7 +433,7 @@ def redact(docs: DataFrame, field: Field, text: str = "text", length: str = "n_c
     shared = docs.sparkSession.sparkContext.broadcast(field)
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in sliced(batches, 1 << 20, text):
+        for b in sliced(batches, SLICE, text):
             at = b.schema.get_field_index(text)
             texts = b.column(at).to_pylist()
             found = spans_of([t or "" for t in texts], shared.value)

@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from overlapsolve.llm.common import id_and_text, sliced
+from overlapsolve.llm.common import SLICE, id_and_text, sliced
 from overlapsolve.llm.hashing import word_hashes
 from overlapsolve.operators.components import connected_components
 from overlapsolve.session import checkpoint, discard
@@ -152,7 +152,7 @@ def _sketches(texts: DataFrame, words: int) -> DataFrame:
     names = ["id", "same", "n", "fp", *[f"s{k}" for k in range(SIGNATURE)]]
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in sliced(batches, 1 << 21):
+        for b in sliced(batches, SLICE):
             raw = b.column(1).cast(pa.binary()).to_pylist()
             same = [xxhash.xxh3_128_intdigest(b" ".join(t.lower().split())).to_bytes(16, "big") for t in raw]
             n, fp, signs = np.zeros(len(raw), np.int32), np.zeros(len(raw), np.uint64), np.zeros((len(raw), 64 * SIGNATURE), np.uint8)
@@ -170,7 +170,7 @@ def _grams(texts: DataFrame, words: int, pick=None) -> DataFrame:
     """(id, grams): the distinct window hashes, or those that pick(hashes) leaves."""
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in sliced(batches, 1 << 21):
+        for b in sliced(batches, SLICE):
             grams = [np.unique(h) for h in _windows(b.column(1).cast(pa.binary()).to_pylist(), words)]
             grams = [(h if pick is None else pick(h)).view(np.int64) for h in grams]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(grams, pa.list_(pa.int64()))], names=["id", "grams"])

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from overlapsolve.llm.common import id_and_text, sliced
+from overlapsolve.llm.common import SLICE, id_and_text, sliced
 from overlapsolve.llm.hashing import word_hashes
 
 BITS = 18
@@ -135,7 +135,7 @@ def score(docs: DataFrame, model: Ordinal, least: float = 0.5, key: str = "doc_i
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        for b in sliced(batches, 1 << 21, text):
+        for b in sliced(batches, SLICE, text):
             doc, bucket = distinct_buckets(b.column(1).cast(pa.binary()).to_pylist(), len(m.weights).bit_length() - 1)
             s = np.bincount(doc, weights=m.weights[bucket], minlength=b.num_rows)
             severity = m.severity(s)
