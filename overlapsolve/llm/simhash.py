@@ -122,6 +122,7 @@ def hex_digits(fp: str = "fp") -> Column:
 
 #: Bits of a set's signature, in longs: |x and y| is at most |x| less the number of bits that x sets and y doesn't.
 SIGNATURE = 16
+WIDE = 512
 _ODD = np.array([pow(0x9E3779B97F4A7C15, 2 * k + 1, 1 << 64) for k in range(64)], np.uint64)
 
 
@@ -148,22 +149,30 @@ def _texts(docs: DataFrame, key: str, text: str) -> DataFrame:
 
 
 def _sketches(texts: DataFrame, words: int) -> DataFrame:
-    """(id, same, n, fp, s0, ...): a digest of the words; of the distinct windows the number, SimHash fingerprint and signature."""
-    names = ["id", "same", "n", "fp", *[f"s{k}" for k in range(SIGNATURE)]]
+    """(id, same, n, fp, s0, ..., wide): a digest of the words; of the distinct windows the number, SimHash fingerprint and signature.
+
+    Sets of more than WIDE windows, which fill the signature, have another one of a power of two of bits, from their number on.
+    """
+    names = ["id", "same", "n", "fp", *[f"s{k}" for k in range(SIGNATURE)], "wide"]
 
     def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches, SLICE):
             raw = b.column(1).cast(pa.binary()).to_pylist()
             same = [xxhash.xxh3_128_intdigest(b" ".join(t.lower().split())).to_bytes(16, "big") for t in raw]
             n, fp, signs = np.zeros(len(raw), np.int32), np.zeros(len(raw), np.uint64), np.zeros((len(raw), 64 * SIGNATURE), np.uint8)
+            wide: list[bytes | None] = [None] * len(raw)
             for i, h in enumerate(_windows(raw, words)):
                 h = np.unique(h)
                 n[i], fp[i] = len(h), _majority(h)
+                if len(h) > WIDE:
+                    bits = np.zeros(1 << (len(h) - 1).bit_length(), np.uint8)
+                    bits[(h % np.uint64(len(bits))).astype(np.int64)] = 1
+                    wide[i] = np.packbits(bits, bitorder="little").tobytes()
                 signs[i, (h % np.uint64(64 * SIGNATURE)).astype(np.int64)] = 1
             longs = np.packbits(signs, axis=1, bitorder="little").view("<i8")
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(same, pa.binary()), pa.array(n), pa.array(fp.view(np.int64)), *[pa.array(np.ascontiguousarray(longs[:, k])) for k in range(SIGNATURE)]], names=names)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(same, pa.binary()), pa.array(n), pa.array(fp.view(np.int64)), *[pa.array(np.ascontiguousarray(longs[:, k])) for k in range(SIGNATURE)], pa.array(wide, pa.binary())], names=names)
 
-    return texts.mapInArrow(of, "id long, same binary, n int, fp long, " + ", ".join(f"s{k} long" for k in range(SIGNATURE)))
+    return texts.mapInArrow(of, "id long, same binary, n int, fp long, " + ", ".join(f"s{k} long" for k in range(SIGNATURE)) + ", wide binary")
 
 
 def _grams(texts: DataFrame, words: int, pick=None) -> DataFrame:
@@ -219,7 +228,37 @@ def _possible(pairs: DataFrame, reps: DataFrame, similarity: float) -> DataFrame
     """Of distinct pairs (a, b), those that sizes and signatures allow."""
     x, y = reps.drop("fp").alias("x"), reps.drop("fp").alias("y")
     both = pairs.alias("p").join(x, F.col("p.a") == F.col("x.id")).join(y, F.col("p.b") == F.col("y.id"))
-    return checkpoint(both.where(_enough(similarity, "x", "y")).select("p.a", "p.b"))
+    return both.where(_enough(similarity, "x", "y")).select("p.a", "p.b")
+
+
+def _missing(x: bytes, y: bytes) -> tuple[int, int]:
+    """Bits of each that the other one hasn't; the longer is folded to the length of the shorter."""
+    u, v = np.frombuffer(x, "<u8"), np.frombuffer(y, "<u8")
+    while len(u) > len(v):
+        u = u[: len(u) // 2] | u[len(u) // 2 :]
+    while len(v) > len(u):
+        v = v[: len(v) // 2] | v[len(v) // 2 :]
+    return int(np.bitwise_count(u & ~v).sum()), int(np.bitwise_count(v & ~u).sum())
+
+
+def _still_possible(pairs: DataFrame, sketches: DataFrame, similarity: float) -> DataFrame:
+    """Of distinct pairs (a, b), those that the wide signatures of large sets allow, where both have one."""
+    wide = sketches.where("wide is not null").select("id", "n", "wide").dropDuplicates(["id"])
+    x, y = wide.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("wide").alias("wa")), wide.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("wide").alias("wb"))
+
+    def of(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            able = []
+            for na, wa, nb, wb in zip(*(b.column(c).to_pylist() for c in ("na", "wa", "nb", "wb")), strict=True):
+                if na is None or nb is None:
+                    able.append(True)
+                else:
+                    mx, my = _missing(wa, wb)
+                    common = min(na - mx, nb - my)
+                    able.append(common >= (similarity - 1e-9) * (na + nb - common))
+            yield b.select(["a", "b"]).filter(pa.array(able, pa.bool_()))
+
+    return checkpoint(pairs.join(x, "a", "left").join(y, "b", "left").select("a", "b", "na", "wa", "nb", "wb").mapInArrow(of, "a long, b long"))
 
 
 def _alike(texts: DataFrame, pairs: DataFrame, similarity: float, words: int) -> DataFrame:
@@ -248,7 +287,7 @@ def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, rad
     """
     texts = _texts(docs, key, text)
     sketches = checkpoint(_sketches(texts, words))
-    firsts = [F.first(c).alias(c) for c in sketches.columns[2:]]
+    firsts = [F.first(c).alias(c) for c in sketches.columns[2:-1]]
     same = checkpoint(sketches.groupBy("same").agg(F.min("id").alias("id"), F.count("*").alias("copies"), *firsts))
     reps = same.drop("same", "copies")
     rows = _prefixes(texts, _common_windows(texts, words), similarity, words).join(reps.select("id"), "id", "left_semi").select("id", F.explode("grams").alias("gram"))
@@ -258,14 +297,14 @@ def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, rad
     points = checkpoint(reps.where("n > 0").groupBy("fp").agg(F.min("id").alias("rep")))
     printed = reps.join(points, "fp").where("id <> rep").select(F.col("rep").alias("u"), F.col("id").alias("v")).union(links(points, radius))
     stars = met.where("id > low").select(F.col("low").alias("a"), F.col("id").alias("b")).union(printed.select(F.least("u", "v"), F.greatest("u", "v"))).distinct()
-    able = _possible(stars, reps, similarity)
+    able = _still_possible(_possible(stars, reps, similarity), sketches, similarity)
     edges = _alike(texts, able, similarity, words)
     found = checkpoint(connected_components(edges))
 
     of = met.join(found, met.id == found.node, "left").select("gram", "id", F.coalesce("component", "id").alias("part"))
     apart = checkpoint(of.withColumn("low", F.min("part").over(here)).withColumn("high", F.max("part").over(here)).where("low < high").drop("low", "high").join(reps.drop("fp"), "id"))
     across = apart.alias("x").join(apart.alias("y"), "gram").where("x.id < y.id and x.part <> y.part").where(_enough(similarity, "x", "y"))
-    rest = checkpoint(across.select(F.col("x.id").alias("a"), F.col("y.id").alias("b")).distinct().join(able, ["a", "b"], "left_anti"))
+    rest = _still_possible(across.select(F.col("x.id").alias("a"), F.col("y.id").alias("b")).distinct().join(able, ["a", "b"], "left_anti"), sketches, similarity)
     discard(met, apart)
     if not rest.isEmpty():
         found = checkpoint(connected_components(edges.union(_alike(texts, rest, similarity, words))))
