@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from overlapsolve.llm.common import SLICE, sliced
+from overlapsolve.llm.common import SLICE, sliced, small_batches
 from overlapsolve.session import checkpoint
 
 BITS = 16
@@ -106,7 +106,7 @@ def evidence(rows: DataFrame, model: TextModel, markup: bool, temper: float = 0.
             columns = [b.column(i) for i in range(4)] + [pa.array([m[1].decode().lower() if m else "" for m in found], pa.string()), pa.array(list(ll), pa.list_(pa.float64()))]
             yield pa.RecordBatch.from_arrays(columns, names=["id", "host", "site", "suffix", "declared", "ll"])
 
-    return rows.select("id", "host", "site", "suffix", "text").mapInArrow(of, "id long, host string, site string, suffix string, declared string, ll array<double>")
+    return small_batches(rows).select("id", "host", "site", "suffix", "text").mapInArrow(of, "id long, host string, site string, suffix string, declared string, ll array<double>")
 
 
 def _counts(rows: DataFrame, keys: list[str], name: str, k: int) -> DataFrame:

@@ -41,7 +41,7 @@ class WordTokenizer:
     special token's string is encoded whole.
     """
 
-    def __init__(self, path: str, words: int = 600_000):
+    def __init__(self, path: str, words: int = 250_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # Spark's tasks are the parallelism
         from tokenizers import Tokenizer
 

@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from overlapsolve.llm.common import SLICE, id_and_text, sliced
+from overlapsolve.llm.common import SLICE, id_and_text, sliced, small_batches
 from overlapsolve.llm.hashing import ngram_buckets
 from overlapsolve.session import checkpoint, discard
 
@@ -110,7 +110,7 @@ def with_weights(docs: DataFrame, model: Counts, name: str, strength: float = 30
             weight = weigh(ids.cast(pa.int64()), [t or b"" for t in texts.cast(pa.binary()).to_pylist()])
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(weight, pa.float64())], names=[*b.schema.names, name])
 
-    return docs.mapInArrow(of, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
+    return small_batches(docs).mapInArrow(of, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
 
 
 def gumbel(key: str, seed: int) -> Column:

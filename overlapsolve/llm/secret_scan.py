@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from overlapsolve.llm.common import SLICE, id_and_text, sliced
+from overlapsolve.llm.common import SLICE, id_and_text, sliced, small_batches
 from overlapsolve.session import checkpoint, discard
 
 #: The base patterns, the least length of what each must match, and the order of kinds.
@@ -444,4 +444,4 @@ def redact(docs: DataFrame, field: Field, text: str = "text", length: str = "n_c
                 b = b.set_column(k, b.schema.field(k), pa.array([len(t) if t is not None and s else v for t, s, v in zip(new, found, b.column(k).to_pylist(), strict=True)], b.schema.field(k).type))
             yield b
 
-    return docs.mapInArrow(of, docs.schema)
+    return small_batches(docs).mapInArrow(of, docs.schema)

@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from overlapsolve.llm.common import SLICE, id_and_text, sliced
+from overlapsolve.llm.common import SLICE, id_and_text, sliced, small_batches
 from overlapsolve.llm.hashing import word_hashes
 from overlapsolve.operators.components import connected_components
 from overlapsolve.session import checkpoint, discard
@@ -145,7 +145,7 @@ def _windows(texts: list[bytes], words: int) -> list[np.ndarray]:
 
 def _texts(docs: DataFrame, key: str, text: str) -> DataFrame:
     """(id, text) of the rows with an id, whatever else docs holds."""
-    return docs.select(F.col(key).cast("long").alias("id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text")).where("id is not null")
+    return small_batches(docs).select(F.col(key).cast("long").alias("id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text")).where("id is not null")
 
 
 def _sketches(texts: DataFrame, words: int) -> DataFrame:
