@@ -225,6 +225,76 @@ class VCycle:
         return self.cycle(r)
 
 
+def lattice_interpolation(shape: tuple[int, ...]) -> tuple[np.ndarray, np.ndarray, np.ndarray, tuple[int, ...]]:
+    """(fine, coarse, weight) and the shape of the coarse lattice: multilinear, coarse nodes at every other fine one, zero outside."""
+    small = tuple(max(1, n // 2) for n in shape)
+    fine, coarse, weight = np.zeros(1, np.int64), np.zeros(1, np.int64), np.ones(1)
+    for n, m in zip(shape, small, strict=True):
+        x = np.arange(n)
+        if n == 1:
+            at, to, w = x, x, np.ones(1)
+        else:
+            left, right = (x - 1) // 2, x // 2  # coarse node c lies on fine node 2 c + 1
+            both = x % 2 == 0
+            at = np.concatenate([x[~both], x[both], x[both]])
+            to = np.concatenate([left[~both], left[both], right[both]])
+            w = np.concatenate([np.ones((~both).sum()), np.full(2 * both.sum(), 0.5)])
+            ok = (to >= 0) & (to < m)
+            at, to, w = at[ok], to[ok], w[ok]
+        fine = (fine[:, None] * n + at[None, :]).ravel()
+        coarse = (coarse[:, None] * m + to[None, :]).ravel()
+        weight = (weight[:, None] * w[None, :]).ravel()
+    return fine, coarse, weight, small
+
+
+class LatticeMultigrid:
+    """Geometric multigrid on a lattice: multilinear transfer between nested lattices, Galerkin coarse matrices, Gauss-Seidel sweeps."""
+
+    def __init__(self, indptr: np.ndarray, indices: np.ndarray, data: np.ndarray, shape: tuple[int, ...], pre: int = 1, post: int = 1, coarsest: int = 32, cycles: int = 1):
+        self.pre, self.post, self.cycles = pre, post, cycles
+        self.levels, a = [], (indptr, indices, data)
+        while len(a[0]) - 1 > coarsest and max(shape) > 2:
+            fine, coarse, weight, small = lattice_interpolation(shape)
+            n, m = len(a[0]) - 1, int(np.prod(small))
+            order = np.argsort(fine, kind="stable")
+            fine, coarse, weight = fine[order], coarse[order], weight[order]
+            first = np.searchsorted(fine, np.arange(n + 1))
+            self.levels.append((a, fine, coarse, weight))
+            rows = np.repeat(np.arange(n), np.diff(a[0]))
+            # Each entry meets the interpolation of its row and of its column.
+            left, right = np.diff(first)[rows], np.diff(first)[a[1]]
+            each = np.repeat(np.arange(len(rows)), left * right)
+            within = np.arange(len(each)) - np.repeat(np.cumsum(left * right) - left * right, left * right)
+            i, j = first[rows[each]] + within // right[each], first[a[1][each]] + within % right[each]
+            a, shape = to_csr(m, coarse[i], coarse[j], a[2][each] * weight[i] * weight[j]), small
+        self.last, self.end = factor(*a), a
+        self.size = sum(x[0][2].nbytes for x in self.levels) + self.last.size
+
+    def cycle(self, r: np.ndarray, level: int = 0) -> np.ndarray:
+        if level == len(self.levels):
+            return self.last.solve(r)
+        a, fine, coarse, weight = self.levels[level]
+        x = np.zeros_like(r)
+        for _ in range(self.pre):
+            gauss_seidel(a, x, r)
+        rows = np.repeat(np.arange(len(r)), np.diff(a[0]))
+        rest = r - np.bincount(rows, weights=a[2] * x[a[1]], minlength=len(r))
+        m = len(self.levels[level + 1][0][0]) - 1 if level + 1 < len(self.levels) else len(self.end[0]) - 1
+        x += np.bincount(fine, weights=weight * self.cycle(np.bincount(coarse, weights=weight * rest[fine], minlength=m), level + 1)[coarse], minlength=len(r))
+        for _ in range(self.post):
+            gauss_seidel(a, x, r, backward=True)
+        return x
+
+    def solve(self, r: np.ndarray) -> np.ndarray:
+        """`cycles` V-cycles."""
+        x = self.cycle(r)
+        a = self.levels[0][0] if self.levels else self.end
+        rows = np.repeat(np.arange(len(r)), np.diff(a[0]))
+        for _ in range(self.cycles - 1):
+            x += self.cycle(r - np.bincount(rows, weights=a[2] * x[a[1]], minlength=len(r)))
+        return x
+
+
 def green_1d(n: int) -> np.ndarray:
     """The inverse of the chain with 2 on the diagonal and -1 beside it."""
     i = np.arange(1, n + 1)

@@ -2,16 +2,20 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
 from itertools import product
+from math import prod
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from overlapsolve.functions.solvers import VCycle, factor, to_csr
+from overlapsolve.functions.solvers import LatticeMultigrid, VCycle, factor, to_csr
 from overlapsolve.operators.local import Block
+from overlapsolve.session import checkpoint
 from overlapsolve.sources.mesh import axis
+from overlapsolve.system import Sys
 
 
 def coarse_aggregate(owner: DataFrame) -> DataFrame:
@@ -73,21 +77,65 @@ def coarse_correction(v0: DataFrame, interp: DataFrame, member: DataFrame) -> Da
     return member.select("p", "i").join(values, "i", "left").select("p", "i", F.coalesce("x", F.lit(0.0)).alias("x"))
 
 
+COARSE_SOLVERS = ("direct", "vcycle", "multigrid", "decomposed")
+
+
+def coarse_problem(sys, cfg):
+    """What solves the coarse system: on the driver up to cfg.coarse_limit unknowns, or as a decomposed system of its own."""
+    if cfg.coarse not in COARSE_SOLVERS:
+        raise ValueError(f"coarse is one of {COARSE_SOLVERS}")
+    if cfg.coarse == "decomposed":
+        return DecomposedCoarse(sys.entries, sys.interp, cfg)
+    return CoarseProblem(sys.entries, sys.interp, cfg.coarse_limit, cfg.coarse, sys.extra.get("coarse_shape"))
+
+
+class DecomposedCoarse:
+    """The coarse system split over several owners and solved by the one-level method, synchronously with the level above.
+
+    Owners hold ranges of coarse numbers. The matrix stays on executors; vectors of the coarse size pass through the driver.
+    """
+
+    def __init__(self, entries: DataFrame, interp: DataFrame, cfg):
+        self.a0 = checkpoint(galerkin(entries, interp).select(F.col("c").alias("i"), F.col("d").alias("j"), "a"))
+        self.n = int(self.a0.agg(F.max("i")).first()[0]) + 1
+        self.parts = min(cfg.coarse_parts, self.n)
+        self.owner = self.a0.select("i").distinct().withColumn("p", F.floor(F.col("i") * self.parts / self.n).cast("int"))
+        self.cfg = replace(cfg, tol=max(1e-13, 1e-3 * cfg.tol), coarse="direct", solver="direct")
+        self.member = None
+
+    def solve(self, r0: np.ndarray) -> np.ndarray:
+        from overlapsolve.plans.bsp import ras_sync
+
+        spark = self.a0.sparkSession
+        rhs = spark.createDataFrame(list(enumerate(r0.tolist())), "i long, x double").join(self.owner.select("i"), "i", "left_semi")
+        sys = Sys(self.a0, rhs, self.owner, self.parts, member=self.member)
+        found = ras_sync(sys, self.cfg).u.toPandas()  # the coarse size
+        self.member = sys.member
+        out = np.zeros(self.n)
+        out[found.i.to_numpy()] = found.x.to_numpy()
+        return out
+
+
 class CoarseProblem:
-    """The coarse matrix on the driver; refused beyond `limit` unknowns, where a coarse system is to be solved as a Sys of its own."""
+    """The coarse matrix on the driver; refused beyond `limit` unknowns, where a coarse system is to be decomposed itself."""
 
-    def __init__(self, entries: DataFrame, interp: DataFrame, limit: int = 200_000, kind: str = "direct"):
+    def __init__(self, entries: DataFrame, interp: DataFrame, limit: int = 200_000, kind: str = "direct", shape: tuple[int, ...] | None = None):
         a0 = galerkin(entries, interp)
         n, most = a0.agg(F.count("*"), F.max("c")).first()
         self.n = 0 if most is None else int(most) + 1
         if self.n > limit or n > 64 * limit:
-            raise ValueError(f"{self.n} coarse unknowns: over {limit}, solve the coarse system as a decomposed system itself")
+            raise ValueError(f"{self.n} coarse unknowns: over {limit}, set Config.coarse to decomposed")
         table = a0.toArrow()
         c, d, a = (table.column(k).to_numpy() for k in ("c", "d", "a"))
         used = np.unique(np.concatenate([c, np.zeros(0, c.dtype)]))
         rest = np.setdiff1d(np.arange(self.n), used)
         csr = to_csr(self.n, np.concatenate([c, rest]), np.concatenate([d, rest]), np.concatenate([a, np.ones(len(rest))]))
-        self.solver = VCycle(*csr) if kind == "vcycle" else factor(*csr)
+        if kind == "multigrid":
+            if shape is None or prod(shape) != self.n:
+                raise ValueError("multigrid needs the coarse lattice's shape")
+            self.solver = LatticeMultigrid(*csr, shape)
+        else:
+            self.solver = VCycle(*csr) if kind == "vcycle" else factor(*csr)
 
     def solve(self, r0: np.ndarray) -> np.ndarray:
         return self.solver.solve(r0)

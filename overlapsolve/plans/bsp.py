@@ -17,25 +17,27 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from overlapsolve.functions.solvers import factor, kept
-from overlapsolve.operators.coarse import CoarseProblem
+from overlapsolve.operators.coarse import coarse_problem
 from overlapsolve.operators.local import Block, pack_blocks, residual_global
 from overlapsolve.operators.overlap import decompose
 from overlapsolve.session import checkpoint, discard
 from overlapsolve.system import Config, Sys
 
-#: kind: 0 own iterate, 1 slab, 2 own correction, 3 a peer's masked correction, 4 share of the coarse right-hand side, 5 a kept vector.
+#: kind: 0 own iterate, 1 slab, 2 own correction, 3 a peer's correction, 4 share of the coarse right-hand side, 5 a kept vector, 6 a basis
+#: vector that is passed on, 7 a new one, 8 shares of inner products.
 MESSAGE = "dst int, src int, kind int, vals array<double>, at array<int>, resid double"
 COARSE = -1
 
 
 @dataclass
 class Result:
-    """u (i, x), the residual norms seen (iteration, norm), iterations done, and the last state."""
+    """u (i, x), the residual norms seen (iteration, norm), iterations done, the last state, and whether a norm was below the tolerance."""
 
     u: DataFrame
     history: list[tuple[int, float]]
     iterations: int
     state: DataFrame
+    converged: bool = False
 
 
 def _batch(rows: list[tuple]) -> pa.RecordBatch:
@@ -69,7 +71,7 @@ class Supersteps:
             sys.member = checkpoint(decompose(sys.owner, sys.entries, cfg.delta))
         self.sys, self.cfg, self.name = sys, cfg, sys.name or uuid.uuid4().hex
         self.blocks = pack_blocks(sys).repartition("p").persist()
-        self.coarse = CoarseProblem(sys.entries, sys.interp, cfg.coarse_limit) if sys.interp is not None else None
+        self.coarse = coarse_problem(sys, cfg) if sys.interp is not None else None
 
     def solver(self) -> Callable[[Block], object]:
         name, kind, rtol = self.name, self.cfg.solver, self.cfg.rtol
@@ -96,7 +98,7 @@ class Supersteps:
                 return pa.Table.from_batches([_batch([])])
             b = Block.of(block.to_pylist()[0])
             rows = mine.to_pylist()
-            m: dict = {"slabs": {}, "peers": {}, "kept": {}}
+            m: dict = {"slabs": {}, "peers": {}, "kept": {}, "basis": {}}
             for r in rows:
                 v = None if r["vals"] is None else np.array(r["vals"], float)
                 if r["kind"] == 0:
@@ -107,8 +109,8 @@ class Supersteps:
                     m["v"] = v
                 elif r["kind"] == 3:
                     m["peers"][r["src"]] = v
-                elif r["kind"] == 5:
-                    m["kept"][r["at"][0]] = v
+                elif r["kind"] in (5, 6):
+                    m["kept" if r["kind"] == 5 else "basis"][r["at"][0]] = v
             return pa.Table.from_batches([_batch(f(b, m))])
 
         inbox = messages.where(F.col("dst") >= 0)
@@ -117,8 +119,15 @@ class Supersteps:
     def coarse_values(self, messages: DataFrame) -> np.ndarray:
         """Shares of the coarse right-hand side, added in order of the parts; bounded by the coarse size times the parts that touch an unknown."""
         r0 = np.zeros(self.coarse.n)
-        shares = messages.where(F.col("dst") == COARSE).select("src", "at", "vals").collect()
-        for r in sorted(shares, key=lambda r: r["src"]):
+        shares = messages.where((F.col("dst") == COARSE) & (F.col("kind") == 4)).select("src", "at", "vals")
+        if self.cfg.transfer == "tree":
+            z = F.explode(F.arrays_zip("at", "vals")).alias("z")
+            total = shares.select(z).groupBy(F.col("z.at").alias("c")).agg(F.sum("z.vals").alias("x")).toArrow()
+            r0[total.column("c").to_numpy()] = total.column("x").to_numpy()
+            return r0
+        if self.cfg.transfer != "p2p":
+            raise ValueError("transfer is p2p or tree")
+        for r in sorted(shares.collect(), key=lambda r: r["src"]):
             np.add.at(r0, np.array(r["at"], np.int64), np.array(r["vals"], float))
         return r0
 
@@ -157,6 +166,20 @@ def one_level_step(solve, sweeps: int = 1) -> Step:
     return f
 
 
+def overlapped_step(solve) -> Step:
+    """The same iterates with the solve of a part's own share done while slabs travel: solves are linear, so after the exchange
+    only what came in is solved for and added. Exact for direct solvers."""
+
+    def f(b: Block, m: dict) -> list[tuple]:
+        came = b.accumulated(np.zeros(b.n), m["slabs"])
+        s = b.slab(m["w"])
+        w = m["w"] + m["v"] + solve(b).solve(came)
+        new = b.slab(w)
+        return [own(b.p, w, _masked_square(b, s + came)), *slabs(b, new), own(b.p, solve(b).solve(new), 0.0, 2)]
+
+    return f
+
+
 def _loop(run: Supersteps, messages: DataFrame, advance: Callable[[DataFrame], DataFrame], cfg: Config, exact: int | None) -> Result:
     """Iterate to the tolerance, or `exact` times. A norm belongs to the iterate before the superstep that reports it."""
     history, done, latest = [], 0, messages
@@ -171,12 +194,23 @@ def _loop(run: Supersteps, messages: DataFrame, advance: Callable[[DataFrame], D
         history.append((done - 1, norm))
         if exact is None and norm < cfg.tol:
             break
-    return Result(run.solution(messages), history, done, messages)
+    result = Result(run.solution(messages), history, done, messages, bool(history) and history[-1][1] < cfg.tol)
+    run.close()
+    return result
 
 
-def ras_sync(sys: Sys, cfg: Config = Config(), exact: int | None = None, communicate_update: bool = False, start: DataFrame | None = None) -> Result:
+def true_norm(sys: Sys, u: DataFrame) -> float:
+    """The residual norm of (i, x), from the whole matrix."""
+    return float(residual_global(sys.entries, u, sys.rhs).agg(F.sqrt(F.sum(F.col("x") * F.col("x")))).first()[0] or 0.0)
+
+
+def ras_sync(sys: Sys, cfg: Config = Config(), exact: int | None = None, communicate_update: bool = False, overlap_exchange: bool = False, start: DataFrame | None = None) -> Result:
     """One-level restricted additive method; with communicate_update the unreduced form, which also exchanges corrections."""
     run = Supersteps(sys, cfg)
+    if overlap_exchange:
+        solve = run.solver()
+        begun = run.step(run.begin(start).where("kind = 0"), lambda b, m: [own(b.p, m["w"]), *slabs(b, s := b.slab(m["w"])), own(b.p, solve(b).solve(s), 0.0, 2)])
+        return _loop(run, checkpoint(begun), lambda m: run.step(m, overlapped_step(solve)), cfg, exact)
     if communicate_update:
         return _two_exchanges(run, cfg, exact, masked=True, theta=1.0, start=start)
     f = one_level_step(run.solver(), cfg.sweeps)
@@ -249,34 +283,48 @@ def ras2_mult_sync(sys: Sys, cfg: Config = Config(), exact: int | None = None) -
     return _loop(run, run.begin(coarse=True), advance, cfg, exact)
 
 
+PRECONDITIONERS = ("none", "ras", "as", "ras2")
+
+
 def gmres(sys: Sys, cfg: Config = Config(), precond: str = "ras", restart: int = 60) -> Result:
-    """GMRES with right preconditioner `ras`, `as` or `ras2`; all inner products of a step are one small collect.
+    """GMRES with right preconditioner `ras`, `as`, `ras2` (two-level additive, on the system's coarse space) or none.
 
-    Basis vectors live in the parts' rows, each consistent over overlaps. A step applies the preconditioner, exchanges
-    slabs once, and returns each part's share of the products with the basis.
+    A basis vector is written once, consistent over overlaps, and read where it lies; what a step moves between parts is
+    slabs. Step k makes the k-th vector from the last product, multiplies it, and returns each part's share of all inner
+    products in one small collect. The coarse share of a vector follows from those of the products by the same combination.
     """
+    if precond not in PRECONDITIONERS:
+        raise ValueError(f"precond is one of {PRECONDITIONERS}")
+    two = precond == "ras2"
     run = Supersteps(sys, cfg)
+    if two and run.coarse is None:
+        raise ValueError("ras2 needs a coarse space")
     solve = run.solver()
-    two = precond == "ras2"
-
-    def apply(b: Block, q: np.ndarray, v0: np.ndarray | None) -> np.ndarray:
-        z = np.where(b.owned, solve(b).solve(q), 0.0)
-        return z if v0 is None else 0.5 * z + 0.5 * np.where(b.owned, b.from_coarse(v0), 0.0)
 
-    def coarse_of(state: DataFrame, k: int) -> np.ndarray | None:
-        if not two:
-            return None
+    def masked(b: Block, q: np.ndarray, v0: np.ndarray | None) -> np.ndarray:
+        z = q if precond == "none" else solve(b).solve(q)
+        return np.where(b.owned, z if v0 is None else 0.5 * z + 0.5 * b.from_coarse(v0), 0.0)
 
-        def share(b: Block, m: dict) -> list[tuple]:
-            used = np.unique(b.coarse_id)
-            r0 = b.to_coarse(np.where(b.owned, m["kept"][k], 0.0), int(used[-1]) + 1 if len(used) else 0)
-            return [(COARSE, b.p, 4, r0[used], used, 0.0)]
+    def product(b: Block, z: np.ndarray) -> list[tuple]:
+        s = b.times(np.where(b.owned, z, 0.0))
+        return [own(b.p, s, 0.0, 2), *[(q, b.p, 1, x, None, 0.0) for q, x in b.outgoing(s)]]
 
-        return run.coarse.solve(run.coarse_values(run.step(state, share)))
+    def share(b: Block, y: np.ndarray) -> list[tuple]:
+        if not two:
+            return []
+        used = np.unique(b.coarse_id)
+        r0 = b.to_coarse(np.where(b.owned, y, 0.0), int(used[-1]) + 1 if len(used) else 0)
+        return [(COARSE, b.p, 4, r0[used], used, 0.0)]
 
     def first(b: Block, m: dict) -> list[tuple]:
         r = b.accumulated(b.slab(m["w"]), m["slabs"])
-        return [own(b.p, m["w"], _masked_square(b, r)), (b.p, b.p, 5, r, [0], 0.0)]
+        return [own(b.p, m["w"], _masked_square(b, r)), (b.p, b.p, 5, r, [0], 0.0), *share(b, r)]
+
+    def combined(frame: DataFrame, basis: list[DataFrame]) -> DataFrame:
+        out = frame
+        for j, q in enumerate(basis):
+            out = out.union(q.select("dst", "src", F.lit(6).alias("kind"), "vals", F.array(F.lit(j)).alias("at"), "resid"))
+        return out
 
     history: list[tuple[int, float]] = []
     messages, done = run.begin(), 0
@@ -285,60 +333,110 @@ def gmres(sys: Sys, cfg: Config = Config(), precond: str = "ras", restart: int =
         beta = run.norm(state)
         history.append((done, beta))
         if beta < cfg.tol or done >= cfg.max_iter:
-            return Result(run.solution(state), history, done, state)
-        scale, columns, steps = [1.0 / beta], [], 0
-        h = np.zeros((restart + 1, restart))
+            result = Result(run.solution(state), history, done, state, beta < cfg.tol)
+            run.close()
+            return result
+        iterate = state.where("kind = 0")
+        coarse_y, coarse_q = run.coarse_values(state) if two else None, []
+        latest, basis, sizes, h = state.where("kind = 5"), [], [], np.zeros((restart + 1, restart))
+        coeffs, factor_y, steps, y = np.zeros(0), 1.0, 0, np.zeros(0)
         for k in range(min(restart, cfg.max_iter - done)):
-            v0 = coarse_of(state, k)
-            factor_k = scale[k]
-
-            def multiply(b: Block, m: dict, k: int = k, v0=v0, factor_k: float = factor_k) -> list[tuple]:
-                z = apply(b, m["kept"][k] * factor_k, None if v0 is None else v0 * factor_k)
-                s = b.times(np.where(b.owned, z, 0.0))
-                keep = [(b.p, b.p, 5, v, [j], 0.0) for j, v in m["kept"].items()]
-                return [own(b.p, m["w"]), own(b.p, s, 0.0, 2), *keep, *[(q, b.p, 1, x, None, 0.0) for q, x in b.outgoing(s)]]
+            v0 = None
+            if two:
+                coarse_q.append(factor_y * coarse_y - sum((c * q for c, q in zip(coeffs, coarse_q, strict=False)), np.zeros(run.coarse.n)))
+                v0 = run.coarse.solve(coarse_q[-1])
+
+            def multiply(b: Block, m: dict, v0=v0, coeffs: np.ndarray = coeffs, factor_y: float = factor_y) -> list[tuple]:
+                q = factor_y * m["kept"][0] - sum(c * m["basis"][j] for j, c in enumerate(coeffs))
+                keep = [(b.p, b.p, 6, q, [len(coeffs)], 0.0), *[(b.p, b.p, 6, m["basis"][j], [j], 0.0) for j in range(len(coeffs))]]
+                if precond == "as":  # corrections add up in overlaps before they are multiplied
+                    v = solve(b).solve(q)
+                    return [*keep, own(b.p, v, 0.0, 2), *[(p, b.p, 3, x, None, 0.0) for p, x in b.outgoing(v)]]
+                return [*keep, *product(b, masked(b, q, v0))]
+
+            def add(b: Block, m: dict) -> list[tuple]:
+                return [*[(b.p, b.p, 6, q, [j], 0.0) for j, q in m["basis"].items()], *product(b, b.accumulated(m["v"], m["peers"]))]
 
             def project(b: Block, m: dict, k: int = k) -> list[tuple]:
                 y = b.accumulated(m["v"], m["slabs"])
-                dots = [float(y[b.owned] @ m["kept"][j][b.owned]) for j in range(k + 1)] + [_masked_square(b, y)]
-                return [own(b.p, m["w"]), (b.p, b.p, 5, y, [k + 1], 0.0), (COARSE, b.p, 4, dots, [0], 0.0), *[(b.p, b.p, 5, v, [j], 0.0) for j, v in m["kept"].items()]]
-
-            state = checkpoint(run.step(run.step(state, multiply), project))
-            rows = sorted(state.where(F.col("dst") == COARSE).select("src", "vals").collect())
+                q = m["basis"][k]
+                dots = [float(y[b.owned] @ m["basis"][j][b.owned]) for j in range(k + 1)] + [_masked_square(b, y), _masked_square(b, q)]
+                return [(b.p, b.p, 5, y, [0], 0.0), (b.p, b.p, 7, q, [k], 0.0), (COARSE, b.p, 8, dots, [0], 0.0), *share(b, y)]
+
+            moved = run.step(combined(latest, basis), multiply)
+            if precond == "as":
+                moved = run.step(moved, add)
+            new = checkpoint(run.step(moved, project))
+            rows = sorted(new.where("kind = 8").select("src", "vals").collect())
             dots = np.sum([r[1] for r in rows], axis=0)
-            h[: k + 1, k] = dots[:-1] * np.array(scale)
-            coeffs = h[: k + 1, k] * np.array(scale)
-
-            def orthogonal(b: Block, m: dict, k: int = k, coeffs: np.ndarray = coeffs) -> list[tuple]:
-                y = m["kept"][k + 1] - sum(coeffs[j] * m["kept"][j] for j in range(k + 1))
-                return [own(b.p, m["w"], _masked_square(b, y)), (b.p, b.p, 5, y, [k + 1], 0.0), *[(b.p, b.p, 5, v, [j], 0.0) for j, v in m["kept"].items() if j <= k]]
-
-            state = checkpoint(run.step(state, orthogonal))
-            size = run.norm(state)
-            h[k + 1, k] = size
-            steps = k + 1
+            size = float(np.sqrt(dots[-1]))
+            if k:
+                h[k, k - 1] = size
+            sizes.append(size)
+            h[: k + 1, k] = dots[: k + 1] / size / np.array(sizes)
+            # What the next vector's size will be; the exact one is found when it is made.
+            h[k + 1, k] = np.sqrt(max(dots[-2] / size**2 - (h[: k + 1, k] ** 2).sum(), 0.0))
+            coeffs, factor_y = h[: k + 1, k] / np.array(sizes), 1.0 / size
+            latest, coarse_y, steps = new.where("kind = 5"), run.coarse_values(new) if two else None, k + 1
+            basis.append(new.where("kind = 7"))
             g = np.zeros(steps + 1)
             g[0] = beta
             y, *_ = np.linalg.lstsq(h[: steps + 1, :steps], g, rcond=None)
             rest = float(np.linalg.norm(g - h[: steps + 1, :steps] @ y))
             history.append((done + steps, rest))
-            columns = y
-            if rest < 0.5 * cfg.tol or size < 1e-14 * beta:
+            if rest < 0.5 * cfg.tol or h[k + 1, k] < 1e-14 * beta:
                 break
-            scale.append(1.0 / size)
-        weights = np.array(columns) * np.array(scale[:steps])
-        v0 = None
-        if two:
-            def mixed(b: Block, m: dict, weights: np.ndarray = weights) -> list[tuple]:
-                return [own(b.p, m["w"]), (b.p, b.p, 5, sum(c * m["kept"][j] for j, c in enumerate(weights)), [0], 0.0)]
-
-            v0 = coarse_of(checkpoint(run.step(state, mixed)), 0)
+        weights = y / np.array(sizes)
+        v0 = run.coarse.solve(sum(c * q for c, q in zip(weights, coarse_q, strict=True))) if two else None
 
         def finish(b: Block, m: dict, weights: np.ndarray = weights, v0=v0) -> list[tuple]:
-            w = m["w"] + apply(b, sum(c * m["kept"][j] for j, c in enumerate(weights)), v0)
+            q = sum(c * m["basis"][j] for j, c in enumerate(weights))
+            if precond == "as":
+                v = solve(b).solve(q)
+                return [own(b.p, m["w"]), own(b.p, v, 0.0, 2), *[(p, b.p, 3, x, None, 0.0) for p, x in b.outgoing(v)]]
+            w = m["w"] + masked(b, q, v0)
+            return [own(b.p, w), *slabs(b, b.slab(w))]
+
+        def settle(b: Block, m: dict) -> list[tuple]:
+            w = m["w"] + b.accumulated(m["v"], m["peers"])
             return [own(b.p, w), *slabs(b, b.slab(w))]
 
-        messages, done = checkpoint(run.step(state, finish)), done + steps
+        messages = run.step(combined(iterate, basis), finish)
+        messages, done = checkpoint(run.step(messages, settle) if precond == "as" else messages), done + steps
+
+
+def stationary(sys: Sys, k: int, cfg: Config = Config(), precond: str = "ras", theta: float = 1.0) -> DataFrame:
+    """(i, x) after k steps u + theta M (f - A u) in the global form: the residual is taken from the whole matrix.
+
+    M is `ras` (owned values of local solves), `as` (their sum), `ras2` (half of `ras` and half of the coarse correction) or
+    `jacobi` (local solves on the parts themselves, without overlap).
+    """
+    if precond not in ("ras", "as", "ras2", "jacobi"):
+        raise ValueError("precond is one of ras, as, ras2, jacobi")
+    if precond == "jacobi":
+        sys.member = checkpoint(decompose(sys.owner, sys.entries, 0))
+    run = Supersteps(sys, cfg)
+    solve = run.solver()
+    u = checkpoint(sys.rhs.select("i", F.lit(0.0).alias("x")))
+    entries = checkpoint(sys.entries)
+    for _ in range(k):
+        r = checkpoint(residual_global(entries, u, sys.rhs))
+        rows = sys.member.join(r, "i").groupBy("p").agg(F.transform(F.array_sort(F.collect_list(F.struct("slot", "x"))), lambda t: t["x"]).alias("vals"))
+        sent = rows.select(F.col("p").alias("dst"), F.col("p").alias("src"), F.lit(0).alias("kind"), "vals", F.lit(None).cast("array<int>").alias("at"), F.lit(0.0).alias("resid"))
+        v = run.solution(run.step(sent, lambda b, m: [own(b.p, solve(b).solve(m["w"]))]), every=precond == "as")
+        v = v.groupBy("i").agg(F.sum("x").alias("v"))
+        if precond == "ras2":
+            shares = sys.interp.join(r, "i").groupBy("c").agg(F.sum(F.col("weight") * F.col("x")).alias("x")).toPandas()  # the coarse size
+            r0 = np.zeros(run.coarse.n)
+            r0[shares.c.to_numpy()] = shares.x.to_numpy()
+            v0 = u.sparkSession.createDataFrame(list(enumerate(run.coarse.solve(r0).tolist())), "c long, y double")
+            lifted = sys.interp.join(v0, "c").groupBy("i").agg(F.sum(F.col("weight") * F.col("y")).alias("y"))
+            v = v.join(lifted, "i", "left").select("i", (cfg.weights[0] * F.col("v") + cfg.weights[1] * F.coalesce("y", F.lit(0.0))).alias("v"))
+        new = checkpoint(u.join(v, "i", "left").select("i", (F.col("x") + theta * F.coalesce("v", F.lit(0.0))).alias("x")))
+        discard(u, r)
+        u = new
+    run.close()
+    return u
 
 
 def ras_global(sys: Sys, k: int, cfg: Config = Config()) -> np.ndarray:
@@ -399,15 +497,5 @@ def cg_global(entries: DataFrame, f: DataFrame, tol: float = 1e-10, most: int =
 
 
 def block_jacobi(sys: Sys, k: int, cfg: Config = Config()) -> DataFrame:
-    """(i, x) after k steps without overlap: owned nodes lie on surfaces, so the residual is taken from the whole matrix."""
-    sys.member = checkpoint(decompose(sys.owner, sys.entries, 0))
-    run = Supersteps(sys, cfg)
-    solve = run.solver()
-    u = sys.rhs.select("i", F.lit(0.0).alias("x"))
-    for _ in range(k):
-        r = residual_global(sys.entries, u, sys.rhs)
-        rows = sys.member.join(r, "i").groupBy("p").agg(F.transform(F.array_sort(F.collect_list(F.struct("slot", "x"))), lambda t: t["x"]).alias("vals"))
-        sent = rows.select(F.col("p").alias("dst"), F.col("p").alias("src"), F.lit(0).alias("kind"), "vals", F.lit(None).cast("array<int>").alias("at"), F.lit(0.0).alias("resid"))
-        v = run.solution(run.step(sent, lambda b, m: [own(b.p, solve(b).solve(m["w"]))]), every=True)
-        u = checkpoint(u.join(v.withColumnRenamed("x", "v"), "i").select("i", (F.col("x") + F.col("v")).alias("x")))
-    return u
+    """(i, x) after k steps without overlap: owned nodes lie on surfaces, so there is no local form."""
+    return stationary(sys, k, cfg, "jacobi")

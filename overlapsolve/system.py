@@ -54,3 +54,6 @@ class Config:
     seed: int = 42
     timeout_s: float = 60.0
     rtol: float = 0.1
+    coarse: str = "direct"  # or vcycle (aggregation), multigrid (geometric, on Sys.extra["coarse_shape"]), decomposed (a system of its own)
+    coarse_parts: int = 4
+    transfer: str = "p2p"  # or tree: shares of the coarse right-hand side are added up on the executors first
