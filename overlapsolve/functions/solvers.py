@@ -2,10 +2,28 @@
 
 from __future__ import annotations
 
+import ctypes
+import re
 from collections import OrderedDict
+from pathlib import Path
 
 import numpy as np
 
+
+
+def one_thread() -> None:
+    """Keep the linear algebra library of this process to one thread: Spark's tasks are the parallelism, and its threads may
+    wait for ever in a process that has forked. Nothing happens where no such library is found."""
+    maps = Path("/proc/self/maps")
+    for path in set(re.findall(r"/\S*openblas\S*\.so\S*", maps.read_text())) if maps.exists() else ():
+        library = ctypes.CDLL(path)
+        for name in ("scipy_openblas_set_num_threads64_", "openblas_set_num_threads64_", "scipy_openblas_set_num_threads", "openblas_set_num_threads"):
+            if hasattr(library, name):
+                getattr(library, name)(1)
+                break
+
+
+one_thread()
 DENSE = 1500
 _KEPT: OrderedDict[tuple, object] = OrderedDict()
 KEPT_BYTES = 512 << 20
