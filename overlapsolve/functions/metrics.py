@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from overlapsolve.session import checkpoint
+from overlapsolve.session import checkpoint, discard
 
 
 def contraction(r0: Column, rf: Column, iterations: Column) -> Column:
@@ -71,7 +71,7 @@ def error_norms(u: DataFrame, d: int, n: int) -> DataFrame:
     return e.agg(F.max(F.abs("e")).alias("max_error"), F.sqrt(F.avg(F.col("e") * F.col("e"))).alias("l2_error"))
 
 
-def is_m_matrix(entries: DataFrame, most: int = 200) -> bool:
+def is_m_matrix(entries: DataFrame) -> bool:
     """The sufficient test: positive diagonal, no positive entry off it, weakly dominant rows, and from every row a path to a strictly dominant one."""
     rows = entries.groupBy("i").agg(F.sum(F.when(F.col("i") == F.col("j"), F.col("a")).otherwise(0.0)).alias("d"), F.sum("a").alias("s"), F.max(F.when(F.col("i") != F.col("j"), F.col("a"))).alias("off"))
     rows = checkpoint(rows)
@@ -81,15 +81,20 @@ def is_m_matrix(entries: DataFrame, most: int = 200) -> bool:
     good = rows.where(F.col("s") > slack).select("i")
     total = rows.count()
     edges = checkpoint(entries.where("i <> j and a < 0").select("i", "j"))
-    count = good.count()
-    for _ in range(most):
-        if count == total:
-            return True
-        good = checkpoint(good.union(edges.join(good.withColumnRenamed("i", "j"), "j").select("i")).distinct())
-        before, count = count, good.count()
-        if before == count:
+    # A row without such a path lies in a part of the graph that none of the good ones can be reached from. Marks are passed back
+    # along entries until none is new; only the newest ones are passed on.
+    found, front, left = checkpoint(good), checkpoint(good), total - good.count()
+    while left:
+        back = edges.join(front.withColumnRenamed("i", "j"), "j").select("i").distinct()
+        new = checkpoint(back.join(found, "i", "left_anti"))
+        n = new.count()
+        if not n:
             return False
-    return False
+        left -= n
+        merged = checkpoint(found.union(new))
+        discard(found, front)
+        found, front = merged, new
+    return True
 
 
 def contraction_constant(a: np.ndarray, sets: list[tuple[np.ndarray, np.ndarray]], weights: np.ndarray) -> float:

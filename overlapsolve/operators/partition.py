@@ -31,9 +31,29 @@ def partition_imbalanced(nodes: DataFrame, shape: tuple[int, ...], parts: int, f
     return nodes.select("i", sum((F.when(x >= c, 1).otherwise(0) for c in cuts), F.lit(0)).cast("int").alias("p"))
 
 
+def partition_box_imbalanced(nodes: DataFrame, shape: tuple[int, ...], boxes: tuple[int, ...], factor: float = 1.5) -> DataFrame:
+    """Boxes whose first one is about `factor` times as large as the others: its axes' first cuts are moved by the same share."""
+    p, share = F.lit(0), factor ** (1 / len(shape))
+    for k, b in enumerate(boxes):
+        unit = shape[k] / (b - 1 + share)
+        cuts = [round(unit * (m - 1 + share)) for m in range(1, b)]
+        x = axis(F.col("i"), shape, k)
+        p = p * b + sum((F.when(x >= c, 1).otherwise(0) for c in cuts), F.lit(0))
+    return nodes.select("i", p.cast("int").alias("p"))
+
+
 def partition_key(nodes: DataFrame, key: str) -> DataFrame:
     """(i, p): parts numbered by the sorted distinct keys, which are few enough to broadcast only if Spark finds so."""
-    ids = nodes.select(key).distinct().withColumn("p", (F.dense_rank().over(Window.orderBy(key)) - 1).cast("int"))
+    keys = nodes.select(key).distinct().orderBy(key)
+    # Positions within range partitions, shifted by the sizes of those before: no window over all keys.
+    placed = checkpoint(keys.select(key, F.spark_partition_id().alias("part"), F.monotonically_increasing_id().alias("at")))
+    sizes = placed.groupBy("part").agg(F.count("*").alias("n"), F.min("at").alias("first")).orderBy("part").collect()  # one row a partition
+    before, shifts = 0, []
+    for r in sizes:
+        shifts.append((r["part"], r["first"] - before))
+        before += r["n"]
+    shift = nodes.sparkSession.createDataFrame(shifts, "part int, shift long")
+    ids = placed.join(F.broadcast(shift), "part").select(key, (F.col("at") - F.col("shift")).cast("int").alias("p"))
     return nodes.join(ids, key).select("i", "p")
 
 

@@ -113,7 +113,84 @@ p AS (SELECT n.i, m.i AS j, m.a - n.a AS x, m.b - n.b AS y, m.c - n.c AS z FROM
 SELECT i, j, CAST(CASE abs(x) + abs(y) + abs(z) WHEN 0 THEN 6 WHEN 1 THEN -1 ELSE 0 END AS DOUBLE) AS a
 FROM p WHERE least(x, y, z) >= 0 OR greatest(x, y, z) <= 0"""
 
+
+
+def jacobi(setup: str, sweeps: int, shown: str) -> str:
+    """Sweeps on tables e (i, j, w) of couplings, d (i, d) of diagonals and f (i, x)."""
+    return f"""WITH RECURSIVE {setup},
+it AS (
+  SELECT 0 AS k, i, CAST(0 AS DOUBLE) AS x FROM f
+  UNION ALL
+  SELECT s.k + 1, s.i, (max(f.x) + sum(s.y)) / max(d.d)
+  FROM (SELECT it.k, e.i, e.w * it.x AS y FROM it JOIN e ON e.j = it.i WHERE it.k < {sweeps} UNION ALL SELECT k, i, 0 FROM it WHERE k < {sweeps}) s JOIN f ON f.i = s.i JOIN d ON d.i = s.i
+  GROUP BY s.k, s.i)
+SELECT {shown} FROM it WHERE k = {sweeps}"""
+
+
+CHATS = """c AS (SELECT conv_id * 1000 + turn AS i, lag(conv_id * 1000 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS u, CAST(length(text) AS DOUBLE) AS x FROM conversations),
+f AS (SELECT i, x FROM c),
+e AS (SELECT i, u AS j, 1.0 AS w FROM c WHERE u IS NOT NULL UNION ALL SELECT u, i, 1.0 FROM c WHERE u IS NOT NULL),
+d AS (SELECT f.i, 1.0 + count(e.j) AS d FROM f LEFT JOIN e ON e.i = f.i GROUP BY f.i)"""
+
+PAGES = """l AS (SELECT page_id, anchor, count(*) AS w FROM (SELECT page_id, unnest(regexp_extract_all(html, '<a href="([^"]*)"', 1)) AS anchor FROM pages) GROUP BY 1, 2),
+n AS (SELECT page_id, -dense_rank() OVER (ORDER BY anchor) AS a, CAST(w AS DOUBLE) AS w FROM l),
+e AS (SELECT page_id AS i, a AS j, w FROM n UNION ALL SELECT a, page_id, w FROM n),
+d AS (SELECT i, 2 * sum(w) AS d FROM e GROUP BY i),
+f AS (SELECT d.i, coalesce(length(p.html) / 1000.0, 0) AS x FROM d LEFT JOIN pages p ON p.page_id = d.i)"""
+
+CUBE = """r AS (SELECT (CAST((year(l_shipdate) - 1995) * 12 + month(l_shipdate) - 1 AS BIGINT) * 50 + CAST(l_quantity AS BIGINT) - 1) * 11 + CAST(round(100 * l_discount) AS BIGINT) AS i, CAST(count(*) AS DOUBLE) AS x FROM lineitem GROUP BY 1),
+n AS (SELECT range AS i, range // 550 AS a, range // 11 % 50 AS b, range % 11 AS c FROM range(45650)),
+f AS (SELECT n.i, coalesce(r.x, 0.0) AS x FROM n LEFT JOIN r ON r.i = n.i),
+d AS (SELECT i, 7.0 AS d FROM n),
+e AS (SELECT i, i - 550 AS j, 1.0 AS w FROM n WHERE a > 0 UNION ALL SELECT i, i + 550, 1.0 FROM n WHERE a < 82 UNION ALL SELECT i, i - 11, 1.0 FROM n WHERE b > 0
+  UNION ALL SELECT i, i + 11, 1.0 FROM n WHERE b < 49 UNION ALL SELECT i, i - 1, 1.0 FROM n WHERE c > 0 UNION ALL SELECT i, i + 1, 1.0 FROM n WHERE c < 10)"""
+
+MICRO = {"ras": [2.6, 4.2, 4.8, 4.8, 4.2, 2.6], "as": [2.6, 4.2, 4.2, 4.2, 4.2, 2.6], "ras2": [2.8, 3.85, 4.15, 4.15, 3.85, 2.8], "jacobi": [1.875, 2.75, 2.625, 2.625, 2.75, 1.875]}
+
+
+def two_level_micro(additive: bool, steps: int) -> str:
+    """Six nodes in a line by joins with closed forms: the inverse of a line of n is min(i, j) (n + 1 - max(i, j)) / (n + 1).
+
+    In each step the residual is taken, solved for on nodes 0 to 3 and 2 to 5 with owned results kept, and on the two halves'
+    indicators, whose matrix is a line of two. Additively both corrections count half; else the coarse one comes first.
+    """
+    residual = lambda u: f"SELECT n.i, 1 - 2 * n.x + coalesce(a.x, 0) + coalesce(b.x, 0) AS r FROM {u} n LEFT JOIN {u} a ON a.i = n.i - 1 LEFT JOIN {u} b ON b.i = n.i + 1"
+    local = lambda r: f"SELECT p.i, sum(least(p.s, q.s) * (5 - greatest(p.s, q.s)) / 5.0 * r.r) AS v FROM g p JOIN g q ON q.p = p.p JOIN {r} r ON r.i = q.i WHERE p.p = p.i // 3 GROUP BY p.i"
+    half = lambda r: f"SELECT n.i, (2 * sum(CASE WHEN r.i // 3 = n.i // 3 THEN r.r ELSE 0 END) + sum(CASE WHEN r.i // 3 <> n.i // 3 THEN r.r ELSE 0 END)) / 3.0 AS v FROM u0 n, {r} r GROUP BY n.i"
+    parts = ["u0 AS (SELECT range AS i, CAST(0 AS DOUBLE) AS x FROM range(6))", "g AS (SELECT p.p, s.s + 2 * p.p - 1 AS i, s.s FROM (VALUES (0), (1)) p(p), (VALUES (1), (2), (3), (4)) s(s))"]
+    for k in range(1, steps + 1):
+        parts += [f"r{k} AS ({residual(f'u{k - 1}')})", f"c{k} AS ({half(f'r{k}')})"]
+        if additive:
+            parts += [f"l{k} AS ({local(f'r{k}')})", f"u{k} AS (SELECT u.i, u.x + l.v / 2 + c.v / 2 AS x FROM u{k - 1} u JOIN l{k} l ON l.i = u.i JOIN c{k} c ON c.i = u.i)"]
+        else:
+            parts += [f"m{k} AS (SELECT u.i, u.x + c.v AS x FROM u{k - 1} u JOIN c{k} c ON c.i = u.i)", f"q{k} AS ({residual(f'm{k}')})", f"l{k} AS ({local(f'q{k}')})", f"u{k} AS (SELECT m.i, m.x + l.v AS x FROM m{k} m JOIN l{k} l ON l.i = m.i)"]
+    return f"WITH {', '.join(parts)} SELECT i, round(x, 9) + 0.0 AS x FROM u{steps}"
+
+
+def per_mode(name: str, sizes: tuple[int, ...], *flags: bool, columns: str) -> str:
+    return values([(name, p, m, *flags) for p in sizes for m in ("sync", "async")], f"workload, P, mode, {columns}")
+
+
 ORACLES: dict[str, str] = {
+    "chats_solution": jacobi(CHATS, 90, "i, round(x, 4) + 0.0 AS x"),
+    "pages_solution": jacobi(PAGES, 60, "i AS page_id, round(x, 4) + 0.0 AS x").replace("WHERE k = 60", "WHERE k = 60 AND i >= 0"),
+    "cube_solution": jacobi(CUBE, 180, "i, round(x, 4) + 0.0 AS x"),
+    "ras2_micro_k3": two_level_micro(True, 3),
+    "ras2_mult_micro_k2": two_level_micro(False, 2),
+    "as_micro_k2": line(MICRO["as"]),
+    "stationary_micro": " UNION ALL ".join(f"SELECT '{k}' AS precond, i, x FROM ({line(v)})" for k, v in MICRO.items()),
+    "overlapped_exchange_micro": line([2.84, 4.68, 5.52, 5.52, 4.68, 2.84]),
+    "gmres_additive_micro": line([3, 5, 6, 6, 5, 3]),
+    "coarse_decomposed_micro": two_level_micro(True, 2).replace("round(x, 9)", "round(x, 6)"),
+    "one_level_strong_winners": values([("one-level strong", p, p > 4) for p in (4, 16, 64)], "workload, P, async_wins"),
+    "one_level_imbalanced_winners": values([("one-level strong, imbalanced", p, p > 4) for p in (4, 16, 64)], "workload, P, async_wins"),
+    "two_level_weak_report": per_mode("two-level weak", (4, 16), True, True, columns="reached, few_iterations"),
+    "two_level_imbalanced_report": per_mode("two-level weak, imbalanced", (4, 16), True, columns="reached"),
+    "two_level_strong_report": per_mode("two-level strong", (4, 16), True, columns="reached"),
+    "two_level_cube_report": per_mode("two-level cube", (8,), True, columns="reached"),
+    "convection_report": per_mode("convection-diffusion", (4, 16), True, columns="reached"),
+    "local_iterations_vary": values([(p, m, m == "async") for p in (4, 16) for m in ("sync", "async")], "P, mode, differ"),
+    "krylov_report": values([(m, 4, True, True) for m in ("geometric", "spectral")], "mode, P, converged, few_iterations"),
     "grid2d_rhs": f"WITH {GRID_F} SELECT i, x FROM gf",
     "grid3d_rhs": """SELECT n.i, coalesce(c.x, 0.0) AS x FROM (SELECT range AS i FROM range(45650)) n LEFT JOIN (
       SELECT (CAST((year(l_shipdate) - 1995) * 12 + month(l_shipdate) - 1 AS BIGINT) * 50 + CAST(l_quantity AS BIGINT) - 1) * 11 + CAST(round(100 * l_discount) AS BIGINT) AS i, CAST(count(*) AS DOUBLE) AS x
@@ -187,7 +264,7 @@ ORACLES: dict[str, str] = {
     "contraction_report": """SELECT 'sync' AS run, round(pow(1e-8, 1 / 110.0), 9) AS per_iteration, round(pow(1e-8, 0.1 / 11.0), 9) AS per_time
       UNION ALL SELECT 'doubled', round(pow(1e-8, 1 / 110.0), 9), round(pow(1e-8, 0.2 / 11.0), 9)""",
     "iteration_histogram": "SELECT 'events' AS run_id, CAST(n // 10 * 10 AS BIGINT) AS low, count(*) AS parts FROM (SELECT user_id, count(*) AS n FROM events GROUP BY user_id) GROUP BY 2",
-    "crossover_report": values([("balanced", 64), ("imbalanced", 4)], "workload, P"),
+    "crossover_report": values([("one-level strong", 16), ("one-level strong, imbalanced", 16)], "workload, P"),
     "detection_report": values([("master", 3), ("confirmed", 6)], "rule, t"),
 }
 

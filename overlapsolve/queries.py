@@ -8,12 +8,13 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from overlapsolve import experiments
 from overlapsolve.functions import metrics
 from overlapsolve.live import engine
 from overlapsolve.live.mailbox import Option
 from overlapsolve.operators import coarse as coarse_ops
 from overlapsolve.operators import local, overlap, partition
-from overlapsolve.plans import bsp, convergence, replay, simulate
+from overlapsolve.plans import bsp, convergence, replay
 from overlapsolve.sources import mesh, problems
 from overlapsolve.system import Config, Sys
 
@@ -431,12 +432,114 @@ def iteration_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.iteration_histogram(e, 10)
 
 
+def few(**more) -> experiments.Sizes:
+    return experiments.Sizes(**{"repeats": 2, **more})
+
+
+@query
+def one_level_strong_winners(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Balanced one-level runs on a simulated clock: synchronous ones win with few parts, asynchronous ones with many."""
+    return experiments.winners(experiments.one_level_strong(spark, few())[1])
+
+
+@query
+def one_level_imbalanced_winners(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One part half as large again: the asynchronous runs win from fewer parts on or by more."""
+    return experiments.winners(experiments.one_level_strong(spark, few(), 1.5)[1])
+
+
 @query
 def crossover_report(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """From a fixed trace: synchronous runs win at 4 and 16 parts, asynchronous ones from 64 on; with a larger part they always do."""
-    rows = [("balanced", m, p, t) for p, s, a in ((4, 10.0, 12.0), (16, 4.0, 4.5), (64, 2.0, 1.8), (256, 1.5, 0.9)) for m, t in (("sync", s), ("async", a))]
-    rows += [("imbalanced", m, p, t) for p, s, a in ((4, 15.0, 12.5), (16, 6.0, 4.7)) for m, t in (("sync", s), ("async", a))]
-    return metrics.crossover(spark.createDataFrame(rows, "workload string, mode string, P int, seconds double"))
+    """From how many parts on the asynchronous runs win, balanced and not, over the runs just made."""
+    runs = experiments.one_level_strong(spark, few())[1].unionByName(experiments.one_level_strong(spark, few(), 1.5)[1])
+    return metrics.crossover(runs.select("workload", "mode", "P", "seconds"))
+
+
+@query
+def two_level_weak_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Both modes reach the tolerance; the synchronous one needs about as many iterations at each size."""
+    runs = experiments.two_level_weak(spark, few(weak=((15, 4, 3), (31, 16, 7))))[1]
+    return runs.groupBy("workload", "P", "mode").agg((F.max("r_final") < 2e-8).alias("reached"), (F.max("iters_max") <= 150).alias("few_iterations"))
+
+
+@query
+def two_level_imbalanced_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    runs = experiments.two_level_weak(spark, few(weak=((15, 4, 3), (31, 16, 7))), 1.5)[1]
+    return runs.groupBy("workload", "P", "mode").agg((F.max("r_final") < 2e-8).alias("reached"))
+
+
+@query
+def two_level_strong_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    runs = experiments.two_level_strong(spark, few(parts=(4, 16)))[1]
+    return runs.groupBy("workload", "P", "mode").agg((F.max("r_final") < 2e-8).alias("reached"))
+
+
+@query
+def two_level_cube_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Iterative local solves and a multigrid coarse solve reach the tolerance too."""
+    runs = experiments.two_level_cube(spark, few(cube=((7, 8, 3),)))[1]
+    return runs.groupBy("workload", "P", "mode").agg((F.max("r_final") < 2e-8).alias("reached"))
+
+
+@query
+def convection_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The master sums what parts last sent, so an asynchronous run may end a little above its tolerance of 1e-8."""
+    runs = experiments.convection(spark, few(side=15))[1]
+    return runs.groupBy("workload", "P", "mode").agg((F.max("r_final") < 1e-7).alias("reached"))
+
+
+@query
+def local_iterations_vary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Asynchronous parts make different numbers of local iterations, synchronous ones the same."""
+    trace = experiments.one_level_strong(spark, few(parts=(4, 16)))[0]
+    return trace.groupBy("P", "mode").agg((F.count_distinct("iterations") > 1).alias("differ"))
+
+
+@query
+def krylov_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """GMRES on the geometric and on the spectral coarse space: both converge, in few iterations."""
+    runs = experiments.krylov(spark, 2, cases=((15, 4, 3),))[1]
+    return runs.select("mode", "P", (F.col("r_final") < 1e-8).alias("converged"), (F.col("iterations") <= 30).alias("few_iterations"))
+
+
+def table_solution(name: str, digits: int = 4) -> Query:
+    return lambda spark, sf_dir: shown(bsp.ras_sync(experiments.table_systems(spark, sf_dir)[name], TIGHT).u, digits)
+
+
+QUERIES |= {f"{name}_solution": table_solution(name) for name in ("chats", "documents", "neighbours", "cube")}
+
+
+@query
+def pages_solution(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The values of the pages; those of the addresses they link to are left out, as their numbers are hashes."""
+    u = bsp.ras_sync(experiments.table_systems(spark, sf_dir)["pages"], TIGHT).u
+    return u.where(F.pmod("i", F.lit(2)) == 0).select(F.floor(F.col("i") / 2).alias("page_id"), rounded("x").alias("x"))
+
+
+@query
+def stationary_micro(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two steps of the stationary form with each preconditioner."""
+    out = None
+    for name in ("ras", "as", "ras2", "jacobi"):
+        rows = bsp.stationary(micro(spark, True), 2, precond=name).select(F.lit(name).alias("precond"), "i", rounded("x", 9).alias("x"))
+        out = rows if out is None else out.union(rows)
+    return out
+
+
+@query
+def overlapped_exchange_micro(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shown(bsp.ras_sync(micro(spark), exact=3, overlap_exchange=True).u, 9)
+
+
+@query
+def gmres_additive_micro(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shown(bsp.gmres(micro(spark), Config(tol=1e-11), "as").u, 6)
+
+
+@query
+def coarse_decomposed_micro(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two steps with the coarse system solved as a decomposed one, shares added on the executors."""
+    return shown(bsp.ras2_sync(micro(spark, True), Config(coarse="decomposed", coarse_parts=2, transfer="tree"), exact=2).u, 6)
 
 
 @query
@@ -450,15 +553,6 @@ def detection_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     return first.union(sure)
 
 
-@query
-def simulated_scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Who wins by size under the simulated clock: one-level strong scaling, balanced and with one part half as large again."""
-    base = simulate.Costs(rate=0.95, noise="iterations")
-    out = simulate.scaling(spark, "balanced", [4, 16, 64], base, total=0.26, seeds=(1,))
-    out = out.union(simulate.scaling(spark, "imbalanced", [4, 16, 64], simulate.Costs(rate=0.95, noise="iterations", imbalance=1.5), total=0.26, seeds=(1,)))
-    return metrics.speedup(out).select("workload", "P", (F.col("speedup") > 1).alias("async_wins"))
-
-
 @query
 def comm_bench_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each exchange option once, on a small torus; whether reads were ever inconsistent is a matter of timing for those in place."""

@@ -17,6 +17,11 @@ def load_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def inside(x: Column, low: Column | int, n: Column | int, what: str) -> Column:
+    """x, which must be null or among the n whole numbers from low on; a row outside the calendar or the lattice is an error."""
+    return F.when(x.isNull() | ((x >= low) & (x < low + n)), x).otherwise(F.raise_error(F.concat(F.lit(f"{what} out of range: "), x.cast("string"))).cast("long"))
+
+
 def _filled(spark: SparkSession, n: int, cells: DataFrame) -> DataFrame:
     """(i, x) over 0..n-1, 0 where no cell has rows."""
     return spark.range(n).select(F.col("id").alias("i")).join(cells, "i", "left").select("i", F.coalesce("x", F.lit(0.0)).alias("x"))
@@ -28,7 +33,7 @@ def week_of(date: Column) -> Column:
 
 def grid2d_rhs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rows of lineitem by ship week and quantity."""
-    node = week_of(F.col("l_shipdate")) * QUANTITIES + F.col("l_quantity").cast("long") - 1
+    node = inside(week_of(F.col("l_shipdate")), 0, WEEKS, "week") * QUANTITIES + inside(F.col("l_quantity").cast("long"), 1, QUANTITIES, "quantity") - 1
     cells = load_table(spark, sf_dir, "lineitem").select(node.alias("i")).groupBy("i").agg(F.count("*").cast("double").alias("x"))
     return _filled(spark, WEEKS * QUANTITIES, cells)
 
@@ -37,7 +42,7 @@ def grid3d_rhs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rows of lineitem by ship month, quantity and discount in hundredths."""
     date = F.col("l_shipdate")
     month = (F.year(date) - FIRST_MONTH[0]) * 12 + F.month(date) - FIRST_MONTH[1]
-    node = (month.cast("long") * QUANTITIES + F.col("l_quantity").cast("long") - 1) * DISCOUNTS + F.round(100 * F.col("l_discount")).cast("long")
+    node = (inside(month.cast("long"), 0, MONTHS, "month") * QUANTITIES + inside(F.col("l_quantity").cast("long"), 1, QUANTITIES, "quantity") - 1) * DISCOUNTS + inside(F.round(100 * F.col("l_discount")).cast("long"), 0, DISCOUNTS, "discount")
     cells = load_table(spark, sf_dir, "lineitem").select(node.alias("i")).groupBy("i").agg(F.count("*").cast("double").alias("x"))
     return _filled(spark, MONTHS * QUANTITIES * DISCOUNTS, cells)
 
@@ -56,7 +61,7 @@ def hour_index(ts: Column, origin: str = FIRST_HOUR) -> Column:
 
 def chain_rhs(spark: SparkSession, sf_dir: str, scale: float = 100.0) -> DataFrame:
     """Summed event values by hour, divided by `scale`."""
-    e = load_table(spark, sf_dir, "events").select(hour_index(F.col("ts")).alias("i"), "value")
+    e = load_table(spark, sf_dir, "events").select(inside(hour_index(F.col("ts")), 0, HOURS, "hour").alias("i"), "value")
     return _filled(spark, HOURS, e.groupBy("i").agg((F.sum("value") / scale).alias("x")))
 
 
