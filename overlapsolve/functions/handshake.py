@@ -2,48 +2,92 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+import uuid
+from dataclasses import dataclass
+from pathlib import Path
+
+
+class Counters(dict):
+    """Counts in memory; what was never set is 0. Live runs keep them in files."""
+
+    def __missing__(self, key: str) -> int:
+        return 0
+
+
+class FileCounters:
+    """Counts in files of a folder that all tasks see; each is replaced as a whole."""
+
+    def __init__(self, root: Path):
+        self.root = root
+        root.mkdir(parents=True, exist_ok=True)
+
+    def __getitem__(self, key: str) -> int:
+        try:
+            return int((self.root / key).read_text() or 0)
+        except FileNotFoundError:
+            return 0
+
+    def __setitem__(self, key: str, value: int) -> None:
+        temp = self.root / f"{key}.{uuid.uuid4().hex}"
+        temp.write_text(str(value))
+        temp.replace(self.root / key)
 
 
-@dataclass
 class CoarseHandshake:
-    """Flags of P parts: may_post, posted and corr_ready. Payloads are the caller's.
+    """Who may post a share, when the coarse solver may go, and who has a correction to use. Payloads are the caller's.
 
-    Order: a payload is written before its flag is raised, and a flag is read before its payload.
+    A part may post as often as the coarse solver has solved, and once more. Order: a payload is written before its post or
+    solve is counted, and a count is read before its payload; hence may_post, can_solve and has_correction come apart from
+    posted, solved and consumed, and the try_ forms do both at once.
     """
 
-    parts: int
-    strict: bool = False
-    may_post: list[bool] = field(default_factory=list)
-    posted: list[bool] = field(default_factory=list)
-    corr_ready: list[bool] = field(default_factory=list)
-    lost: int = 0
-    solves: int = 0
+    def __init__(self, parts: int, strict: bool = False, counts=None):
+        self.parts, self.strict, self.counts, self.lost = parts, strict, Counters() if counts is None else counts, 0
+
+    @property
+    def solves(self) -> int:
+        return self.counts["solved"]
+
+    def may_post(self, p: int) -> bool:
+        """Whether p may write its share now; with strict, not while a correction waits to be used."""
+        return self.counts[f"posted{p}"] == self.solves and not (self.strict and self.has_correction(p))
+
+    def posted(self, p: int) -> None:
+        self.counts[f"posted{p}"] = self.counts[f"posted{p}"] + 1
+
+    def can_solve(self) -> bool:
+        done = self.solves
+        return all(self.counts[f"posted{p}"] > done for p in range(self.parts))
+
+    def solved(self) -> None:
+        """Counted after the corrections are written; shares are then read no more, and posting is allowed again."""
+        self.lost += sum(self.has_correction(p) for p in range(self.parts))
+        self.counts["solved"] = self.solves + 1
+
+    def has_correction(self, p: int) -> bool:
+        return self.counts[f"consumed{p}"] < self.solves
 
-    def __post_init__(self) -> None:
-        self.may_post, self.posted, self.corr_ready = [True] * self.parts, [False] * self.parts, [False] * self.parts
+    def consumed(self, p: int) -> None:
+        self.counts[f"consumed{p}"] = self.solves
 
     def try_post(self, p: int) -> bool:
-        """True if part p may write its share now; with strict, not while a correction waits to be used."""
-        if not self.may_post[p] or (self.strict and self.corr_ready[p]):
-            return False
-        self.may_post[p], self.posted[p] = False, True
-        return True
+        may = self.may_post(p)
+        if may:
+            self.posted(p)
+        return may
 
     def try_solve(self) -> bool:
-        """True if every part has posted; then a solve follows, the right-hand side is reset, and posting is allowed again."""
-        if not all(self.posted):
-            return False
-        self.posted = [False] * self.parts
-        self.lost += sum(self.corr_ready)
-        self.may_post, self.corr_ready = [True] * self.parts, [True] * self.parts
-        self.solves += 1
-        return True
+        can = self.can_solve()
+        if can:
+            self.solved()
+        return can
 
     def try_consume(self, p: int) -> bool:
         """True once for each correction that arrives at p."""
-        ready, self.corr_ready[p] = self.corr_ready[p], False
-        return ready
+        has = self.has_correction(p)
+        if has:
+            self.consumed(p)
+        return has
 
 
 @dataclass

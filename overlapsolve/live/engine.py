@@ -1,15 +1,20 @@
 """The live engine: barrier tasks start together and then run freely, several parts in each, with no shuffle and no driver.
 
-Slabs go through mailbox windows; a part uses what it finds there. The last task also plays the coarse solver and the
-master of the convergence test. All task slots are needed at once, so speculation must be off.
+Slabs go through mailbox windows; a part uses what it finds there. The last task plays the coarse solver and the master of the
+convergence test; if it is `dedicated`, it has no parts. All task slots are needed at once, so speculation must be off.
+
+`progress` says who moves a slab from its writer to its reader: nobody (passive: the writer puts it where the reader looks), the
+reader within its own loop (inline), a thread of the reader's task (thread), or the last task (dedicated).
 """
 
 from __future__ import annotations
 
 import json
+import threading
 import time
 import uuid
 from collections.abc import Callable
+from dataclasses import replace
 from pathlib import Path
 
 import numpy as np
@@ -18,12 +23,12 @@ from pyspark import BarrierTaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from overlapsolve.functions.handshake import AdaptiveSleep
+from overlapsolve.functions.handshake import AdaptiveSleep, CoarseHandshake, FileCounters
 from overlapsolve.functions.solvers import factor
 from overlapsolve.live.mailbox import Option, Window, all_options, exchange, torus_neighbors
 from overlapsolve.operators.local import Block
-from overlapsolve.plans.bsp import Supersteps
-from overlapsolve.session import shared_dir
+from overlapsolve.plans.bsp import Supersteps, true_norm
+from overlapsolve.session import checkpoint, shared_dir
 from overlapsolve.system import Config, Sys
 
 TRACE = "p int, iterations int, seconds double, resid_sq double, coarse_used int, coarse_solves int, poll_ratio double, converged boolean, ids array<bigint>, vals array<double>"
@@ -37,31 +42,52 @@ def local_path(spark) -> Path:
     return Path(path.removeprefix("file:"))
 
 
-def run_live(sys: Sys, cfg: Config = Config(), tasks: int = 3, delay: dict[int, float] | None = None, sync: bool = False, option: Option = Option(kind="atomic")) -> DataFrame:
-    """One row a part, as in TRACE. `delay` adds seconds to each iteration of a part; with sync, parts wait for each other.
+PROGRESS = ("passive", "inline", "thread", "dedicated")
+
 
-    Stops when the master's sum of the parts' latest squared norms falls below tol^2, which may be early: the true norm is
-    to be recomputed from the result.
+def run_live(sys: Sys, cfg: Config = Config(), tasks: int = 3, delay: dict[int, float] | None = None, sync: bool = False, option: Option = Option(kind="atomic"), dedicated: bool = False, progress: str = "passive", start: DataFrame | None = None) -> DataFrame:
+    """One row a part, as in TRACE. `delay` adds seconds to each iteration of a part; with sync, parts wait for each other's
+    slabs and, with a coarse space, for its correction. `start` (i, x) is the first iterate, else zero. A dedicated last task needs a slot more.
+
+    Stops when the master's sum of the parts' latest squared norms falls below tol^2, which may be early; see run_confirmed.
     """
+    if progress not in PROGRESS:
+        raise ValueError(f"progress is one of {PROGRESS}")
     run = Supersteps(sys, cfg)
     folder, n0 = str(local_path(sys.entries.sparkSession) / f"live-{uuid.uuid4().hex}"), run.coarse.n if run.coarse else 0
     solver0 = run.coarse.solver if run.coarse else None
     parts = sorted(r[0] for r in run.blocks.select("p").collect())
-    dealt = run.blocks.withColumn("task", F.pmod("p", F.lit(tasks)).cast("int"))
-    placed = dealt.repartitionById(tasks, F.col("task")) if hasattr(dealt, "repartitionById") else dealt.repartition(tasks, "task")
+    total = tasks + dedicated
+    given = run.blocks
+    if start is not None:
+        first = sys.member.join(start, "i").groupBy("p").agg(F.transform(F.array_sort(F.collect_list(F.struct("slot", "x"))), lambda t: t["x"]).alias("first"))
+        given = given.join(first, "p", "left")
+    dealt = given.withColumn("task", F.pmod("p", F.lit(tasks)).cast("int"))
+    placed = dealt.repartitionById(total, F.col("task")) if hasattr(dealt, "repartitionById") else dealt.repartition(total, "task")
 
     def play(batches):
-        blocks = [Block.of({k: v for k, v in row.items() if k != "task"}) for batch in batches for row in batch.to_pylist()]
+        rows = [row for batch in batches for row in batch.to_pylist()]
+        blocks = [Block.of({k: v for k, v in row.items() if k not in ("task", "first")}) for row in rows]
+        iterates = [np.array(row["first"], float) if row.get("first") is not None else np.zeros(b.n) for row, b in zip(rows, blocks, strict=True)]
         context = BarrierTaskContext.get()
         context.barrier()
-        root = Path(folder)
-        yield from _play(root, blocks, parts, context.partitionId() == tasks - 1, n0, solver0, cfg, delay or {}, sync, option)
+        yield from _play(Path(folder), blocks, iterates, parts, context.partitionId() == total - 1, n0, solver0, cfg, delay or {}, sync, option, progress)
 
     return placed.mapInArrow(play, TRACE, barrier=True)
 
 
-def _flag(root: Path, name: str) -> Path:
-    return root / "flags" / name
+def run_confirmed(sys: Sys, cfg: Config = Config(), rounds: int = 4, **options) -> tuple[DataFrame, DataFrame, float]:
+    """(trace, (i, x), residual norm): after each stop the norm is computed from the whole matrix, and while it isn't below the
+    tolerance the run goes on from where it was, held to a quarter of the sum before."""
+    u, tol = None, cfg.tol
+    for _ in range(rounds):
+        trace = checkpoint(run_live(sys, replace(cfg, tol=tol), start=u, **options))
+        u = checkpoint(solution_of(trace))
+        norm = true_norm(sys, u)
+        if norm < cfg.tol:
+            break
+        tol /= 4
+    return trace, u, norm
 
 
 def _raise_flag(path: Path, text: str = "1") -> None:
@@ -72,96 +98,148 @@ def _raise_flag(path: Path, text: str = "1") -> None:
 
 
 class _Part:
-    def __init__(self, root: Path, b: Block, n0: int, cfg: Config, option: Option):
-        self.b, self.root, self.n0, self.cfg = b, root, n0, cfg
-        self.w, self.solver = np.zeros(b.n), factor(b.indptr, b.indices, b.data, cfg.solver, cfg.rtol)
-        box = lambda src, dst, k: Window(root / "box" / str(dst) / f"{src}.bin", len(b.shared(k)) + 1, option)
-        self.out = [box(b.p, q, k) for k, q in enumerate(b.peers)]
-        self.inn = [box(q, b.p, k) for k, q in enumerate(b.peers)]
+    def __init__(self, root: Path, b: Block, w: np.ndarray, n0: int, cfg: Config, option: Option, progress: str, hand: CoarseHandshake, number: int):
+        self.b, self.root, self.n0, self.cfg, self.hand, self.number = b, root, n0, cfg, hand, number
+        self.w, self.solver = w, factor(b.indptr, b.indices, b.data, cfg.solver, cfg.rtol)
+        box = lambda at, src, dst, k: Window(root / at / str(dst) / f"{src}.bin", len(b.shared(k)) + 1, option)
+        put_at = "box" if progress == "passive" else "out"
+        self.out = [box(put_at, b.p, q, k) for k, q in enumerate(b.peers)]
+        self.inn = [box("box", q, b.p, k) for k, q in enumerate(b.peers)]
+        self.move = [(box("out", q, b.p, k), w) for k, (q, w) in enumerate(zip(b.peers, self.inn, strict=True))] if progress != "passive" else []
         self.count = self.used = 0
         self.resid = np.inf
         self.post = Window(root / "coarse" / f"rhs{b.p}.bin", max(n0, 1), Option(kind="atomic"))
         self.corr = Window(root / "coarse" / f"corr{b.p}.bin", max(n0, 1), Option(kind="atomic"))
-        self.epoch = self.consumed = 0
 
     def stamp(self) -> int:
         return int(min((w.get()[0] for w in self.inn), default=self.count))
 
+    def bring(self) -> None:
+        """Move what peers have put out for this part to where it looks."""
+        for source, target in self.move:
+            target.put(source.get())
+
     def publish(self) -> np.ndarray:
         s = self.b.slab(self.w)
         for w, (_, v) in zip(self.out, self.b.outgoing(s), strict=True):
             w.put(np.concatenate([[self.count], v]))
+            w.complete_one()
+        for w in self.out:
+            w.complete()
         return s
 
-    def turn(self) -> None:
-        b, s = self.b, self.publish()
-        if self.n0:
-            done = _epoch(self.root)
-            if self.epoch == done:  # may post: the coarse solver has used what was posted before
-                self.post.put(b.to_coarse(s, self.n0))
-                self.epoch += 1
-                _raise_flag(_flag(self.root, f"posted{b.p}"), str(self.epoch))
-        r = b.accumulated(s, {int(q): w.get()[1:] for q, w in zip(b.peers, self.inn, strict=True) if w.get()[0] >= 0})
+    def offer(self, s: np.ndarray) -> None:
+        if self.n0 and self.hand.may_post(self.number):
+            self.post.put(self.b.to_coarse(s, self.n0))
+            self.hand.posted(self.number)
+
+    def turn(self, s: np.ndarray) -> None:
+        b, cfg = self.b, self.cfg
+        self.offer(s)
+        letters = {int(q): w.get() for q, w in zip(b.peers, self.inn, strict=True)}
+        r = b.accumulated(s, {q: x[1:] for q, x in letters.items() if x[0] >= 0})
         self.resid = float(r[b.owned] @ r[b.owned])
         v = self.solver.solve(r)
-        done = _epoch(self.root) if self.n0 else 0
-        if done > self.consumed:
-            self.w = self.w + self.cfg.weights[0] * v + self.cfg.weights[1] * b.from_coarse(self.corr.get())
-            self.consumed, self.used = done, self.used + 1
+        if self.n0 and self.hand.has_correction(self.number):
+            self.w = self.w + cfg.weights[0] * v + cfg.weights[1] * b.from_coarse(self.corr.get())
+            self.hand.consumed(self.number)
+            self.used += 1
         else:
             self.w = self.w + v
         self.count += 1
 
 
-def _epoch(root: Path) -> int:
-    try:
-        return int(_flag(root, "epoch").read_text())
-    except (FileNotFoundError, ValueError):
-        return 0
-
+def _play(root: Path, blocks: list[Block], iterates: list[np.ndarray], parts: list[int], master: bool, n0: int, solver0, cfg: Config, delay: dict[int, float], sync: bool, option: Option, progress: str):
+    hand = CoarseHandshake(len(parts), False, FileCounters(root / "counts"))
+    number = {p: k for k, p in enumerate(parts)}
+    mine = [_Part(root, b, w, n0, cfg, option, progress, hand, number[b.p]) for b, w in zip(blocks, iterates, strict=True)]
+    begun, stop = time.time(), root / "flags" / "stop"
+    late = lambda: stop.exists() or time.time() - begun > cfg.timeout_s
+    pause, wake = AdaptiveSleep(), 0.0
+    bringing = threading.Thread(target=_bring_all, args=([p.bring for p in mine], late), daemon=True) if progress == "thread" else None
+    if bringing:
+        bringing.start()
+    movers = _movers(root, option) if progress == "dedicated" and master else None
+
+    def serve() -> None:
+        """What the master does between its parts' turns: the coarse solve, moving slabs, and the convergence test."""
+        nonlocal wake
+        if movers:
+            movers()
+        if n0 and time.time() >= wake:
+            ready = hand.can_solve()
+            if ready:
+                r0 = sum(np.frombuffer((root / "coarse" / f"rhs{p}.bin").read_bytes(), "<f8") for p in parts)
+                v0 = solver0.solve(np.array(r0))
+                for p in parts:
+                    Window(root / "coarse" / f"corr{p}.bin", n0, Option(kind="atomic")).put(v0)
+                hand.solved()
+            wake = time.time() + pause.poll(ready)
+        seen = [json.loads(x.read_text()) for p in parts if (x := root / "norms" / str(p)).exists()]
+        if len(seen) == len(parts) and min(n for n, _ in seen) > 1 and sum(r for _, r in seen) < cfg.tol**2:
+            _raise_flag(stop)
 
-def _play(root: Path, blocks: list[Block], parts: list[int], master: bool, n0: int, solver0, cfg: Config, delay: dict[int, float], sync: bool, option: Option):
-    mine = [_Part(root, b, n0, cfg, option) for b in blocks]
-    begun, stop = time.time(), _flag(root, "stop")
-    pause, solves, wake = AdaptiveSleep(), 0, 0.0
-    while not stop.exists() and time.time() - begun < cfg.timeout_s:
+    while not late():
+        sent = []
         for part in mine:
             if delay.get(part.b.p):
                 time.sleep(delay[part.b.p])
+            sent.append(part.publish())
             if sync:
-                part.publish()
-                while part.stamp() < part.count and not stop.exists() and time.time() - begun < cfg.timeout_s:
+                part.offer(sent[-1])
+        for part, s in zip(mine, sent, strict=True):
+            if progress == "inline":
+                part.bring()
+            if sync:  # all slabs of this round, and the correction that belongs to it
+                while part.stamp() < part.count or (n0 and not hand.has_correction(part.number)):
+                    if late():
+                        break
+                    if progress == "inline":
+                        part.bring()
+                    if master:
+                        serve()
                     time.sleep(1e-4)
-            part.turn()
+            part.turn(s)
             _raise_flag(root / "norms" / str(part.b.p), json.dumps([part.count, part.resid]))
         if master:
-            if n0 and time.time() >= wake:
-                epoch = _epoch(root)
-                ready = all((x := _flag(root, f"posted{p}")).exists() and int(x.read_text() or 0) > epoch for p in parts)
-                if ready:
-                    r0 = sum(np.frombuffer((root / "coarse" / f"rhs{p}.bin").read_bytes(), "<f8") for p in parts)
-                    v0 = solver0.solve(np.array(r0))
-                    for p in parts:
-                        Window(root / "coarse" / f"corr{p}.bin", n0, Option(kind="atomic")).put(v0)
-                    solves += 1
-                    _raise_flag(_flag(root, "epoch"), str(epoch + 1))
-                wake = time.time() + pause.poll(ready)
-            seen = [json.loads(x.read_text()) for p in parts if (x := root / "norms" / str(p)).exists()]
-            if len(seen) == len(parts) and min(n for n, _ in seen) > 1 and sum(r for _, r in seen) < cfg.tol**2:
-                _raise_flag(stop)
+            serve()
         if not mine:
-            time.sleep(1e-3)
-        if max((p.count for p in mine), default=0) >= cfg.max_iter and master:
+            time.sleep(1e-4)
+        if mine and min(p.count for p in mine) >= cfg.max_iter:
             _raise_flag(stop)
     seconds = time.time() - begun
     for part in mine:
         b = part.b
         keep = b.owned
-        columns = [[b.p], [part.count], [seconds], [part.resid], [part.used], [solves], [pause.ratio], [part.resid < cfg.tol**2], [b.ids[keep].tolist()], [part.w[keep].tolist()]]
+        columns = [[b.p], [part.count], [seconds], [part.resid], [part.used], [hand.solves], [pause.ratio], [stop.exists() and part.count < cfg.max_iter], [b.ids[keep].tolist()], [part.w[keep].tolist()]]
         types = [pa.int32(), pa.int32(), pa.float64(), pa.float64(), pa.int32(), pa.int32(), pa.float64(), pa.bool_(), pa.list_(pa.int64()), pa.list_(pa.float64())]
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=[x.split()[0] for x in TRACE.split(", ")])
 
 
+def _bring_all(bring: list[Callable], late: Callable) -> None:
+    while not late():
+        for f in bring:
+            f()
+        time.sleep(1e-4)
+
+
+def _movers(root: Path, option: Option) -> Callable:
+    """Moves every slab that has been put out, for all parts."""
+    known: dict[Path, tuple[Window, Window]] = {}
+
+    def move() -> None:
+        for path in (root / "out").glob("*/*.bin"):
+            if path not in known:
+                width = path.stat().st_size // 8
+                if not width:
+                    continue
+                known[path] = (Window(path, width, option), Window(root / "box" / path.parent.name / path.name, width, option))
+            source, target = known[path]
+            target.put(source.get())
+
+    return move
+
+
 def solution_of(trace: DataFrame) -> DataFrame:
     """(i, x) from a live trace."""
     return trace.select(F.explode(F.arrays_zip("ids", "vals")).alias("z")).select(F.col("z.ids").alias("i"), F.col("z.vals").alias("x"))

@@ -190,6 +190,12 @@ ORACLES: dict[str, str] = {
     "two_level_cube_report": per_mode("two-level cube", (8,), True, columns="reached"),
     "convection_report": per_mode("convection-diffusion", (4, 16), True, columns="reached"),
     "local_iterations_vary": values([(p, m, m == "async") for p in (4, 16) for m in ("sync", "async")], "P, mode, differ"),
+    "live_two_level_solution": sine_solution(2, 15).replace(", 6)", ", 4)"),
+    "live_async_report": "SELECT CAST(range AS INTEGER) AS p, true AS converged, true AS iterated FROM range(4)",
+    "comm_bench_report": " UNION ALL ".join(
+        f"SELECT '{o}' AS option, CAST(16640 AS BIGINT) AS reads, CAST({'true' if o.startswith('exclusive') or o in ('atomic', 'two_sided') else 'NULL'} AS BOOLEAN) AS whole"
+        for o in [*[f"{s}-unlock-{p}" for s in ("exclusive", "shared") for p in ("writer", "reader")], *[f"global-{f}-{p}" for f in ("none", "all", "local_all", "local_each", "each") for p in ("writer", "reader")], "two_sided", "atomic"]
+    ),
     "krylov_report": values([(m, 4, True, True) for m in ("geometric", "spectral")], "mode, P, converged, few_iterations"),
     "grid2d_rhs": f"WITH {GRID_F} SELECT i, x FROM gf",
     "grid3d_rhs": """SELECT n.i, coalesce(c.x, 0.0) AS x FROM (SELECT range AS i FROM range(45650)) n LEFT JOIN (

@@ -12,6 +12,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from overlapsolve.functions.handshake import CoarseHandshake
 from overlapsolve.operators.coarse import CoarseProblem
 from overlapsolve.operators.local import Block
 from overlapsolve.plans.bsp import Supersteps
@@ -73,11 +74,17 @@ class Replay:
     def __init__(self, sys: Sys, cfg: Config = Config()):
         self.run, self.cfg = Supersteps(sys, cfg), cfg
         self.coarse: CoarseProblem | None = self.run.coarse
-        self.lost_corrections = 0
-        self.coarse_solves = 0
-        self.corrections: dict[int, np.ndarray] = {}  # by part: the coarse solution that waits; a vector of the coarse size
-        self.may_post = {}
-        self.posted: dict[int, np.ndarray] = {}
+        self.hand = CoarseHandshake(0)
+        self.correction: np.ndarray | None = None  # the last coarse solution; a vector of the coarse size
+        self.posted: dict[int, tuple] = {}
+
+    @property
+    def lost_corrections(self) -> int:
+        return self.hand.lost
+
+    @property
+    def coarse_solves(self) -> int:
+        return self.hand.solves
 
     def solve(self, ticks: DataFrame, stamps: DataFrame, strict_handshake: bool = False, max_delay: int = 16) -> DataFrame:
         """(i, x) after the last tick. Ticks are replayed in order; schedules are small, their rows come to the driver."""
@@ -86,6 +93,8 @@ class Replay:
             plan.setdefault(n, []).append(p)
         torn = "component" in stamps.columns
         ages = stamps.toPandas()
+        if len(ages) and int((ages.n - ages.tau).max()) > max_delay:
+            raise ValueError(f"stamps reach back further than max_delay={max_delay}")
         run, two = self.run, self.coarse is not None
         state = run.begin(coarse=two)
         iterate = checkpoint(state.where("kind = 0"))
@@ -95,16 +104,16 @@ class Replay:
         solver = run.solver()
         wl, wc = self.cfg.weights
         parts = sorted(r[0] for r in iterate.select("dst").collect())
-        self.may_post = dict.fromkeys(parts, True)
+        self.hand, number = CoarseHandshake(len(parts), strict_handshake), {p: k for k, p in enumerate(parts)}
         for n in sorted(plan):
             active = sorted(plan[n])
             ready = {}
             if two:
                 for p in active:
                     # Hazards: the right-hand side comes from the state before a pending correction is applied.
-                    if self.may_post[p] and not (strict_handshake and p in self.corrections):
-                        self.posted[p], self.may_post[p] = shares[p], False
-                ready = {p: self.corrections.pop(p) for p in active if p in self.corrections}
+                    if self.hand.try_post(number[p]):
+                        self.posted[p] = shares[p]
+                ready = {p: self.correction for p in active if self.hand.try_consume(number[p])}
             now = ages[(ages.n == n) & ages.p.isin(active)]
             wanted = spark.createDataFrame([(int(r.p), int(r.q), int(r.tau), int(r.component) if torn else -1) for r in now.itertuples()], "dst int, src int, tau long, component int") if len(now) else None
             inbox = iterate
@@ -137,18 +146,12 @@ class Replay:
                 history = checkpoint(history.withColumn("_kept", kept).where(F.col("_kept").isNull() | (F.col("stamp") >= F.col("_kept"))).drop("_kept"))
             if two:
                 shares |= {r["src"]: (r["at"], r["vals"]) for r in new.where("kind = 4").collect()}
-                if len(self.posted) == len(parts):
+                if self.hand.try_solve():
                     r0 = np.zeros(self.coarse.n)
                     for p in parts:
                         at, vals = self.posted[p]
                         np.add.at(r0, np.array(at, np.int64), np.array(vals, float))
-                    v0 = self.coarse.solve(r0)
-                    self.coarse_solves += 1
-                    self.posted = {}  # before posts are allowed again: old right-hand sides don't add up
-                    for p in parts:
-                        self.lost_corrections += p in self.corrections
-                        self.corrections[p] = v0
-                        self.may_post[p] = True
+                    self.correction, self.posted = self.coarse.solve(r0), {}  # old right-hand sides don't add up
         return run.solution(iterate)
 
     @staticmethod

@@ -143,6 +143,7 @@ def test_mailbox(tmp_path):
     for o in all_options():
         w = Window(tmp_path / o.name / "x.bin", 5, o)
         w.put(np.arange(5.0))
+        w.complete_one()
         w.complete()
         assert w.get().tolist() == [0, 1, 2, 3, 4]
     assert torn(np.array([1.0, 2.0])) and not torn(np.ones(4))
@@ -231,3 +232,19 @@ def test_components_of_a_long_shuffled_path(spark):
     found = connected_components(edges)
     assert found.count() == 20_000
     assert [r[0] for r in found.select("component").distinct().collect()] == [0]
+
+
+@pytest.mark.parametrize("options", [{"dedicated": True, "tasks": 2}, {"sync": True, "tasks": 2}, {"progress": "inline", "tasks": 2}, {"progress": "thread", "tasks": 2}, {"progress": "dedicated", "dedicated": True, "tasks": 2}])
+def test_two_level_live_runs_are_confirmed(spark, options):
+    sys = experiments.poisson(spark, 2, 9, 4, 1.0, 3)
+    trace, u, norm = engine.run_confirmed(sys, Config(tol=1e-8, timeout_s=30, max_iter=5000), **options)
+    assert norm < 1e-8 and u.count() == 81
+    rows = trace.collect()
+    assert len(rows) == 4 and all(r.coarse_solves > 0 for r in rows)
+
+
+def test_exchange_on_a_torus(spark):
+    """64 ranks, all options: what is locked exclusively, published atomically or received is never inconsistent."""
+    found = {r.option: r for r in engine.comm_bench(spark, tasks=3, reps=5, width=64).collect()}
+    assert len(found) == 16 and all(r.reads == 1664 * 5 for r in found.values())
+    assert all(found[o].inconsistent == 0 for o in found if o.startswith("exclusive") or o in ("atomic", "two_sided"))
