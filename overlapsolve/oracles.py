@@ -196,6 +196,12 @@ ORACLES: dict[str, str] = {
         f"SELECT '{o}' AS option, CAST(16640 AS BIGINT) AS reads, CAST({'true' if o.startswith('exclusive') or o in ('atomic', 'two_sided') else 'NULL'} AS BOOLEAN) AS whole"
         for o in [*[f"{s}-unlock-{p}" for s in ("exclusive", "shared") for p in ("writer", "reader")], *[f"global-{f}-{p}" for f in ("none", "all", "local_all", "local_each", "each") for p in ("writer", "reader")], "two_sided", "atomic"]
     ),
+    "streaming_micro": line([3, 5, 6, 6, 5, 3]),
+    "hourly_load": "SELECT CAST(floor((epoch(ts) - epoch(TIMESTAMP '2024-01-01')) / 3600) AS BIGINT) AS i, round(sum(value), 4) + 0.0 AS x FROM events GROUP BY 1",
+    "sliding_load": "SELECT i, round(avg(value), 9) + 0.0 AS x FROM (SELECT CAST(floor((epoch(ts) - epoch(TIMESTAMP '2024-01-01')) / 3600) AS BIGINT) - d.d AS i, value FROM events, range(6) d(d)) GROUP BY 1",
+    "user_sessions": """WITH e AS (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS before FROM events),
+      s AS (SELECT user_id, ts, sum(CASE WHEN before IS NULL OR ts >= before + INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS n FROM e)
+      SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, count(*) AS events FROM s GROUP BY user_id, n""",
     "krylov_report": values([(m, 4, True, True) for m in ("geometric", "spectral")], "mode, P, converged, few_iterations"),
     "grid2d_rhs": f"WITH {GRID_F} SELECT i, x FROM gf",
     "grid3d_rhs": """SELECT n.i, coalesce(c.x, 0.0) AS x FROM (SELECT range AS i FROM range(45650)) n LEFT JOIN (

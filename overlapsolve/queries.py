@@ -16,6 +16,7 @@ from overlapsolve.operators import coarse as coarse_ops
 from overlapsolve.operators import local, overlap, partition
 from overlapsolve.plans import bsp, convergence, replay
 from overlapsolve.sources import mesh, problems
+from overlapsolve.streaming import engine as stream
 from overlapsolve.system import Config, Sys
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -340,7 +341,7 @@ def ras2_tree_solution(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def async2_tree_solution(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return shown(replay.replay(tree(spark, sf_dir, True), *replay.make_schedule(spark, 25, 64, "random"), cfg=TIGHT))
+    return shown(replay.replay(tree(spark, sf_dir, True), *replay.make_schedule(spark, 25, 80, "random"), cfg=TIGHT))
 
 
 def grid(spark: SparkSession, sf_dir: str, parts: int = 16, coarse: bool = False) -> Sys:
@@ -574,5 +575,29 @@ def live_async_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     return trace.select("p", "converged", (F.col("iterations") > 1).alias("iterated"))
 
 
+@query
+def streaming_micro(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The six nodes solved by a stateful stream."""
+    return shown(stream.run_streaming(micro(spark), Config(tol=1e-6))[0])
+
+
+@query
+def hourly_load(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = stream.hourly(problems.load_table(spark, sf_dir, "events"))
+    return e.select(problems.hour_index(F.col("hour")).alias("i"), rounded("x").alias("x"))
+
+
+@query
+def sliding_load(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = stream.sliding(problems.load_table(spark, sf_dir, "events"))
+    return e.select(problems.hour_index(F.col("start")).alias("i"), rounded("x", 9).alias("x"))
+
+
+@query
+def user_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = stream.sessions(problems.load_table(spark, sf_dir, "events"))
+    return e.select("user_id", F.unix_timestamp("start").alias("start"), "events")
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)

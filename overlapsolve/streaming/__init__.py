@@ -1 +1 @@
-"""Structured Streaming forms of the event problem and of the solver."""
+"""Streams: the solver with state by part, and loads by event time."""

@@ -248,3 +248,29 @@ def test_exchange_on_a_torus(spark):
     found = {r.option: r for r in engine.comm_bench(spark, tasks=3, reps=5, width=64).collect()}
     assert len(found) == 16 and all(r.reads == 1664 * 5 for r in found.values())
     assert all(found[o].inconsistent == 0 for o in found if o.startswith("exclusive") or o in ("atomic", "two_sided"))
+
+
+def test_streams_equal_tables(spark, tmp_path):
+    from overlapsolve.streaming import engine as stream
+
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet")
+    events.write.parquet(str(tmp_path / "events"))
+    live = spark.readStream.schema(events.schema).parquet(str(tmp_path / "events"))
+    query = stream.hourly(live, "60 days").writeStream.format("memory").queryName("hourly").outputMode("complete").trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "c")).start()
+    query.awaitTermination(60)
+    got = {r.hour: round(r.x, 6) for r in spark.table("hourly").collect()}
+    assert got == {r.hour: round(r.x, 6) for r in stream.hourly(events).collect()}
+
+
+def test_streaming_solver(spark):
+    from overlapsolve.streaming import engine as stream
+
+    u, history = stream.run_streaming(q.micro(spark), Config(tol=1e-4, timeout_s=90))
+    assert xs(u) == pytest.approx([3, 5, 6, 6, 5, 3], abs=1e-3) and history.count() > 4
+
+
+def test_replay_refuses_what_it_no_longer_keeps(spark):
+    ticks = spark.createDataFrame([(40, 0)], "n long, p int")
+    stamps = spark.createDataFrame([(40, 0, 1, 0)], "n long, p int, q int, tau long")
+    with pytest.raises(ValueError):
+        replay.replay(q.micro(spark), ticks, stamps)
