@@ -41,7 +41,7 @@ class WordTokenizer:
     special token's string is encoded whole.
     """
 
-    def __init__(self, path: str, words: int = 600_000):
+    def __init__(self, path: str, words: int = 1_000_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # Spark's tasks are the parallelism
         from tokenizers import Tokenizer
 
@@ -54,7 +54,8 @@ class WordTokenizer:
 
     def _new(self, words: set[bytes]) -> dict[bytes, bytes]:
         # Signs after a letter or digit are a part of their own in the splitting pattern, unless there are marks, which the normaliser may join.
-        split = {w: (m[1].encode(), m[2].encode()) for w in words if (m := _SIGNS.fullmatch(w.decode())) and not _marked(m[1][-1].lower() + m[2])}
+        # Only words that end in an ASCII sign are looked at: most don't, and whole words are right too.
+        split = {w: (m[1].encode(), m[2].encode()) for w in words if w[-1] in _ENDS and (m := _SIGNS.fullmatch(w.decode())) and not _marked(m[1][-1].lower() + m[2])}
         parts = {p for w in words for p in split.get(w, (w,))}
         known = self.known
         need = [p for p in parts if p not in known]
@@ -92,6 +93,7 @@ def _marked(part: str) -> bool:
 
 
 _SIGNS = re.compile(r"(.*[^\W_])([^\w\s']+)", re.DOTALL)
+_ENDS = frozenset(c for c in range(33, 127) if not chr(c).isalnum() and chr(c) not in "_'")
 _KEPT: dict[str, WordTokenizer] = {}
 
 
