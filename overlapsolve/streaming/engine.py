@@ -93,21 +93,26 @@ def run_streaming(sys: Sys, cfg: Config = Config()) -> tuple[DataFrame, DataFram
 # Loads by event time; all work on tables and on streams.
 
 
+def _timed(events: DataFrame, delay: str) -> DataFrame:
+    """A stream's watermark is on its event time, which must be a time with a zone."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay) if events.isStreaming else events
+
+
 def hourly(events: DataFrame, delay: str = "2 hours") -> DataFrame:
     """(hour, x): values by tumbling hour; later events than `delay` are dropped from a stream."""
-    timed = events.withWatermark("ts", delay) if events.isStreaming else events
+    timed = _timed(events, delay)
     return timed.groupBy(F.window("ts", "1 hour").alias("w")).agg(F.sum("value").alias("x")).select(F.col("w.start").alias("hour"), "x")
 
 
 def sliding(events: DataFrame, length: str = "6 hours", step: str = "1 hour", delay: str = "2 hours") -> DataFrame:
     """(start, x): mean values of overlapping windows."""
-    timed = events.withWatermark("ts", delay) if events.isStreaming else events
+    timed = _timed(events, delay)
     return timed.groupBy(F.window("ts", length, step).alias("w")).agg(F.avg("value").alias("x")).select(F.col("w.start").alias("start"), "x")
 
 
 def sessions(events: DataFrame, gap: str = "30 minutes", delay: str = "2 hours") -> DataFrame:
     """(user_id, start, events): runs of a user's events without a longer gap."""
-    timed = events.withWatermark("ts", delay) if events.isStreaming else events
+    timed = _timed(events, delay)
     return timed.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("events")).select("user_id", F.col("w.start").alias("start"), "events")
 
 
