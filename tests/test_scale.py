@@ -8,6 +8,7 @@ from overlapsolve import experiments
 from overlapsolve import queries as q
 from overlapsolve.functions import solvers
 from overlapsolve.plans import bsp
+from overlapsolve.sources import problems
 from overlapsolve.system import Config, Sys
 
 
@@ -56,3 +57,23 @@ def test_large_loads_stop_where_rounding_does(spark):
 def test_a_system_reads_its_own_tables_only(spark, tmp_path):
     (tmp_path / "conversations.parquet").symlink_to("/root/testdata/sf0.001/conversations.parquet")
     assert experiments.table_systems(spark, str(tmp_path))["chats"]().parts == 4
+
+
+def test_nearest_vectors_equal_brute_force(spark, tmp_path):
+    """Ties, null components and unequal lengths included; pairs are no rows any more."""
+    rng = np.random.default_rng(5)
+    rows = [(k, v.tolist(), 0) for k, v in enumerate(rng.integers(-2, 3, (200, 6)).astype(float))] + [(200, [1.0, None, 0.0, 0.0, 0.0, 0.0], 0), (201, [1.0, 1.0], 0), (202, None, 0)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").write.parquet(str(tmp_path / "embeddings.parquet"))
+    entries = problems.knn(spark, str(tmp_path))[0]
+    vectors = {k: v for k, v, _ in rows if v is not None}
+    cell = {k: sum(1 << b for b in range(3) if b < len(v) and (v[b] or 0) > 0) for k, v in vectors.items()}
+    want = set()
+    for a, v in vectors.items():
+        near = []
+        for b, w in vectors.items():
+            if a != b and (cell[a] ^ cell[b]).bit_count() < 2:
+                none = len(v) != len(w) or None in v or None in w
+                near.append((none, 0.0 if none else -sum(x * y for x, y in zip(v, w, strict=True)), b))
+        want |= {(min(a, b), max(a, b)) for _, _, b in sorted(near)[:8]}
+    assert {(r.i, r.j) for r in entries.collect() if r.i < r.j} == want
+    assert "zip_with" not in entries._jdf.queryExecution().toString()
