@@ -7,7 +7,7 @@ from overlapsolve import oracles
 from overlapsolve import queries as q
 from tests.compare import differences
 
-MOVED = ["box_owner", "coarse_geometric_weights", "contraction_report", "detection_report"]
+MOVED = ["box_owner", "coarse_geometric_weights", "contraction_report", "detection_report", "geometric_members"]
 
 
 @pytest.fixture(scope="module")
