@@ -7,7 +7,7 @@ from overlapsolve import oracles
 from overlapsolve import queries as q
 from tests.compare import differences
 
-MOVED = ["box_owner", "coarse_geometric_weights", "contraction_report", "detection_report", "geometric_members", "grid2d_entries", "imbalanced_owner", "overlap_member", "owned_mask", "partition_of_unity", "partition_stats"]
+MOVED = ["box_owner", "coarse_geometric_weights", "contraction_report", "detection_report", "geometric_members", "grid2d_entries", "imbalanced_owner", "overlap_member", "owned_mask", "partition_of_unity", "partition_stats", "comm_bench_report"]
 
 
 @pytest.fixture(scope="module")
