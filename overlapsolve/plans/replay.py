@@ -8,15 +8,20 @@ schedule gives the same iterates on any cluster.
 
 from __future__ import annotations
 
+from bisect import bisect_right
+from collections.abc import Iterable
+from functools import reduce
+
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+import pandas as pd
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from overlapsolve.functions.handshake import CoarseHandshake
 from overlapsolve.operators.coarse import CoarseProblem
 from overlapsolve.operators.local import Block
 from overlapsolve.plans.bsp import Supersteps
-from overlapsolve.session import checkpoint
+from overlapsolve.session import checkpoint, discard, together
 from overlapsolve.system import Config, Sys
 
 KINDS = ("sync", "cyclic", "random", "slow_one", "adversarial", "starved")
@@ -62,14 +67,8 @@ def audit_schedule(ticks: DataFrame, stamps: DataFrame, parts: int, max_gap: int
     return found.union(backwards) if monotone else found
 
 
-def asof_latest(history: DataFrame, wanted: DataFrame) -> DataFrame:
-    """For each wanted (dst, src, tau): the history row (src, dst, stamp, vals) with the largest stamp up to tau."""
-    met = wanted.join(history, ["src", "dst"]).where("stamp <= tau")
-    return met.groupBy("dst", "src", "tau").agg(F.max_by("vals", "stamp").alias("vals"), F.max("stamp").alias("stamp"))
-
-
 class Replay:
-    """Iterates and slab history are DataFrames; the handshake's flags and vectors of the coarse size are on the driver."""
+    """Iterates and slabs are DataFrames, one a tick; the handshake's flags and vectors of the coarse size are on the driver."""
 
     def __init__(self, sys: Sys, cfg: Config = Config()):
         self.run, self.cfg = Supersteps(sys, cfg), cfg
@@ -91,22 +90,23 @@ class Replay:
         plan: dict[int, list[int]] = {}
         for n, p in ticks.collect():
             plan.setdefault(n, []).append(p)
-        torn = "component" in stamps.columns
         ages = stamps.toPandas()
         if len(ages) and int((ages.n - ages.tau).max()) > max_delay:
             raise ValueError(f"stamps reach back further than max_delay={max_delay}")
         run, two = self.run, self.coarse is not None
-        state = run.begin(coarse=two)
-        iterate = checkpoint(state.where("kind = 0"))
-        history = checkpoint(state.where("kind = 1").select("src", "dst", F.lit(0).cast("long").alias("stamp"), "vals"))
-        shares = {r["src"]: (r["at"], r["vals"]) for r in state.where("kind = 4").collect()} if two else {}
-        spark = iterate.sparkSession
+        begun = run.begin(coarse=two)
+        frames = {0: checkpoint(begun.withColumn("at", F.when(F.col("kind") <= 1, F.array(F.lit(0))).otherwise(F.col("at"))))}
+        discard(begun)
+        shares = {r["src"]: (r["at"], r["vals"]) for r in frames[0].where("kind = 4").collect()} if two else {}
         solver = run.solver()
         wl, wc = self.cfg.weights
-        parts = sorted(r[0] for r in iterate.select("dst").collect())
+        parts = sorted(r[0] for r in frames[0].where("kind = 0").select("dst").collect())
+        wanted = _slabs_of(plan, ages, parts)
+        last_use = {stamp: n for n in sorted(wanted) for sources in wanted[n].values() for _, _, stamp in sources}
+        latest = dict.fromkeys(parts, 0)
         self.hand, number = CoarseHandshake(len(parts), strict_handshake), {p: k for k, p in enumerate(parts)}
         for n in sorted(plan):
-            active = sorted(plan[n])
+            active = sorted(set(plan[n]) & set(parts))
             ready = {}
             if two:
                 for p in active:
@@ -114,36 +114,28 @@ class Replay:
                     if self.hand.try_post(number[p]):
                         self.posted[p] = shares[p]
                 ready = {p: self.correction for p in active if self.hand.try_consume(number[p])}
-            now = ages[(ages.n == n) & ages.p.isin(active)]
-            wanted = spark.createDataFrame([(int(r.p), int(r.q), int(r.tau), int(r.component) if torn else -1) for r in now.itertuples()], "dst int, src int, tau long, component int") if len(now) else None
-            inbox = iterate
-            if wanted is not None:
-                seen = asof_latest(history, wanted.select("dst", "src", "tau").distinct())
-                if torn:
-                    seen = self._mixed(seen, wanted)
-                inbox = iterate.union(seen.select("dst", "src", F.lit(1).alias("kind"), "vals", F.lit(None).cast("array<int>").alias("at"), F.lit(0.0).alias("resid")))
-
-            def f(b: Block, m: dict, active=frozenset(active), ready=ready) -> list[tuple]:
+            sees = wanted.get(n, {})
+
+            def f(b: Block, m: dict, n=n, sees=sees, ready=ready) -> list[tuple]:
                 w = m["w"]
-                if b.p not in active:
-                    return [(b.p, b.p, 0, w, None, 0.0)]
-                r = b.accumulated(b.slab(w), m["slabs"])
+                r = b.accumulated(b.slab(w), _seen(sees.get(b.p, ()), m["dated"]))
                 v = solver(b).solve(r)
                 w = w + (wl * v + wc * b.from_coarse(ready[b.p]) if b.p in ready else v)
                 s = b.slab(w)
-                out = [(b.p, b.p, 0, w, None, float(r[b.owned] @ r[b.owned]))] + [(q, b.p, 1, x, None, 0.0) for q, x in b.outgoing(s)]
+                out = [(b.p, b.p, 0, w, [n], float(r[b.owned] @ r[b.owned]))] + [(q, b.p, 1, x, [n], 0.0) for q, x in b.outgoing(s)]
                 if two:
                     used = np.unique(b.coarse_id)
                     out.append((-1, b.p, 4, b.to_coarse(s, int(used[-1]) + 1 if len(used) else 0)[used], used, 0.0))
                 return out
 
-            new = checkpoint(run.step(inbox, f))
-            iterate = new.where("kind = 0")
-            history = history.union(new.where("kind = 1").select("src", "dst", F.lit(n).cast("long").alias("stamp"), "vals"))
-            if n % self.cfg.checkpoint_every == 0:
-                # What is too old goes, but for the newest slab of each pair that may still be asked for.
-                kept = F.max(F.when(F.col("stamp") <= n - max_delay, F.col("stamp"))).over(Window.partitionBy("src", "dst"))
-                history = checkpoint(history.withColumn("_kept", kept).where(F.col("_kept").isNull() | (F.col("stamp") >= F.col("_kept"))).drop("_kept"))
+            slabs = {stamp for sources in sees.values() for _, _, stamp in sources}
+            read = together([frames[s] for s in sorted(slabs | {latest[p] for p in active})])
+            slab = (F.col("kind") == 1) & F.col("dst").isin(active) & F.get("at", F.lit(0)).isin(sorted(slabs))
+            new = checkpoint(run.step(read.where(slab | _iterates({p: latest[p] for p in active})), f, active))
+            frames[n] = new
+            latest |= dict.fromkeys(active, n)
+            for s in [s for s in frames if last_use.get(s, 0) <= n and s not in latest.values()]:
+                discard(frames.pop(s))
             if two:
                 shares |= {r["src"]: (r["at"], r["vals"]) for r in new.where("kind = 4").collect()}
                 if self.hand.try_solve():
@@ -152,16 +144,45 @@ class Replay:
                         at, vals = self.posted[p]
                         np.add.at(r0, np.array(at, np.int64), np.array(vals, float))
                     self.correction, self.posted = self.coarse.solve(r0), {}  # old right-hand sides don't add up
-        return run.solution(iterate)
-
-    @staticmethod
-    def _mixed(seen: DataFrame, wanted: DataFrame) -> DataFrame:
-        """Slabs whose components come from different stamps: each value from the slab of its own age."""
-        flat = seen.select("dst", "src", "tau", F.posexplode("vals").alias("component", "x"))
-        picked = flat.join(wanted, ["dst", "src", "tau", "component"])
-        rest = flat.join(wanted.where("component = -1").drop("component"), ["dst", "src", "tau"]).select("dst", "src", "tau", "component", "x")
-        both = picked.select("dst", "src", "component", "x").union(rest.select("dst", "src", "component", "x"))
-        return both.groupBy("dst", "src").agg(F.transform(F.array_sort(F.collect_list(F.struct("component", "x"))), lambda t: t["x"]).alias("vals"))
+        return run.solution(together([frames[s] for s in sorted(set(latest.values()))]).where(_iterates(latest)))
+
+
+def _iterates(latest: dict[int, int]) -> Column:
+    """Whether a message is the iterate of a part from the tick named for it."""
+    of: dict[int, list[int]] = {}
+    for p, n in latest.items():
+        of.setdefault(n, []).append(p)
+    named = [(F.get("at", F.lit(0)) == n) & F.col("dst").isin(ps) for n, ps in of.items()]
+    return (F.col("kind") == 0) & reduce(lambda x, y: x | y, named, F.lit(False))
+
+
+def _slabs_of(plan: dict[int, list[int]], ages: pd.DataFrame, parts: list[int]) -> dict[int, dict[int, list[tuple[int, int, int]]]]:
+    """By tick and part: (source, component, stamp) of what it sees; a stamp is the source's last tick up to the given one, a component -1 the whole slab."""
+    updates: dict[int, list[int]] = {p: [0] for p in parts}
+    for n in sorted(plan):
+        for p in set(plan[n]) & set(parts):
+            updates[p].append(n)
+    active = {n: set(ps) for n, ps in plan.items()}
+    components = ages.component if "component" in ages.columns else np.full(len(ages), -1)
+    out: dict[int, dict[int, list[tuple[int, int, int]]]] = {}
+    for n, p, q, tau, c in zip(ages.n.tolist(), ages.p.tolist(), ages.q.tolist(), ages.tau.tolist(), components.tolist() if len(ages) else [], strict=True):
+        if p in active.get(n, ()) and q in updates and tau >= 0:
+            out.setdefault(n, {}).setdefault(p, []).append((q, int(c), updates[q][bisect_right(updates[q], tau) - 1]))
+    return out
+
+
+def _seen(sources: Iterable[tuple[int, int, int]], dated: dict[tuple[int, int], np.ndarray]) -> dict[int, np.ndarray]:
+    """By source the slab that is seen, of values from different stamps where single components are named."""
+    found: dict[int, np.ndarray] = {}
+    for q, c, stamp in sorted(sources, key=lambda x: (x[0], x[1])):  # whole slabs first
+        x = dated.get((q, stamp))
+        if x is None:
+            continue
+        if q not in found:
+            found[q] = x.copy()
+        elif 0 <= c < len(x):
+            found[q][c] = x[c]
+    return found
 
 
 def replay(sys: Sys, ticks: DataFrame, stamps: DataFrame, cfg: Config = Config(), **options) -> DataFrame:
