@@ -150,6 +150,18 @@ def naive_segment(chunk, pieces, limit, key):
     return out
 
 
+def test_short_chunks_are_segmented_as_long_ones():
+    pieces = piece_codec.Pieces(public_tokenizers.path("piece_bpe_32k.model"))
+    rng = np.random.default_rng(5)
+    chunks = ["", "a", "   ", " aaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaa", " straightforwardness", "  \u4e00x\x00", " \xe9\xe0\xfc\u2026" * 6, *("".join(rng.choice(list(" aeinst\xe9"), 12)) for _ in range(300))]
+    for chunk in chunks:
+        for limit in (0, 1 << 29, 1 << 31):
+            key = int(rng.integers(1 << 62))
+            mask = piece_codec.decisions(np.array([key], np.uint64), limit)[0] if limit else 0
+            assert piece_codec.segment_short(chunk, pieces, limit, key, mask) == piece_codec.segment(chunk, pieces, limit, key, mask)
+
+
+
 def test_dropout_equals_a_naive_agenda():
     pieces = piece_codec.Pieces(PIECES)
     text = " ".join(prose(300, 12).split() + ["internationalisation", "über", "日本語", "a" * 40] * 6)
