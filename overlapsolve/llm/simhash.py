@@ -195,8 +195,46 @@ def _common_windows(texts: DataFrame, words: int, share: int = 10, most: int = 2
     return top.column("gram").to_numpy()[::-1].view(np.uint64).copy()
 
 
+def _size_classes(n: int, similarity: float, start: int = WIDE + 1) -> list[int]:
+    """Where classes of sizes begin, up to the first beyond n: of two similar sets, the larger is in the smaller one's class or the next."""
+    begins = [start]
+    while begins[-1] <= n:
+        begins.append(int((begins[-1] + 1e-6) / similarity) + 1)
+    return begins
+
+
+def _block_keys(h: np.ndarray, similarity: float, often: np.ndarray) -> tuple[np.ndarray, bool]:
+    """Keys of a set of more than WIDE windows, and whether any similar set of more than WIDE shares one of them.
+
+    If the smaller of two similar sets is in class c, they differ by at most `most` windows. The windows are dealt over some
+    more blocks than that; a difference spoils one block, so if the set fills more than `most` blocks, one of them is the same
+    in both. A block has a key by all its windows: a passage that two long texts share doesn't make them meet, as a single
+    window would. Blocks of common windows only (often, by window) are left out where over `most` others are filled: as equal
+    blocks are left out on both sides, one of these is the same in both. Each set has keys for its own class and, being perhaps
+    the larger one, for the class before.
+    """
+    begins = _size_classes(len(h), similarity)
+    keys, sure = [], True
+    with np.errstate(over="ignore"):
+        mixed = (h ^ h >> np.uint64(31)) * _ODD[40]
+        for c in range(max(0, len(begins) - 3), len(begins) - 1):
+            most = int((1 - similarity + 1e-6) / similarity * begins[c + 1]) + 1
+            blocks = most + most // 4 + 8
+            of = (h % np.uint64(blocks)).astype(np.int64)
+            order = np.argsort(of, kind="stable")
+            filled, first = np.unique(of[order], return_index=True)
+            total = np.add.reduceat(mixed[order], first) + filled.astype(np.uint64) * _ODD[41] + np.uint64(c) * _ODD[42]
+            rare = ~np.logical_and.reduceat(often[order], first)
+            total = (total ^ total >> np.uint64(29)) * _ODD[43]
+            keys.append(total[rare] if rare.sum() > most else total)
+            sure &= len(filled) > most
+    return np.concatenate(keys), sure
+
+
 def _prefixes(texts: DataFrame, common: np.ndarray, similarity: float, words: int) -> DataFrame:
-    """(id, grams): the first of the distinct windows in an order that all texts share.
+    """(id, grams): what similar texts share at least one of. Of long texts, keys of blocks (see _block_keys). Of others, and of
+    long ones that may be similar to one of WIDE windows or less, or for which the blocks are no guarantee, the first of the
+    distinct windows in an order that all texts share.
 
     Of n windows, one of the first n - ceil(similarity n) + 1 is also among the first ones of any text that is similar: if
     none were, over n (1 - similarity) would be missing there. This holds in any order; here the common windows come last.
@@ -206,11 +244,14 @@ def _prefixes(texts: DataFrame, common: np.ndarray, similarity: float, words: in
 
     def first(h: np.ndarray) -> np.ndarray:
         known, rank = shared.value
+        at = np.minimum(np.searchsorted(known, h), max(0, len(known) - 1))
+        often = known[at] == h if len(known) else np.zeros(len(h), bool)
+        blocks, sure = _block_keys(h, similarity, often) if len(h) > WIDE else (h[:0], False)
+        if sure and len(h) * similarity > WIDE + 1:
+            return blocks
         if len(known):
-            at = np.minimum(np.searchsorted(known, h), len(known) - 1)
-            often = known[at] == h
             h = np.concatenate([h[~often], h[often][np.argsort(rank[at[often]])]])
-        return h[: len(h) - ceil(similarity * len(h) - 1e-9) + 1]
+        return np.concatenate([h[: len(h) - ceil(similarity * len(h) - 1e-9) + 1], blocks])
 
     return _grams(texts, words, first)
 
@@ -280,8 +321,8 @@ def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, rad
 
     Similar is a Jaccard index of at least `similarity` between sets of word windows, which is computed exactly. Candidates
     are pairs whose SimHash fingerprints of these windows lie within `radius`, by the covering tables. An index of
-    `similarity` bounds no number of differing bits, so texts are also gathered by their first windows (see _prefixes),
-    which every similar pair shares. Members of a gathering are first compared with its smallest id. Where that leaves more
+    `similarity` bounds no number of differing bits, so texts are also gathered by their first windows or, if long, by blocks of
+    windows (see _prefixes), of which every similar pair shares one. Members of a gathering are first compared with its smallest id. Where that leaves more
     than one component in it, all its pairs across components are compared: nothing is left out, and large groups of copies
     make few pairs. Pairs that sizes and signatures exclude are dropped before any set of windows is moved.
     """

@@ -277,3 +277,21 @@ def test_every_query_returns_its_whole_table(spark):
             assert got.select("doc_id").distinct().count() == docs
         elif name != "op9_topk_search":
             assert got.count() == rows.get(name, docs), name
+
+
+def test_long_texts_meet_by_blocks_only_if_they_can_be_similar():
+    """Single windows made every two long texts meet that share a passage: pairs grew with the square of the long texts."""
+    rng = np.random.default_rng(3)
+    passage = rng.integers(1 << 63, size=100, dtype=np.uint64)
+    long = [np.unique(np.concatenate([passage, rng.integers(1 << 63, size=int(n), dtype=np.uint64)])) for n in rng.integers(1500, 6000, 60)]
+    keys = [simhash._block_keys(h, 0.8, np.isin(h, passage)) for h in long]
+    assert all(sure for _, sure in keys)
+    assert not any(np.isin(keys[a][0], keys[b][0]).any() for a in range(60) for b in range(a))
+    for h, (k, _) in zip(long, keys, strict=True):  # every kind of set that is just similar enough shares a block
+        n = len(h)
+        fewer = rng.permutation(h)[: -(-n * 4 // 5)]
+        more = np.concatenate([h, rng.integers(1 << 63, size=n // 4, dtype=np.uint64)])
+        other = np.concatenate([rng.permutation(h)[: n - n // 9], rng.integers(1 << 63, size=n // 9, dtype=np.uint64)])
+        for x in map(np.unique, (fewer, more, other)):
+            assert len(np.intersect1d(h, x)) >= 0.8 * len(np.union1d(h, x))
+            assert np.isin(simhash._block_keys(x, 0.8, np.isin(x, passage))[0], k).any()
