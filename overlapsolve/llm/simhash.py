@@ -190,7 +190,7 @@ def _grams(texts: DataFrame, words: int, pick=None) -> DataFrame:
 def _common_windows(texts: DataFrame, words: int, share: int = 10, most: int = 200_000) -> np.ndarray:
     """Hashes of the windows that recur in a sample of one in `share` ids, commonest last; which these are only decides how much is compared."""
     sample = texts.where(F.pmod(F.xxhash64("id", F.lit(SEED)), F.lit(share)) == 0)
-    counted = _grams(sample, words).select(F.explode("grams").alias("gram")).groupBy("gram").agg(F.count("*").alias("n")).where("n > 2")
+    counted = _grams(sample, words).select(F.explode("grams").alias("gram")).groupBy("gram").agg(F.count("*").alias("n")).where("n > 1")
     top = counted.orderBy(F.desc("n"), "gram").limit(most).select("gram").toArrow()  # `most` numbers
     return top.column("gram").to_numpy()[::-1].view(np.uint64).copy()
 
@@ -231,10 +231,10 @@ def _block_keys(h: np.ndarray, similarity: float, often: np.ndarray) -> tuple[np
     return np.concatenate(keys), sure
 
 
-def _prefixes(texts: DataFrame, common: np.ndarray, similarity: float, words: int) -> DataFrame:
-    """(id, grams): what similar texts share at least one of. Of long texts, keys of blocks (see _block_keys). Of others, and of
-    long ones that may be similar to one of WIDE windows or less, or for which the blocks are no guarantee, the first of the
-    distinct windows in an order that all texts share.
+def _prefixes(texts: DataFrame, common: np.ndarray, similarity: float, words: int, long_blocks: bool = False) -> DataFrame:
+    """(id, grams): what similar texts share at least one of: the first of the distinct windows in an order that all texts share.
+    With long_blocks, long texts have keys of blocks instead (see _block_keys), but for those that may be similar to one of WIDE
+    windows or less, or for which the blocks are no guarantee.
 
     Of n windows, one of the first n - ceil(similarity n) + 1 is also among the first ones of any text that is similar: if
     none were, over n (1 - similarity) would be missing there. This holds in any order; here the common windows come last.
@@ -246,7 +246,7 @@ def _prefixes(texts: DataFrame, common: np.ndarray, similarity: float, words: in
         known, rank = shared.value
         at = np.minimum(np.searchsorted(known, h), max(0, len(known) - 1))
         often = known[at] == h if len(known) else np.zeros(len(h), bool)
-        blocks, sure = _block_keys(h, similarity, often) if len(h) > WIDE else (h[:0], False)
+        blocks, sure = _block_keys(h, similarity, often) if long_blocks and len(h) > WIDE else (h[:0], False)
         if sure and len(h) * similarity > WIDE + 1:
             return blocks
         if len(known):
@@ -265,6 +265,38 @@ def _enough(similarity: float, x: str, y: str) -> Column:
     return (F.least(nx, ny) >= F.lit(similarity - 1e-9) * F.greatest(nx, ny)) & (common >= F.lit(similarity - 1e-9) * (nx + ny - common))
 
 
+def _overlap(similarity: float, nx: Column, ny: Column) -> Column:
+    """How many windows two similar sets of these sizes share at least."""
+    return F.ceil(F.lit(similarity / (1 + similarity)) * (nx + ny) - F.lit(1e-6))
+
+
+#: Ratio of the sizes within a class of sizes.
+CLASS = 1.1
+
+
+def _by_size(rows: DataFrame, similarity: float) -> DataFrame:
+    """From (gram, pos, n, ...): a row for each class of sizes (cls) of the smaller partners that may first meet a text in this window.
+
+    Two similar sets share _overlap() windows, so the first one that both have, in the order of all texts, has at most
+    n - _overlap() others before it in either. For partners of about its size a text thus needs little over half of its
+    prefix: copies with more own windows than that, which come first, don't meet. small tells whether the row can also be the
+    smaller one's.
+    """
+    at = lambda n: F.floor(F.log(n) / F.lit(float(np.log(CLASS)))).cast("int")
+    least = F.greatest(F.lit(1), F.ceil(F.lit(similarity) * F.col("n") - F.lit(1e-6)))
+    spread = rows.withColumn("own", at(F.col("n"))).withColumn("cls", F.explode(F.sequence(at(least), at(F.col("n")))))
+    begin = F.greatest(least, F.floor(F.pow(F.lit(CLASS), F.col("cls"))) - 1)  # one less, as powers are rounded
+    spread = spread.where(F.col("pos") <= F.col("n") - _overlap(similarity, F.col("n"), F.least("n", begin)))
+    return spread.withColumn("small", (F.col("cls") == F.col("own")) & (F.col("pos") <= F.col("n") - _overlap(similarity, F.col("n"), F.col("n")))).drop("own")
+
+
+def _first_meetings(x: str, y: str, similarity: float) -> Column:
+    """Whether y is the smaller one, or the earlier of two equal ones, and the window can be the first that both have."""
+    nx, ny = F.col(f"{x}.n"), F.col(f"{y}.n")
+    most = _overlap(similarity, nx, ny)
+    return ((ny < nx) | ((ny == nx) & (F.col(f"{y}.id") < F.col(f"{x}.id")))) & (F.col(f"{x}.pos") <= nx - most) & (F.col(f"{y}.pos") <= ny - most)
+
+
 def _possible(pairs: DataFrame, reps: DataFrame, similarity: float) -> DataFrame:
     """Of distinct pairs (a, b), those that sizes and signatures allow."""
     x, y = reps.drop("fp").alias("x"), reps.drop("fp").alias("y")
@@ -316,22 +348,26 @@ def _alike(texts: DataFrame, pairs: DataFrame, similarity: float, words: int) ->
     return found
 
 
-def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, radius: int = 2, key: str = "doc_id", text: str = "text") -> DataFrame:
+def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, radius: int = 2, key: str = "doc_id", text: str = "text", long_blocks: bool = False) -> DataFrame:
     """(doc_id, component_id) of documents that have an equal or a similar one; component_id is the smallest id of the group.
 
     Similar is a Jaccard index of at least `similarity` between sets of word windows, which is computed exactly. Candidates
     are pairs whose SimHash fingerprints of these windows lie within `radius`, by the covering tables. An index of
-    `similarity` bounds no number of differing bits, so texts are also gathered by their first windows or, if long, by blocks of
-    windows (see _prefixes), of which every similar pair shares one. Members of a gathering are first compared with its smallest id. Where that leaves more
-    than one component in it, all its pairs across components are compared: nothing is left out, and large groups of copies
-    make few pairs. Pairs that sizes and signatures exclude are dropped before any set of windows is moved.
+    `similarity` bounds no number of differing bits, so texts are also gathered by their first windows (see _prefixes), of which
+    every similar pair shares one. Members of a gathering are first compared with its smallest id. Where that leaves more
+    than one component in it, its pairs across components are compared whose sizes let them first meet in this window (see
+    _by_size): nothing is left out, and large groups of copies, near or exact, make few pairs. Pairs that sizes and signatures
+    exclude are dropped before any set of windows is moved. long_blocks: gather texts of over WIDE windows by blocks of
+    windows, which have no order; better only where long texts share much that is in few of them.
     """
     texts = _texts(docs, key, text)
     sketches = checkpoint(_sketches(texts, words))
     firsts = [F.first(c).alias(c) for c in sketches.columns[2:-1]]
     same = checkpoint(sketches.groupBy("same").agg(F.min("id").alias("id"), F.count("*").alias("copies"), *firsts))
     reps = same.drop("same", "copies")
-    rows = _prefixes(texts, _common_windows(texts, words), similarity, words).join(reps.select("id"), "id", "left_semi").select("id", F.explode("grams").alias("gram"))
+    rows = _prefixes(texts, _common_windows(texts, words), similarity, words, long_blocks).join(reps.select("id"), "id", "left_semi").select("id", F.posexplode("grams").alias("pos", "gram"))
+    if long_blocks:
+        rows = rows.withColumn("pos", F.lit(0))
     here = Window.partitionBy("gram")
     met = checkpoint(rows.withColumn("low", F.min("id").over(here)).withColumn("high", F.max("id").over(here)).where("low < high").drop("high"))
 
@@ -342,10 +378,13 @@ def similar_copies(docs: DataFrame, similarity: float = 0.8, words: int = 5, rad
     edges = _alike(texts, able, similarity, words)
     found = checkpoint(connected_components(edges))
 
-    of = met.join(found, met.id == found.node, "left").select("gram", "id", F.coalesce("component", "id").alias("part"))
-    apart = checkpoint(of.withColumn("low", F.min("part").over(here)).withColumn("high", F.max("part").over(here)).where("low < high").drop("low", "high").join(reps.drop("fp"), "id"))
-    across = apart.alias("x").join(apart.alias("y"), "gram").where("x.id < y.id and x.part <> y.part").where(_enough(similarity, "x", "y"))
-    rest = _still_possible(across.select(F.col("x.id").alias("a"), F.col("y.id").alias("b")).distinct().join(able, ["a", "b"], "left_anti"), sketches, similarity)
+    of = met.join(found, met.id == found.node, "left").select("gram", "pos", "id", F.coalesce("component", "id").alias("part"))
+    of = of.withColumn("low", F.min("part").over(here)).withColumn("high", F.max("part").over(here)).where("low < high").drop("low", "high")
+    sized = Window.partitionBy("gram", "cls")
+    of = _by_size(of.join(reps.select("id", "n"), "id"), similarity).withColumn("low", F.min("part").over(sized)).withColumn("high", F.max("part").over(sized)).withColumn("any", F.max("small").over(sized))
+    apart = checkpoint(of.where("low < high and any").drop("low", "high", "any", "n").join(reps.drop("fp"), "id"))
+    across = apart.alias("x").join(apart.where("small").alias("y"), ["gram", "cls"]).where("x.part <> y.part").where(_first_meetings("x", "y", similarity)).where(_enough(similarity, "x", "y"))
+    rest = _still_possible(across.select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct().join(able, ["a", "b"], "left_anti"), sketches, similarity)
     discard(met, apart)
     if not rest.isEmpty():
         found = checkpoint(connected_components(edges.union(_alike(texts, rest, similarity, words))))

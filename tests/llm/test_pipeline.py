@@ -295,3 +295,26 @@ def test_long_texts_meet_by_blocks_only_if_they_can_be_similar():
         for x in map(np.unique, (fewer, more, other)):
             assert len(np.intersect1d(h, x)) >= 0.8 * len(np.union1d(h, x))
             assert np.isin(simhash._block_keys(x, 0.8, np.isin(x, passage))[0], k).any()
+
+
+def test_many_near_copies_that_are_not_similar_make_few_pairs(spark, monkeypatch):
+    """Long copies with a fifth of their windows changed shared so much with each other that nearly every two were compared."""
+    r, base = random.Random(4), prose(2500, 77).split()
+    texts = []
+    for k in range(150):
+        w = list(base)
+        for i in r.sample(range(len(w)), 105):
+            w[i] = f"w{k}x{i}"
+        texts.append(" ".join(w))
+    w = texts[20].split()  # similar to one of them, shorter
+    texts += [" ".join(w[:2100]), " ".join(w[300:])]
+    compared, possible = [], simhash._still_possible
+
+    def counted(pairs, *rest):
+        compared.append(pairs.count())
+        return possible(pairs, *rest)
+
+    monkeypatch.setattr(simhash, "_still_possible", counted)
+    tied = {x.doc_id: x.component_id for x in simhash.similar_copies(table(spark, texts)).collect()}
+    assert tied == {21: 21, 151: 21, 152: 21}
+    assert sum(compared) < 10 * len(texts)
