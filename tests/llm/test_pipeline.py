@@ -174,6 +174,37 @@ def test_dropout_equals_a_naive_agenda():
         assert encoder.encode(text, 9).tolist() == [x for c, k in zip(chunks, keys, strict=True) for x in naive_segment(c, pieces, limit, int(k))]
 
 
+def test_many_chunks_are_segmented_in_step_as_each_alone(monkeypatch):
+    alone = piece_codec.segment
+    pieces = piece_codec.Pieces(PIECES)
+    rng = np.random.default_rng(6)
+    odd = ["", "   ", "\u2581 a\u2581\u2581 b", "\u4e00\u9fff\U0001f600 x\u2581\U0001f600", " " + "=" * 48, "\xe9t\xe9  \x00\u2026 ", " \n a\nb"]
+    texts = odd + [" ".join("".join(rng.choice(list("aeinst\xe9"), rng.integers(1, 14))) for _ in range(400)) for _ in range(5)] + odd
+    ids = [0, -3, 2**62, *range(3, len(texts))]
+
+    def both(pieces, dropout, texts):
+        encoder = piece_codec.Encoder(pieces, dropout, seed=4)
+        got = [x.tolist() for x in encoder.encode_all(texts, ids)]
+        for text, doc_id, found in zip(texts, ids, got, strict=True):
+            chunks = pieces.chunks.findall(text)
+            keys = piece_codec.chunk_keys(doc_id, 4, len(chunks))
+            masks = piece_codec.decisions(keys, encoder.limit) if encoder.limit else [0] * len(chunks)
+            assert found == [x for c, k, m in zip(chunks, keys, masks, strict=True) for x in alone(c, pieces, encoder.limit, int(k), m)[0]]
+
+    with monkeypatch.context() as none_alone:
+        for name in ("segment", "segment_short"):
+            none_alone.setattr(piece_codec, name, None)
+        for dropout in (0.0, 0.1, 0.6):
+            both(pieces, dropout, [t for t in texts if "=" not in t] + ["", ""])
+    long = [t + "0" * 60 + t for t in texts]  # also chunks that are taken alone, and texts that are cut
+    monkeypatch.setattr(piece_codec, "GROUP", 500)
+    both(pieces, 0.1, long)
+    for p in ("\xe9", "s"):  # characters that only longer pieces hold, and equal scores
+        del pieces.ids[p]
+    pieces.ranks = {p: r // 40 for p, r in pieces.ranks.items() if p in pieces.ids}
+    both(pieces, 0.3, long)
+
+
 def test_occurrences_of_a_word_vary():
     pieces = piece_codec.Pieces(PIECES)
     encoder = piece_codec.Encoder(pieces, 0.1)
