@@ -194,6 +194,7 @@ def test_many_chunks_are_segmented_in_step_as_each_alone(monkeypatch):
     with monkeypatch.context() as none_alone:
         for name in ("segment", "segment_short"):
             none_alone.setattr(piece_codec, name, None)
+        assert len(piece_codec.Encoder(pieces, 0.1).encode(texts[len(odd)], 1)) > 400  # no chunk goes alone
         for dropout in (0.0, 0.1, 0.6):
             both(pieces, dropout, [t for t in texts if "=" not in t] + ["", ""])
     long = [t + "0" * 60 + t for t in texts]  # also chunks that are taken alone, and texts that are cut
