@@ -77,3 +77,53 @@ def test_nearest_vectors_equal_brute_force(spark, tmp_path):
         want |= {(min(a, b), max(a, b)) for _, _, b in sorted(near)[:8]}
     assert {(r.i, r.j) for r in entries.collect() if r.i < r.j} == want
     assert "zip_with" not in entries._jdf.queryExecution().toString()
+
+
+def test_nodes_with_few_neighbours_are_eliminated_exactly():
+    """Nodes between hubs, each tied to two or three of them, some unevenly: the band of what was left held most of the matrix."""
+    rng, hubs, n = np.random.default_rng(6), 40, 1900
+    i = np.concatenate([np.arange(hubs, n), np.arange(hubs, n), np.arange(hubs, n, 3), np.arange(hubs + 1, n, 50)])
+    j = np.concatenate([rng.integers(0, 20, n - hubs), rng.integers(20, 39, n - hubs), np.full(len(range(hubs, n, 3)), 39), np.arange(hubs, n - 1, 50)])
+    for v in (None, rng.random(len(i))):
+        a, csr = laplacian(n, i, j, v)
+        r = rng.normal(size=n)
+        solver = solvers.factor(*csr)
+        assert solver.solve(r) == pytest.approx(np.linalg.solve(a, r), abs=1e-11)
+        assert solver.size < 1 << 20
+        assert len(solver.core) > solvers.DENSE and len(solver.left) < 100  # the hubs and nodes with four neighbours
+
+
+def test_nodes_without_a_core_are_eliminated_exactly():
+    """Rings: nothing is left over. Some couplings go one way only."""
+    n = 1800
+    i = np.arange(n)
+    j = i // 6 * 6 + (i + 1) % 6
+    a, csr = laplacian(n, i, j, np.where(i % 7 == 0, 0.0, 1.0))
+    r = np.random.default_rng(7).normal(size=n)
+    solver = solvers.factor(*csr)
+    assert not len(solver.left) and solver.rest is None
+    assert solver.solve(r) == pytest.approx(np.linalg.solve(a, r), abs=1e-11)
+
+
+def test_windows_of_documents_are_hashed_once(spark, tmp_path):
+    """The ties are those of the hashes of lists of words; nothing that reads them hashes a text again."""
+    rng = np.random.default_rng(8)
+    texts = [" ".join(rng.choice(["a", "B", "c\n", "é"], rng.integers(0, 12))) for _ in range(150)] + [None, "", "one two three", "one two three", "one two three four five", "five " * 40, "five " * 50]
+    rows = [(k, t) for k, t in enumerate(texts)]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(0, 1), (3, 0)], "doc_id long, quality int").write.parquet(str(tmp_path / "labels.parquet"))
+    entries, f = problems.docgraph(spark, str(tmp_path))
+    assert "xxhash64" not in entries._jdf.queryExecution().toString() + f._jdf.queryExecution().toString()
+
+    words = spark.createDataFrame(rows, "i long, t string").select("i", F.split(F.lower(F.coalesce("t", F.lit(""))), r"\s+").alias("w"))
+    hashes = words.selectExpr("i", "transform(sequence(0, greatest(size(w) - 5, 0)), k -> xxhash64(slice(w, k + 1, 5))) h")
+    held = {}
+    for r in hashes.collect():
+        for h in sorted(set(r.h))[:4]:
+            held.setdefault(h, []).append(r.i)
+    want = {}
+    for k in held.values():
+        for v in set(k) - {min(k)}:
+            want[min(k), v] = want.get((min(k), v), 0.0) + 1.0
+    got = {(r.i, r.j): -r.a for r in entries.collect() if r.i < r.j}
+    assert len(want) > 20 and got == {k: v for k, v in want.items() if not {0, 3} & {*k}}
